@@ -6,13 +6,19 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from .fingerprints import op1_minhash
+from .secrets import op2_secrets
 from .simhash import op8_simhash
+from .vecdedup import op3_vectors
 
 Query = Callable[[SparkSession, str], DataFrame]
 
 
 def queries() -> dict[str, Query]:
     return {
+        "op1_minhash": op1_minhash,
+        "op2_secrets": op2_secrets,
+        "op3_vectors": op3_vectors,
         "op8_simhash": op8_simhash,
     }
 
