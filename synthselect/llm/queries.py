@@ -7,8 +7,10 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 from .fingerprints import op1_minhash
+from .pieces import op7_pieces
 from .secrets import op2_secrets
 from .simhash import op8_simhash
+from .tokencount import op4_tokens
 from .vecdedup import op3_vectors
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -19,6 +21,8 @@ def queries() -> dict[str, Query]:
         "op1_minhash": op1_minhash,
         "op2_secrets": op2_secrets,
         "op3_vectors": op3_vectors,
+        "op4_tokens": op4_tokens,
+        "op7_pieces": op7_pieces,
         "op8_simhash": op8_simhash,
     }
 
