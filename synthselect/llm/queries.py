@@ -7,6 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 from .fingerprints import op1_minhash
+from .licenses import op5_licenses
 from .packing import op6_packing
 from .pieces import op7_pieces
 from .secrets import op2_secrets
@@ -23,6 +24,7 @@ def queries() -> dict[str, Query]:
         "op2_secrets": op2_secrets,
         "op3_vectors": op3_vectors,
         "op4_tokens": op4_tokens,
+        "op5_licenses": op5_licenses,
         "op6_packing": op6_packing,
         "op7_pieces": op7_pieces,
         "op8_simhash": op8_simhash,
