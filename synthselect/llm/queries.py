@@ -10,6 +10,7 @@ from .fingerprints import op1_minhash
 from .licenses import op5_licenses
 from .packing import op6_packing
 from .pieces import op7_pieces
+from .quality import op10_quality
 from .secrets import op2_secrets
 from .simhash import op8_simhash
 from .tokencount import op4_tokens
@@ -28,6 +29,7 @@ def queries() -> dict[str, Query]:
         "op6_packing": op6_packing,
         "op7_pieces": op7_pieces,
         "op8_simhash": op8_simhash,
+        "op10_quality": op10_quality,
     }
 
 
