@@ -13,6 +13,7 @@ from .pieces import op7_pieces
 from .quality import op10_quality
 from .secrets import op2_secrets
 from .simhash import op8_simhash
+from .suffixes import op9_suffixes
 from .tokencount import op4_tokens
 from .vecdedup import op3_vectors
 
@@ -29,6 +30,7 @@ def queries() -> dict[str, Query]:
         "op6_packing": op6_packing,
         "op7_pieces": op7_pieces,
         "op8_simhash": op8_simhash,
+        "op9_suffixes": op9_suffixes,
         "op10_quality": op10_quality,
     }
 
