@@ -336,7 +336,7 @@ def repeated_spans(docs: DataFrame, length: int = LENGTH) -> DataFrame:
 
 def _merged(spans: list[dict], n: int) -> list[tuple[int, int]]:
     out: list[list[int]] = []
-    for s, e in sorted((x["start"], x["stop"]) for x in spans or ()):
+    for s, e in sorted((x["start"], x["stop"]) for x in (() if spans is None else spans)):
         if out and s <= out[-1][1]:
             out[-1][1] = max(out[-1][1], e)
         else:
