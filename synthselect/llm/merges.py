@@ -4,7 +4,7 @@ All words' symbols lie in one array, with one rank per adjacent pair.  Each roun
 rank of every word (segmented minimum), merges all its occurrences from the left at the same time,
 closes the gaps and ranks only the pairs that changed; words without a pair leave.  Taking them at the
 same time equals taking them one by one as long as no merge makes a pair of smaller or equal rank;
-words where that happens, or whose pair shares its rank with other pairs, are done again one by one.
+words where that happens or would have, or whose pair shares its rank with other pairs, are done again one by one.
 """
 
 from __future__ import annotations
@@ -84,12 +84,12 @@ def merge_words(words: list[list[int]], table: PairTable) -> list[list[int]]:
     r, m = table.look(sym[:-1], sym[1:])
     rank[:-1], made[:-1] = r, m
     rank[start + size - 1] = NONE  # the last symbol of a word has no pair
-    floor = np.full(len(ids), -1)
+    floor, redo = np.full(len(ids), -1), np.zeros(len(ids), bool)
     while len(ids):
         low = np.minimum.reduceat(rank, start)
         # leave: no pair left, or to be done one by one
         bad = (low <= floor) | np.isin(low, table.has_shared)
-        bad &= low != NONE
+        bad = bad & (low != NONE) | redo
         out = (low == NONE) | bad
         if out.any():
             for k in np.flatnonzero(out):
@@ -99,7 +99,7 @@ def merge_words(words: list[list[int]], table: PairTable) -> list[list[int]]:
                     done[ids[k]] = sym[start[k] : start[k] + size[k]].tolist()
             keep = np.repeat(~out, size)
             sym, rank, made = sym[keep], rank[keep], made[keep]
-            ids, size, low, floor = ids[~out], size[~out], low[~out], floor[~out]
+            ids, size, low, floor, redo = ids[~out], size[~out], low[~out], floor[~out], redo[~out]
             start = np.concatenate([[0], np.cumsum(size)[:-1]]) if len(ids) else start[:0]
             if not len(ids):
                 break
@@ -109,12 +109,18 @@ def merge_words(words: list[list[int]], table: PairTable) -> list[list[int]]:
         run = np.concatenate([[True], np.diff(at) != 1])
         odd = (np.arange(len(at)) - np.maximum.accumulate(np.where(run, np.arange(len(at)), 0))) & 1
         at = at[odd == 0]
+        of = np.repeat(np.arange(len(ids)), size)
+        # a merge whose right neighbour goes into the next merge: was the pair they would make to come first?
+        side = at[:-1][np.diff(at) == 2]
+        side = side[of[side] == of[side + 2]]
+        if len(side):
+            sooner, _ = table.look(made[side], sym[side + 2])
+            redo[of[side[sooner <= low[of[side]]]]] = True
         sym[at] = made[at]
         gone = np.zeros(len(sym), bool)
         gone[at + 1] = True
         keep = ~gone
         place = np.cumsum(keep) - 1
-        of = np.repeat(np.arange(len(ids)), size)
         size = size - np.bincount(of[at], minlength=len(ids))
         sym, rank, made = sym[keep], rank[keep], made[keep]
         start = np.concatenate([[0], np.cumsum(size)[:-1]])
