@@ -38,7 +38,10 @@ def normalise(text: Column | str) -> Column:
 
 
 def shingles(tokens: Column, n: int) -> Column:
-    """All runs of n tokens as strings; empty for fewer tokens."""
+    """All runs of n tokens as strings; empty for fewer tokens.
+
+    tokens: a column of the frame, not an expression, which would be worked out anew for every run.
+    """
     size = F.size(tokens)
     runs = F.transform(F.sequence(F.lit(1), F.greatest(size - (n - 1), F.lit(1))), lambda i: F.array_join(F.slice(tokens, i, n), " "))
     return F.when(size >= n, F.array_distinct(runs)).otherwise(F.array().cast("array<string>"))

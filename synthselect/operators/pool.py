@@ -70,12 +70,12 @@ def exact_dedup(df: DataFrame, id_col: str = "doc_id") -> DataFrame:
 
 
 def benchmark_grams(bench: DataFrame, n: int = 8) -> DataFrame:
-    return bench.select(F.explode(shingles(words("text"), n)).alias("gram")).distinct()
+    return bench.select(words("text").alias("_t")).select(F.explode(shingles(F.col("_t"), n)).alias("gram")).distinct()
 
 
 def contaminated(df: DataFrame, bench: DataFrame, id_col: str = "doc_id", n: int = 8) -> DataFrame:
     """(id, n_hits): documents that share runs of n words with the benchmark."""
-    g = df.select(F.col(id_col).alias("id"), F.explode(shingles(words("text"), n)).alias("gram"))
+    g = df.select(F.col(id_col).alias("id"), words("text").alias("_t")).select("id", F.explode(shingles(F.col("_t"), n)).alias("gram"))
     return g.join(benchmark_grams(bench, n), "gram", "left_semi").groupBy("id").agg(F.count(F.lit(1)).alias("n_hits"))
 
 

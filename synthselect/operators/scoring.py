@@ -61,7 +61,7 @@ def rule_marks(df: DataFrame, leaks: DataFrame | None = None, context: str = "te
     out = df.withColumns(marks).drop("_q", "_s", "_c")
     if leaks is not None:
         key = [c for c in ("snippet_id", "ckpt", "draw") if c in df.columns]
-        grams = out.select(*key, F.explode(shingles(words("s"), 8)).alias("gram"))
+        grams = out.select(*key, words("s").alias("_t")).select(*key, F.explode(shingles(F.col("_t"), 8)).alias("gram"))
         hit = grams.join(leaks, "gram", "left_semi").select(*key).distinct().withColumn("_leak", F.lit(1))
         out = out.join(hit, key, "left").withColumn("x8", F.when(F.col("_leak").isNotNull(), 1).otherwise(5)).drop("_leak")
     return out
