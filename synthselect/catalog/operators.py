@@ -187,7 +187,10 @@ def op_pivot(spark, d):
     return o.groupBy("o_orderpriority").pivot("o_orderstatus", ["F", "O"]).agg(F.count(F.lit(1))).na.fill(0).select("o_orderpriority", F.col("F").alias("f"), F.col("O").alias("o"))
 
 
-_WO = Window.partitionBy("user_id").orderBy("ts", "event_id")
+def _by_user():
+    return Window.partitionBy("user_id").orderBy("ts", "event_id")
+
+
 _WS = "OVER (PARTITION BY user_id ORDER BY ts, event_id"
 
 
@@ -201,13 +204,13 @@ def op_rank(spark, d):
 @query("op_win_lag_lead", f"SELECT event_id, lag(event_type) {_WS}) AS before, lead(event_type) {_WS}) AS after FROM events")
 def op_lag(spark, d):
     (ev,) = T(spark, d, "events")
-    return ev.select("event_id", F.lag("event_type").over(_WO).alias("before"), F.lead("event_type").over(_WO).alias("after"))
+    return ev.select("event_id", F.lag("event_type").over(_by_user()).alias("before"), F.lead("event_type").over(_by_user()).alias("after"))
 
 
 @query("op_win_rows_frame", f"SELECT event_id, sum(round(value * 100)::BIGINT) {_WS} ROWS BETWEEN 2 PRECEDING AND CURRENT ROW)::BIGINT AS s FROM events")
 def op_rows(spark, d):
     (ev,) = T(spark, d, "events")
-    return ev.select("event_id", F.sum(F.round(F.col("value") * 100).cast("long")).over(_WO.rowsBetween(-2, 0)).alias("s"))
+    return ev.select("event_id", F.sum(F.round(F.col("value") * 100).cast("long")).over(_by_user().rowsBetween(-2, 0)).alias("s"))
 
 
 @query("op_win_range_frame", "SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY epoch_us(ts) RANGE BETWEEN 86400000000 PRECEDING AND CURRENT ROW) AS n FROM events")
