@@ -12,6 +12,7 @@ from __future__ import annotations
 
 import bisect
 import re
+import string
 import zlib
 from collections.abc import Iterator
 
@@ -26,7 +27,7 @@ from .tokencount import tokenizer_path
 
 CAPACITY = 2048
 END_ID = 0
-MOST_CACHED = 600_000
+MOST_CACHED = 800_000
 LONGEST_CACHED = 48
 
 #: Characters whose case, composition and classes are the same in every Unicode release, without blanks
@@ -37,7 +38,8 @@ PLAIN = re.compile("[\t-\r -~¡-įı-ɏ]*")
 class WordIds:
     """ids of texts by a lower-casing word tokenizer that drops white space.
 
-    Nothing reaches across white space, so ids are kept per blank-separated chunk; the library makes them.
+    Nothing reaches across white space, so ids are kept per blank-separated chunk.  The library makes them,
+    many at a time: a word of letters alone ends with its first id that closes a word.
     """
 
     def __init__(self, path: str):
@@ -46,6 +48,38 @@ class WordIds:
         self.lib = Tokenizer.from_file(path)
         self.specials = [t.content for t in self.lib.get_added_tokens_decoder().values()]
         self.cache: dict[str, bytes] = {}
+        self.words: dict[str, bytes] = {}
+        self.closes = np.zeros(self.lib.get_vocab_size(with_added_tokens=True) + 1, bool)
+        for token, k in self.lib.get_vocab(with_added_tokens=False).items():
+            self.closes[k] = token.endswith("</w>")
+
+    def _ask_words(self, words: list[str]) -> None:
+        """Ids of words that are one run of letters or of marks each."""
+        for part, ids in zip(groups := [words[k : k + 500] for k in range(0, len(words), 500)], self._ask([" ".join(g) for g in groups])):
+            ends = np.flatnonzero(self.closes[np.frombuffer(ids, "<u4")]) + 1
+            if len(ends) != len(part):
+                raise ValueError("a word did not end where expected")
+            cut = [0, *(4 * ends).tolist()]
+            self.words.update(zip(part, (ids[i:j] for i, j in zip(cut, cut[1:]))))
+
+    def _learn(self, chunks: list[str]) -> None:
+        parts, odd, need = [], [], set()
+        for c in chunks:
+            low = c.lower()
+            core = low.rstrip(string.punctuation)
+            if core.isalpha():
+                parts.append((c, core, tail := low[len(core) :]))
+                need.add(core)
+                if tail:
+                    need.add(tail)
+            else:
+                odd.append(c)
+        self._ask_words(list(need.difference(self.words)))
+        get = self.words.__getitem__
+        self.cache.update((c, get(core) + get(tail) if tail else get(core)) for c, core, tail in parts)
+        self.cache.update(zip(odd, self._ask(odd)))
+        if len(self.words) > MOST_CACHED:
+            self.words.clear()
 
     def _ask(self, texts: list[str]) -> list[bytes]:
         return [np.array(e.ids, "<u4").tobytes() for e in self.lib.encode_batch_fast(texts, add_special_tokens=False)]
@@ -63,7 +97,7 @@ class WordIds:
             for k, ids in zip(odd, self._ask([texts[k] for k in odd])):
                 out[k] = ids
         new = list(set().union(*chunks.values()).difference(self.cache)) if chunks else []
-        self.cache.update(zip(new, self._ask(new)))
+        self._learn(new)
         get = self.cache.__getitem__
         for k, c in chunks.items():
             out[k] = b"".join(map(get, c))
