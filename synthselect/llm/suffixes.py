@@ -215,7 +215,7 @@ def maximal_repeats(left: list[bytes], right: list[bytes], length: int = LENGTH)
 def _repeats(rows: DataFrame, length: int) -> DataFrame:
     """Spans (doc, tie, start, stop) of all but the earliest occurrences; rows: h, doc, tie, at, around."""
 
-    def pairs(first: np.ndarray, frame: pd.DataFrame, place, left, right, around) -> Iterator[tuple[np.ndarray, ...]]:
+    def pairs(first: np.ndarray, left, right, around) -> Iterator[tuple[np.ndarray, ...]]:
         """The groups of two at once: rows first and first + 1."""
         for k in range(0, len(first), 20_000):
             a = first[k : k + 20_000]
@@ -239,26 +239,20 @@ def _repeats(rows: DataFrame, length: int) -> DataFrame:
             place, left, right = at >> 16, at >> 8 & 255, at & 255
             around = pdf["around"].tolist()
             sizes = np.diff(np.append(starts, len(pdf)))
-            who, back, ahead = [], [], []
-            for rows_, ls, rs in pairs(starts[sizes == 2], pdf, place, left, right, around):
-                who.append(rows_)
-                back.append(ls)
-                ahead.append(rs)
-            more: list[tuple[int, int, int]] = []
+            # every span holds its anchor, so an occurrence's spans join: the farthest on either side
+            back, ahead = np.full(len(pdf), -1), np.full(len(pdf), -1)
+            for rows_, ls, rs in pairs(starts[sizes == 2], left, right, around):
+                back[rows_], ahead[rows_] = ls, rs
             for s, m in zip(starts[sizes > 2].tolist(), sizes[sizes > 2].tolist()):
                 lefts = [around[i][: left[i]][::-1] for i in range(s, s + m)]
                 rights = [around[i][left[i] :] for i in range(s, s + m)]
                 for x, y, members in maximal_repeats(lefts, rights, length):
-                    first = min(members)  # rows are in the order of documents and places
-                    more += [(s + k, x, y) for k in members if k != first]
-            if more:
-                r, x, y = map(np.array, zip(*more))
-                who.append(r)
-                back.append(x)
-                ahead.append(y)
-            if who:
-                w = np.concatenate(who)
-                yield pd.DataFrame({"doc": doc[w], "tie": tie[w], "start": place[w] - np.concatenate(back), "stop": place[w] + np.concatenate(ahead)})
+                    members = np.array(members)
+                    later = s + members[members != members.min()]  # rows are in the order of documents and places
+                    back[later] = np.maximum(back[later], x)
+                    ahead[later] = np.maximum(ahead[later], y)
+            w = np.flatnonzero(back >= 0)
+            yield pd.DataFrame({"doc": doc[w], "tie": tie[w], "start": place[w] - back[w], "stop": place[w] + ahead[w]})
 
     rows = rows.repartition("h").sortWithinPartitions("h", "doc", "tie", "at")
     return rows.mapInPandas(run, "doc long, tie int, start long, stop long")
