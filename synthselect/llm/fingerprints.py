@@ -1,8 +1,8 @@
 """Document fingerprints: one-permutation MinHash, in DataFrame functions only.
 
 Every five-word shingle is hashed once; the upper bits name one of 256 bins, which keeps the smallest
-rest.  An empty bin borrows from the filled bin that comes first in the bin's own random order
-(optimal densification without repeats).  The low 8 bits of each bin are stored, and the share of
+rest.  An empty bin tries places drawn by a hash of (bin, round) until one was filled (optimal
+densification); after some rounds it takes the first filled bin of its own random order, so it always ends.  The low 8 bits of each bin are stored, and the share of
 equal bins is corrected for the matches that low bits have by chance.
 """
 
@@ -16,37 +16,48 @@ from . import common
 WORDS = 5
 BINS = 256
 BITS = 8
+#: Rounds of densification before the random order decides.
+ROUNDS = 8
 #: Documents of one range of ids; see next_text.
 RANGE_ROWS = 500
 MOST_RANGES = 1 << 16
 
 
-def shingle_hashes(text: Column, words: int = WORDS) -> Column:
-    """Hashes of all `words`-word shingles of lower-cased text; one of the whole if it has fewer words."""
-    w = F.filter(F.split(F.lower(text), r"[ \t\n\x0B\f\r]+"), lambda x: x != "")
-    joined = F.transform(F.sequence(F.lit(1), F.greatest(F.size(w) - (words - 1), F.lit(1))), lambda i: F.xxhash64(F.slice(w, i, words)))
-    return F.when(F.size(w) > 0, joined).otherwise(F.array().cast("array<long>"))
+def shingle_hashes(words: Column, n: int = WORDS) -> Column:
+    """63-bit hashes of all runs of n of the words' hashes; one of the whole if there are fewer."""
+    run = lambda i: F.shiftrightunsigned(F.xxhash64(*[F.get(words, i + k) for k in range(n)]), 1)
+    return F.transform(F.sequence(F.lit(0), F.greatest(F.size(words) - n, F.lit(0))), run)
 
 
 def with_bins(df: DataFrame, text: str, out: str) -> DataFrame:
-    """Add `out`: 256 low-order bytes (array<int>) of the densified bins, or null where there is no word.
+    """Add `out`: low-order bytes (array<int>) of the densified bins, or null where there is no word.
 
-    Sorted by the signed value of hash xor the sign bit, a bin's smallest hash is the first of its run.
+    The upper bits of a hash are its bin, so in sorted order a bin's smallest hash is the first of its run.
     """
-    df = df.withColumn("_h", F.array_sort(F.transform(shingle_hashes(F.coalesce(F.col(text), F.lit(""))), lambda h: F.shiftrightunsigned(h, 1))))
     top = 63 - (BINS.bit_length() - 1)  # hashes have 63 bits
-    df = df.withColumn("_f", F.filter("_h", lambda h, i: (i == 0) | (F.shiftright(h, top) != F.shiftright(F.get(F.col("_h"), i - 1), top))))
-    df = df.withColumn("_b", F.transform("_f", lambda h: F.shiftright(h, top)))
-
-    def lane(b: Column) -> Column:
-        at = F.array_position("_b", b)
-        # the filled bin with the least hash of (this bin, that bin); the bin rides in the low bits
-        lend = F.array_min(F.transform("_b", lambda j: F.xxhash64(b, j).bitwiseAND(F.lit(-BINS)).bitwiseOR(j))).bitwiseAND(F.lit(BINS - 1).cast("long"))
-        at = F.when(at > 0, at).otherwise(F.array_position("_b", lend))
-        return F.get(F.col("_f"), (at - 1).cast("int")).bitwiseAND(F.lit((1 << BITS) - 1).cast("long")).cast("int")
-
-    lanes = F.transform(F.expr(f"sequence(0L, {BINS - 1}L)"), lane)
-    return df.withColumn(out, F.when(F.size("_h") > 0, lanes)).drop("_h", "_f", "_b")
+    bin_of = lambda h: F.shiftright(h, top)
+    w = F.filter(F.split(F.lower(F.coalesce(F.col(text), F.lit(""))), r"[ \t\n\x0B\f\r]+"), lambda x: x != "")
+    df = df.withColumn("_w", F.transform(w, lambda x: F.xxhash64(x)))
+    df = df.withColumn("_h", F.when(F.size("_w") > 0, F.sort_array(shingle_hashes(F.col("_w")))))
+    df = df.withColumn("_f", F.filter("_h", lambda h, i: (i == 0) | (bin_of(h) != bin_of(F.get(F.col("_h"), i - 1)))))
+    df = df.withColumn("_b", F.transform("_f", bin_of))
+    df = df.withColumn("_v", F.transform(F.expr(f"sequence(0L, {BINS - 1}L)"), lambda b: F.get(F.col("_f"), F.array_position("_b", b).cast("int") - 1)))
+    df = df.withColumn("_v", F.when(F.col("_h").isNotNull(), F.col("_v"))).withColumn("_d", F.col("_v"))
+    for t in range(1, ROUNDS + 1):  # an empty bin takes what its next place holds, if that was filled from the start
+        df = df.withColumn("_d", F.transform("_d", _borrow(t)))
+
+    def lend(b: Column) -> Column:
+        """Where the places of all rounds were empty: the filled bin with the least hash of (this bin, that bin)."""
+        j = F.array_min(F.transform("_b", lambda j: F.xxhash64(b.cast("long"), j).bitwiseAND(F.lit(-BINS)).bitwiseOR(j)))
+        return F.get(F.col("_v"), j.bitwiseAND(F.lit(BINS - 1).cast("long")).cast("int"))
+
+    rest = F.when(F.exists("_d", lambda v: v.isNull()), F.transform("_d", lambda v, b: F.coalesce(v, lend(b)))).otherwise(F.col("_d"))
+    lanes = F.transform(rest, lambda v: v.bitwiseAND(F.lit((1 << BITS) - 1).cast("long")).cast("int"))
+    return df.withColumn("_d", F.when(F.col("_h").isNotNull(), F.col("_d"))).withColumn(out, F.when(F.col("_h").isNotNull(), lanes)).drop("_w", "_h", "_f", "_b", "_v", "_d")
+
+
+def _borrow(t: int):
+    return lambda v, b: F.coalesce(v, F.get(F.col("_v"), F.pmod(F.xxhash64(b, F.lit(t)), F.lit(BINS)).cast("int")))
 
 
 def packed(lanes: Column) -> Column:
