@@ -2,8 +2,9 @@
 
 One model is trained on random strings, the other on ordinary identifiers.  The samples are labelled
 by the pattern rules over all documents (values inside a match of a rule are random strings, all other
-text is ordinary, but for the tokens that are to be judged), with seeded draws over the usual alphabets so that the random model is never
-empty.  What training gathers is one count per character pair and label.
+text is ordinary, but for the tokens that are to be judged), with seeded draws over the usual alphabets and seeded
+compound identifiers so that neither model is ever empty.  What training gathers is one count per character pair and
+label.  Every token of LEAST_TOKEN characters or more outside the rules' matches is judged, by the ratio alone.
 """
 
 from __future__ import annotations
@@ -32,12 +33,27 @@ TOKEN = re.compile(r"[A-Za-z0-9+/_=-]{16,}")
 WORD = re.compile(r"[A-Za-z0-9+/_=-]{4,}")
 CHARS = "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789+/_=-"
 LEAST_TOKEN = 16
-#: A token is random if its mean log-likelihood ratio per character passes this (nats) and it mixes character classes.
+#: A token is random if its mean log-likelihood ratio per character passes this (nats).
 LEAST_RATIO = 1.5
 #: Weight, in characters, of a model's plain frequencies against its pair counts.
 BACKING = 5.0
 DRAWS = 2000
 SEED = 11
+#: What the seeded identifiers are made of.
+PARTS = """account action add address all allow append apply argument array async attribute audio back base batch begin binary block body buffer build byte cache call
+change channel char check child class clean clear client close code collection color column command commit compile compress config connect constant container content context
+control convert copy count create current cursor data date debug decode default delete dependency describe detail device dict directory disable display document domain download
+drop dump edit element email enable encode end entry environment error event exception execute exit export extension extract failure feature field file filter find first flag
+flush format forward frame function generate get global graph group handle hash header height help hidden history hook host icon identifier image import index info init input
+insert instance integer interface internal invalid item iterator job join key kind label language last layout length level library limit line link list load local lock log
+login loop main make manager map mask master match max memory menu merge message method min mode model module move name namespace network new next node notify null number object
+offset open operation option order origin output owner package page parameter parent parse partial password path pattern pending permission pipeline platform plugin point pool
+port position prefix prepare previous print priority private process product profile project property protocol provider proxy public push query queue random range rate raw read
+record recursive reference refresh register release remote remove rename render replace report request require reset resolve resource response rest result resume return role root
+route row run sample save scale schedule schema scope screen script search section secret select send sequence server service session set setting setup shape shared shift shutdown
+signal simple size skip socket sort source split stack stage start state static status step stop storage store stream string struct style submit suffix summary support switch
+symbol sync system table tag target task template temp test text thread time timeout title token tool total trace track transaction transform tree trigger type unique unit
+unknown update upload user util valid validate value variable vector verify version video view visible wait warning watch web weight width window word work worker wrap write zone""".split()
 
 Span = tuple[int, int, int]  # start, kind, end
 
@@ -84,6 +100,20 @@ def random_samples(n: int = DRAWS, seed: int = SEED) -> list[str]:
     return ["".join(rng.choice(list(alphabets[k % len(alphabets)]), int(rng.integers(16, 65)))) for k in range(n)]
 
 
+def ordinary_samples(n: int = DRAWS, seed: int = SEED) -> list[str]:
+    """Seeded compound identifiers in the usual spellings, and plain numbers."""
+    rng = np.random.default_rng(seed)
+    out = []
+    for k in range(n):
+        w = [PARTS[i] for i in rng.integers(len(PARTS), size=int(rng.integers(2, 6)))]
+        if rng.random() < 0.2:
+            w[-1] += str(rng.integers(100))
+        camel = "".join(x.capitalize() for x in w)
+        styles = ("_".join(w), "_".join(w).upper(), camel, camel[0].lower() + camel[1:], "-".join(w), "/" + "/".join(w), "__" + "_".join(w), "=" * 8 + "-" * 8, str(rng.integers(10**15, 10**18)))
+        out.append(styles[k % len(styles)])
+    return out
+
+
 def _first_pass(docs: DataFrame) -> DataFrame:
     """One pass over the texts, landed: a row per document (base spans, tokens that the models must judge)
     and a row per task with its counts of character pairs, label * _N * _N + pair."""
@@ -99,7 +129,7 @@ def _first_pass(docs: DataFrame) -> DataFrame:
                 own = []
                 if b"1" * LEAST_TOKEN in data.translate(_IS_TOKEN):
                     for m in TOKEN.finditer(text):
-                        if mixed(m.group()) and _outside(m.start(), m.end(), spans):
+                        if _outside(m.start(), m.end(), spans):
                             own.append(f"{m.start()}:{m.end()}:{m.group()}")
                 if spans:  # what lies between the matches is ordinary
                     sums[_N * _N :] += _pairs(" ".join(t for s, _, e in spans for t in WORD.findall(text, s, e) if len(t) >= LEAST_TOKEN).encode())
@@ -127,6 +157,7 @@ class MarkovPair:
         for at, n in counts.items():
             m[at] += n
         m[_N * _N :] += _pairs(" ".join(random_samples()).encode())
+        m[: _N * _N] += _pairs(" ".join(ordinary_samples()).encode())
         m = m.reshape(2, _N, _N)
         alone = m.sum(axis=1, keepdims=True) + 0.5
         alone /= alone.sum(axis=2, keepdims=True)
@@ -143,11 +174,11 @@ class MarkovPair:
         return total / max(1, len(token))
 
     def is_random(self, token: str) -> bool:
-        return len(token) >= LEAST_TOKEN and mixed(token) and self.ratio(token) >= LEAST_RATIO
+        return len(token) >= LEAST_TOKEN and self.ratio(token) >= LEAST_RATIO
 
 
 def mixed(token: str) -> bool:
-    """At least two digits and two letters."""
+    """At least two digits and two letters; says what a token is like, no condition of being told."""
     digits = sum(map(token.count, "0123456789"))
     return digits >= 2 and sum(map(str.isalpha, token)) >= 2
 

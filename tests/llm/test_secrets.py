@@ -57,3 +57,24 @@ def test_nulls_empties_repeats(spark):
     assert {r.base_sha256 for r in got if r.doc_id in (1, 2)} == {hashlib.sha256(b"").hexdigest()}
     assert S.scan(df.limit(0)).collect() == []
     assert S.mask_secrets(df).count() == 5
+
+
+def test_the_ratio_alone_decides(spark):
+    rows = [(i, "the quick identifier getUserAccountBalance read_the_configuration_file of section " * 5) for i in range(20)]
+    keys = ["qZrXkPmVbLwTnYcJdHsG", "KQZVXJWPTRGNBDMHCLFS", "xqZjvKwpRtgNbdmHclfs7", "bVq+Zk/XwJpTrGnHdMcL"]  # one digit at most
+    clean = "antidisestablishmentarianism get_default_connection_timeout 20240131235959123 /usr/local/share/module"
+    df = spark.createDataFrame(rows + [(100 + i, f"use {k} now") for i, k in enumerate(keys)] + [(200, clean)], "doc_id long, text string")
+    got = {r.doc_id: r.spans for r in S.scan(df).collect()}
+    assert [got[100 + i] for i in range(len(keys))] == [f"markov:4:{4 + len(k)}" for k in keys]
+    assert got[200] == "" and all(got[i] == "" for i in range(20))
+    model = S.train(df)
+    for seed in (5, 987):
+        fresh = S.random_samples(1000, seed)
+        assert sum(map(model.is_random, fresh)) >= 0.95 * len(fresh)
+    few = [t for t in S.random_samples(4000, 3) if not S.mixed(t)]
+    assert len(few) > 100 and sum(map(model.is_random, few)) >= 0.95 * len(few)
+
+
+def test_clean_long_words_of_the_table_stay(spark):
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
+    assert S.scan(docs).selectExpr("sum(n_markov)").first()[0] == 0
