@@ -6,7 +6,7 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..functions import fp, hash_unit
+from ..functions import fp, hash_unit, normalise
 from ..operators import candidates, categories, evaluate, influence, lm, pool, reference, ridge, scoring, selection, synth
 from ..plans import bootstrap
 from ..sources import land, table
@@ -600,15 +600,16 @@ def quality_compare_two_sets(spark: SparkSession, d: str) -> DataFrame:
 # ---------------------------------------------------------------- loop and workloads
 
 
-def _loop_inputs(spark: SparkSession, d: str) -> tuple[DataFrame, DataFrame, int]:
-    """The pool: distinct texts without the premium rows; premium: quality-1 documents of even ids."""
-    docs = pool.exact_dedup(table(spark, d, "documents")).select(F.col("doc_id").alias("snippet_id"), "text", "n_chars")
-    docs = land(docs)
-    unit = bootstrap.unit_of(docs.count())
+def _loop_inputs(spark: SparkSession, d: str) -> tuple[DataFrame, DataFrame, int, DataFrame]:
+    """The pool: what passes every gate, without the premium rows; premium: its quality-1 documents of even ids;
+    the premium size, from the distinct texts as in the SQL of bootstrap_schedules; the benchmark's word runs."""
+    raw, bench = table(spark, d, "documents"), table(spark, d, "benchmark")
+    unit = bootstrap.unit_of(raw.select(F.md5(normalise("text").cast("binary")).alias("k")).distinct().count())
+    docs = land(pool.build_pool(raw, bench)[0].select("snippet_id", "text", "n_chars"))
     good = table(spark, d, "labels").filter("quality = 1 and doc_id % 2 = 0").select(F.col("doc_id").alias("snippet_id"))
     premium = docs.join(good, "snippet_id", "left_semi").orderBy(hash_unit("premium", "snippet_id"), "snippet_id").limit(unit).select(F.col("snippet_id").alias("id"), "text")
     premium = land(premium)
-    return docs.join(premium.select(F.col("id").alias("snippet_id")), "snippet_id", "left_anti"), premium, unit
+    return docs.join(premium.select(F.col("id").alias("snippet_id")), "snippet_id", "left_anti"), premium, unit, land(pool.benchmark_grams(bench))
 
 
 def _union(frames: list[DataFrame]) -> DataFrame:
@@ -626,51 +627,51 @@ def _measured(name: str, kept: DataFrame, labels: DataFrame) -> DataFrame:
 
 @query("bootstrap_two_rounds")
 def bootstrap_two_rounds(spark: SparkSession, d: str) -> DataFrame:
-    docs, premium, unit = _loop_inputs(spark, d)
-    return _union(bootstrap.run(docs, premium, bootstrap.Config(unit=unit)).rounds).select("iteration", "snippet_id", "ckpt", "draw", "score", "v")
+    docs, premium, unit, leaks = _loop_inputs(spark, d)
+    return _union(bootstrap.run(docs, premium, bootstrap.Config(unit=unit), leaks=leaks).rounds).select("iteration", "snippet_id", "ckpt", "draw", "score", "v")
 
 
 @query("bootstrap_trained")
 def bootstrap_trained(spark: SparkSession, d: str) -> DataFrame:
     """The loop with the trainable n-gram synthesizer: each round trains it on what it kept."""
-    docs, premium, unit = _loop_inputs(spark, d)
+    docs, premium, unit, leaks = _loop_inputs(spark, d)
     start = synth.enhance(synth.NGramSynthesizer().train(docs.select(F.col("snippet_id").alias("id"), "text"), 1), premium)
-    return _union(bootstrap.run(docs, premium, bootstrap.Config(unit=unit), start).rounds).select("iteration", "snippet_id", "ckpt", "draw", "score", "v")
+    return _union(bootstrap.run(docs, premium, bootstrap.Config(unit=unit), start, leaks=leaks).rounds).select("iteration", "snippet_id", "ckpt", "draw", "score", "v")
 
 
 @query("bootstrap_schedules", "WITH s AS (SELECT * FROM (VALUES ('20-40', 1, 2), ('20-40', 2, 4), ('60', 1, 6), ('40-20', 1, 4), ('40-20', 2, 2), ('40-40', 1, 4), ('40-40', 2, 4), ('20-20', 1, 2), ('20-20', 2, 2)) t(setting, iteration, m)), u AS (SELECT 10 * (count(DISTINCT array_to_string(" + w("text") + ", ' ')) // 180) AS unit FROM documents) SELECT setting, iteration, (m * unit)::BIGINT AS n_kept FROM s, u")
 def bootstrap_schedules(spark: SparkSession, d: str) -> DataFrame:
-    docs, premium, unit = _loop_inputs(spark, d)
+    docs, premium, unit, leaks = _loop_inputs(spark, d)
     out = []
     for name in bootstrap.SCHEDULES:
         cfg = bootstrap.Config(schedule=name, unit=unit, ckpts=2, draws=2, over=1)
-        for t, kept in enumerate(bootstrap.run(docs, premium, cfg).rounds, 1):
+        for t, kept in enumerate(bootstrap.run(docs, premium, cfg, leaks=leaks).rounds, 1):
             out.append(kept.agg(F.count(F.lit(1)).alias("n_kept")).select(F.lit(name).alias("setting"), F.lit(t).alias("iteration"), "n_kept"))
     return _union(out)
 
 
 @query("bootstrap_ledger")
 def bootstrap_ledger(spark: SparkSession, d: str) -> DataFrame:
-    docs, premium, unit = _loop_inputs(spark, d)
-    rows = bootstrap.run(docs, premium, bootstrap.Config(unit=unit)).ledger
+    docs, premium, unit, leaks = _loop_inputs(spark, d)
+    rows = bootstrap.run(docs, premium, bootstrap.Config(unit=unit), leaks=leaks).ledger
     return evaluate.ledger(spark.createDataFrame(rows, "iteration int, stage string, provider string, calls long, prompt_chars long, output_chars long"))
 
 
 @query("ablation_grid")
 def ablation_grid(spark: SparkSession, d: str) -> DataFrame:
-    docs, premium, unit = _loop_inputs(spark, d)
+    docs, premium, unit, leaks = _loop_inputs(spark, d)
     labels = table(spark, d, "labels").filter("doc_id % 2 = 1")
     out = []
     for name, change in bootstrap.ABLATIONS.items():
         cfg = bootstrap.Config(schedule="20-20", unit=unit, **change)
-        out.append(_measured(name, _union(bootstrap.run(docs, premium, cfg).rounds), labels))
+        out.append(_measured(name, _union(bootstrap.run(docs, premium, cfg, leaks=leaks).rounds), labels))
     return _union(out)
 
 
 @query("strategy_grid")
 def strategy_grid(spark: SparkSession, d: str) -> DataFrame:
     """Selections of documents: influence, random, lowest and highest perplexity; purity on the odd labels."""
-    docs, premium, unit = _loop_inputs(spark, d)
+    docs, premium, unit, _ = _loop_inputs(spark, d)
     labels = table(spark, d, "labels").filter("doc_id % 2 = 1")
     docs = land(docs.select(F.col("snippet_id").alias("id"), "text").filter("id % 2 = 1"))
     v = influence.score(bootstrap.word_vectors(docs, "id", "text", 256), influence.target_sum(bootstrap.word_vectors(premium, "id", "text", 256)))
@@ -683,8 +684,8 @@ def strategy_grid(spark: SparkSession, d: str) -> DataFrame:
 @query("scaling_curve")
 def scaling_curve(spark: SparkSession, d: str) -> DataFrame:
     """Nested prefixes of one generated set: 1, 2, 4 and 6 units; proxy perplexity of the benchmark items."""
-    docs, premium, unit = _loop_inputs(spark, d)
-    made = land(bootstrap.one_round(docs, premium, 6 * unit, bootstrap.Config(unit=unit, over=1), 1).orderBy(hash_unit("scale", "snippet_id"), "snippet_id"))
+    docs, premium, unit, leaks = _loop_inputs(spark, d)
+    made = land(bootstrap.one_round(docs, premium, 6 * unit, bootstrap.Config(unit=unit, over=1), 1, leaks=leaks).orderBy(hash_unit("scale", "snippet_id"), "snippet_id"))
     bench = table(spark, d, "benchmark")
     out = []
     for m in (1, 2, 4, 6):
@@ -696,7 +697,7 @@ def scaling_curve(spark: SparkSession, d: str) -> DataFrame:
 @query("pilot_grid")
 def pilot_grid(spark: SparkSession, d: str) -> DataFrame:
     """Three sizes of the trainable synthesizer, original and enhanced, by the proxy on its own samples."""
-    docs, premium, unit = _loop_inputs(spark, d)
+    docs, premium, unit, _ = _loop_inputs(spark, d)
     bench = table(spark, d, "benchmark")
     prompts = land(docs.orderBy(hash_unit("pilot", "snippet_id"), "snippet_id").limit(4 * unit))
     out = []

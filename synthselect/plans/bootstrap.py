@@ -64,8 +64,8 @@ def word_vectors(df: DataFrame, id_col: str, text: str, width: int) -> DataFrame
     return d.select("id", cells.alias("g"))
 
 
-def one_round(snippets: DataFrame, premium: DataFrame, keep: int, cfg: Config, t: int, synth=None) -> DataFrame:
-    """(iteration, snippet_id, ckpt, draw, score, v, q, s): the kept samples of one round."""
+def one_round(snippets: DataFrame, premium: DataFrame, keep: int, cfg: Config, t: int, synth=None, leaks: DataFrame | None = None) -> DataFrame:
+    """(iteration, snippet_id, ckpt, draw, score, v, q, s): the kept samples of one round; leaks: (gram) of the benchmark."""
     prompts = snippets.orderBy(hash_unit(f"round{t}", "snippet_id"), "snippet_id").limit(keep * cfg.over)
     gen = synth.generate if synth is not None else (lambda s, c, d: candidates.passages(candidates.grid(s, c, d)))
     if cfg.sampling == "last":
@@ -78,7 +78,7 @@ def one_round(snippets: DataFrame, premium: DataFrame, keep: int, cfg: Config, t
         scored = scoring.none(cand)
         by = "score"
     else:
-        marked = scoring.rule_marks(cand)
+        marked = scoring.rule_marks(cand, leaks)
         scored = {"weighted": lambda d: scoring.weighted(d, list(cfg.weights)), "average": scoring.simple_average, "composite": scoring.composite}[cfg.aggregate](marked)
         by = "score" if cfg.aggregate == "composite" else "score_fp"
     best = candidates.top_m(scored, by).select("snippet_id", "ckpt", "draw", F.col(by).cast("long").alias("score"), "q", "s")
@@ -95,8 +95,11 @@ def one_round(snippets: DataFrame, premium: DataFrame, keep: int, cfg: Config, t
     return kept.select(F.lit(t).alias("iteration"), "snippet_id", "ckpt", "draw", "score", "v", "q", "s")
 
 
-def run(pool: DataFrame, premium: DataFrame, cfg: Config = Config(), synth=None, path: str | None = None) -> Result:
-    """pool: (snippet_id, text, n_chars); premium: (id, text).  A round whose manifest exists is read, not made."""
+def run(pool: DataFrame, premium: DataFrame, cfg: Config = Config(), synth=None, path: str | None = None, leaks: DataFrame | None = None) -> Result:
+    """pool: (snippet_id, text, n_chars); premium: (id, text); leaks: (gram) of the benchmark, for mark x8.
+
+    A round whose manifest exists is read, not made.
+    """
     spark: SparkSession = pool.sparkSession
     path = path or scratch(spark)
     need = sum(k * cfg.over for k in sizes(cfg)) if cfg.disjoint else max(k * cfg.over for k in sizes(cfg))
@@ -111,7 +114,7 @@ def run(pool: DataFrame, premium: DataFrame, cfg: Config = Config(), synth=None,
             kept = spark.read.parquet(f"{here}/samples")
         else:
             fresh = pool if used is None or not cfg.disjoint else pool.join(used, "snippet_id", "left_anti")
-            kept = land(one_round(fresh, premium, keep, cfg, t, synth), f"{here}/samples")
+            kept = land(one_round(fresh, premium, keep, cfg, t, synth, leaks), f"{here}/samples")
             n, chars, asked = kept.agg(F.count(F.lit(1)), F.sum(F.length("s")), F.sum(F.length("q"))).first()
             spark.createDataFrame([(json.dumps({"round": t, "kept": n}),)], "value string").coalesce(1).write.mode("overwrite").text(f"{here}/manifest")
             per = {"multi": cfg.ckpts * cfg.draws, "last": cfg.ckpts * cfg.draws, "best_of_n": cfg.draws}[cfg.sampling]

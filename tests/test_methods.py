@@ -161,3 +161,25 @@ def test_pool_gates_cover_all_rows(spark):
     assert kept.count() + dropped.count() == docs.count() and kept.count() > 0
     assert pool.sensitive(docs, "mask").filter("text like '%[masked]%'").count() > 0
     assert pool.build_pool(docs.limit(0), bench)[0].count() == 0
+
+
+def test_loop_pool_passes_every_gate(spark):
+    from synthselect.catalog import methods
+
+    d = "/root/testdata/sf0.001"
+    docs, premium, unit, leaks = methods._loop_inputs(spark, d)
+    raw, bench = spark.read.parquet(f"{d}/documents.parquet"), spark.read.parquet(f"{d}/benchmark.parquet")
+    clean = {r.snippet_id for r in pool.build_pool(raw, bench)[0].collect()}
+    a, b = {r.snippet_id for r in docs.collect()}, {r.id for r in premium.collect()}
+    assert a | b == clean and not a & b and len(b) == unit == 10
+    assert leaks.count() == pool.benchmark_grams(bench).count() > 0
+
+
+def test_round_marks_benchmark_passages(spark):
+    leak = " ".join(f"w{i}" for i in range(12))
+    docs = spark.createDataFrame([(1, leak), (2, leak.upper().replace("W", "z"))], "snippet_id long, text string").withColumn("n_chars", F.length("text").cast("long"))
+    premium = docs.select(F.col("snippet_id").alias("id"), "text")
+    leaks = pool.benchmark_grams(docs.filter("snippet_id = 1").select("text"))
+    cfg = bootstrap.Config(ckpts=1, draws=1, over=1)
+    plain, told = ({r.snippet_id: r.score for r in bootstrap.one_round(docs, premium, 2, cfg, 1, leaks=x).collect()} for x in (None, leaks))
+    assert plain[1] - told[1] == 4_000_000 and plain[2] == told[2]
