@@ -2,8 +2,11 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+import numpy as np
+import pandas as pd
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from ..functions import hash_unit
 
@@ -11,33 +14,55 @@ from ..functions import hash_unit
 SMALL = 100_000
 
 
+def _bits(x: Column) -> Column:
+    """Longs in the order of the doubles: NaN above all, both zeros equal, null for null."""
+
+    @F.pandas_udf("long")
+    def run(v: pd.Series) -> pd.Series:
+        d = v.to_numpy(np.float64) + 0.0
+        b = np.where(np.isnan(d), np.nan, d).view(np.int64)
+        return pd.Series(np.where(b < 0, b ^ np.int64(0x7FFFFFFFFFFFFFFF), b))
+
+    return F.when(x.isNotNull(), run(x))
+
+
+def _key(df: DataFrame, by: str, ascending: bool) -> Column:
+    """A long whose order is that of `by`, smallest first to be kept."""
+    kind = df.schema[by].dataType
+    if isinstance(kind, (T.FloatType, T.DoubleType)):
+        key = _bits(F.col(by).cast("double"))
+    elif isinstance(kind, (T.ByteType, T.ShortType, T.IntegerType, T.LongType)):
+        key = F.col(by).cast("long")
+    else:
+        raise TypeError(f"top_n selects by integers or reals, {by} is {kind.simpleString()}")
+    return key if ascending else F.bitwise_not(key)
+
+
 def top_n(df: DataFrame, by: str, n: int, tie: str = "id", ascending: bool = False) -> DataFrame:
-    """The n rows with the largest (smallest) `by`, nulls last, ties by smallest id.
+    """The n rows with the largest (smallest) `by`, nulls last, ties by smallest id; the same rows for any n.
 
-    Small n: each task's heap, merged.  Large n: count rows by value of the integer `by`, find the value at
-    the cut from running counts of coarse bins and then of one bin's values, keep what lies above it and the
-    first ids at it.  Nothing is sorted globally and two numbers reach the driver.
+    Small n: each task's heap, merged.  Large n: count rows by the leading bits of an order-preserving long of
+    `by`, then by the next bits of those at the cut, down to single values; keep what lies before the cut and the
+    first ids at it.  Nothing is sorted globally and a few numbers reach the driver.
     """
     if n <= 0:
         return df.limit(0)
+    key = _key(df, by, ascending)
     order = F.asc_nulls_last(by) if ascending else F.desc_nulls_last(by)
     if n <= SMALL:
         return df.orderBy(order, tie).limit(n)
-    key = F.col(by).cast("long") * (1 if ascending else -1)
-    keyed = df.withColumn("_key", F.coalesce(key, F.lit((1 << 62))))
-    width = 1 << 10
-    at, before = 0, 0
-    lo = None
-    for step in (width, 1):
-        counts = keyed.filter((F.col("_key") >= lo) & (F.col("_key") < lo + width)) if lo is not None else keyed
-        counts = counts.groupBy((F.floor(F.col("_key") / step) * step).cast("long").alias("bin")).agg(F.count(F.lit(1)).alias("c"))
-        run = counts.withColumn("upto", F.sum("c").over(Window.orderBy("bin")))  # few bins, not rows
-        hit = run.filter(F.col("upto") + before >= n).orderBy("bin").limit(1).collect()
-        if not hit:
-            return df
-        at = hit[0]["bin"]
-        before += hit[0]["upto"] - hit[0]["c"]
-        lo = at
+    keyed = df.withColumn("_key", key)
+    some, low, high = keyed.agg(F.count("_key"), F.min("_key"), F.max("_key")).first()
+    if n >= some:  # all that have a value, and of the others the first ids
+        return keyed.filter("_key is not null").union(keyed.filter("_key is null").orderBy(tie).limit(n - some)).drop("_key")
+    at, before, held = low, 0, keyed.filter("_key is not null")
+    for step in (s for s in (48, 32, 16, 0) if s < (low ^ high).bit_length() or low < 0 <= high):
+        counts = held.groupBy(F.shiftright("_key", step).alias("bin")).agg(F.count(F.lit(1)).alias("c"))
+        run = counts.withColumn("upto", F.sum("c").over(Window.orderBy("bin")))  # at most 2^16 bins, not rows
+        hit = run.filter(F.col("upto") + before >= n).orderBy("bin").first()
+        before += hit["upto"] - hit["c"]
+        at = hit["bin"]
+        held = keyed.filter(F.shiftright("_key", step) == at)
     above = keyed.filter(F.col("_key") < at)
     level = keyed.filter(F.col("_key") == at).orderBy(tie).limit(n - before)
     return above.union(level).drop("_key")

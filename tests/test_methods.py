@@ -183,3 +183,18 @@ def test_round_marks_benchmark_passages(spark):
     cfg = bootstrap.Config(ckpts=1, draws=1, over=1)
     plain, told = ({r.snippet_id: r.score for r in bootstrap.one_round(docs, premium, 2, cfg, 1, leaks=x).collect()} for x in (None, leaks))
     assert plain[1] - told[1] == 4_000_000 and plain[2] == told[2]
+
+
+def test_top_n_branches_agree_on_reals_and_wide_integers(spark, monkeypatch):
+    rng = np.random.default_rng(4)
+    v = [float(x) for x in np.round(rng.normal(50, 3, 900), 2)] + [0.0, -0.0, 0.25, -0.25, float("nan"), float("inf"), float("-inf"), None, None, None]
+    w = [int(x) for x in rng.integers(-(2**63), 2**63 - 1, len(v))]
+    rows = [(i, x, y if i % 90 else None) for i, (x, y) in enumerate(zip(v, w))]
+    df = spark.createDataFrame(rows, "id long, ppl double, k long").withColumn("f", F.col("ppl").cast("float"))
+    cases = [(by, n, asc) for by in ("ppl", "k", "f") for n in (1, 333, 909, 912) for asc in (True, False)]
+    small = {c: sorted(r.id for r in selection.top_n(df, c[0], c[1], ascending=c[2]).collect()) for c in cases}
+    monkeypatch.setattr(selection, "SMALL", 0)
+    for c in cases:
+        assert sorted(r.id for r in selection.top_n(df, c[0], c[1], ascending=c[2]).collect()) == small[c], c
+    with pytest.raises(TypeError):
+        selection.top_n(df.withColumn("t", F.lit("x")), "t", 3)
