@@ -670,10 +670,10 @@ def ablation_grid(spark: SparkSession, d: str) -> DataFrame:
 
 @query("strategy_grid")
 def strategy_grid(spark: SparkSession, d: str) -> DataFrame:
-    """Selections of documents: influence, random, lowest and highest perplexity; purity on the odd labels."""
+    """Selections of the whole pool: influence, random, lowest and highest perplexity; purity on the odd labels."""
     docs, premium, unit, _ = _loop_inputs(spark, d)
     labels = table(spark, d, "labels").filter("doc_id % 2 = 1")
-    docs = land(docs.select(F.col("snippet_id").alias("id"), "text").filter("id % 2 = 1"))
+    docs = land(docs.select(F.col("snippet_id").alias("id"), "text"))
     v = influence.score(bootstrap.word_vectors(docs, "id", "text", 256), influence.target_sum(bootstrap.word_vectors(premium, "id", "text", 256)))
     ppl = land(lm.perplexity(docs, "id", "text", lm.fit(docs, "id", "text")))
     n = 2 * unit
@@ -702,7 +702,7 @@ def pilot_grid(spark: SparkSession, d: str) -> DataFrame:
     prompts = land(docs.orderBy(hash_unit("pilot", "snippet_id"), "snippet_id").limit(4 * unit))
     out = []
     for name, vocab, fanout in (("small", 200, 4), ("middle", 1000, 8), ("large", 4000, 16)):
-        base = synth.NGramSynthesizer(vocab, fanout).train(docs.filter("snippet_id % 10 = 1").select(F.col("snippet_id").alias("id"), "text"), 1)
+        base = synth.NGramSynthesizer(vocab, fanout).train(docs.select(F.col("snippet_id").alias("id"), "text"), 1)
         for step, model in (("original", base), ("enhanced", synth.enhance(base, premium, 1))):
             made = model.generate(prompts, [0], 1)
             out.append(evaluate.lm_proxy(made, "snippet_id", "s", bench).select(F.lit(name).alias("synth"), F.lit(step).alias("step"), "*"))

@@ -198,3 +198,22 @@ def test_top_n_branches_agree_on_reals_and_wide_integers(spark, monkeypatch):
         assert sorted(r.id for r in selection.top_n(df, c[0], c[1], ascending=c[2]).collect()) == small[c], c
     with pytest.raises(TypeError):
         selection.top_n(df.withColumn("t", F.lit("x")), "t", 3)
+
+
+def test_grids_use_the_whole_pool(spark, monkeypatch):
+    from synthselect.catalog import methods
+
+    d = "/root/testdata/sf0.001"
+    inputs = methods._loop_inputs(spark, d)
+    monkeypatch.setattr(methods, "_loop_inputs", lambda spark, d: inputs)
+    n, seen = inputs[0].count(), []
+    fit, train, top_n = lm.fit, synth.NGramSynthesizer.train, selection.top_n
+    monkeypatch.setattr(lm, "fit", lambda df, *a: seen.append(df.count()) or fit(df, *a))
+    monkeypatch.setattr(selection, "top_n", lambda df, *a, **k: seen.append(df.count()) or top_n(df, *a, **k))
+    assert {r.setting for r in methods.strategy_grid(spark, d).collect()} == {"influence", "random", "low_ppl", "high_ppl"}
+    assert seen == [n] * 4
+    monkeypatch.setattr(lm, "fit", fit)
+    seen.clear()
+    monkeypatch.setattr(synth.NGramSynthesizer, "train", lambda self, df, *a, **k: seen.append(df.count()) or train(self, df, *a, **k))
+    assert methods.pilot_grid(spark, d).count() == 6
+    assert seen == [n, inputs[2]] * 3
