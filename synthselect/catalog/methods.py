@@ -410,6 +410,13 @@ def influence_pairwise_topk(spark: SparkSession, d: str) -> DataFrame:
     return influence.pairwise(g, g.filter("id < 10"), 5)
 
 
+@query("influence_pairwise_searches", f"WITH g AS ({_G}), n AS (SELECT id, sqrt(sum(g::DOUBLE * g)) AS n FROM g GROUP BY id), p AS (SELECT t.id AS test_id, a.id AS id, round(sum(a.g::DOUBLE * t.g) / max(x.n) / max(y.n), 6) AS v FROM g a JOIN g t ON a.i = t.i AND t.id % 20 = 0 JOIN n x ON x.id = a.id JOIN n y ON y.id = t.id GROUP BY 1, 2) SELECT test_id, id, v, row_number() OVER (PARTITION BY test_id ORDER BY v DESC, id)::INT AS rank FROM p QUALIFY rank <= 5")
+def influence_pairwise_searches(spark: SparkSession, d: str) -> DataFrame:
+    """Every row whose id is divisible by 20 searched against all rows."""
+    g = _grads(spark, d)
+    return influence.pairwise(g, g.filter("id % 20 = 0"), 5)
+
+
 @query("influence_by_category", f"WITH g AS ({_G}), t AS (SELECT label AS c, i, sum(g)::BIGINT AS m FROM g WHERE id % 10 = 0 GROUP BY 1, 2), n AS (SELECT c, sqrt(sum(m::DOUBLE * m)) AS n FROM t GROUP BY c), v AS (SELECT id, c, round(sum(g * m::DOUBLE) / sqrt(sum(g::DOUBLE * g)) / max(n), 6) AS v FROM g JOIN t USING (i) JOIN n USING (c) GROUP BY 1, 2) SELECT id, c::INT AS best, v FROM v QUALIFY row_number() OVER (PARTITION BY id ORDER BY v DESC, c) = 1")
 def influence_by_category(spark: SparkSession, d: str) -> DataFrame:
     e = table(spark, d, "embeddings")

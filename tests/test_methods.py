@@ -217,3 +217,12 @@ def test_grids_use_the_whole_pool(spark, monkeypatch):
     monkeypatch.setattr(synth.NGramSynthesizer, "train", lambda self, df, *a, **k: seen.append(df.count()) or train(self, df, *a, **k))
     assert methods.pilot_grid(spark, d).count() == 6
     assert seen == [n, inputs[2]] * 3
+
+
+def test_pairwise_searches_take_a_twentieth_of_the_table(spark):
+    from synthselect.catalog import methods
+
+    d = "/root/testdata/sf0.001"
+    e = spark.read.parquet(f"{d}/embeddings.parquet")
+    got = methods.influence_pairwise_searches(spark, d).groupBy("test_id").count().collect()
+    assert {r.test_id for r in got} == {r.vec_id for r in e.filter("vec_id % 20 = 0").collect()} and all(r["count"] == 5 for r in got)
