@@ -13,6 +13,9 @@ from pyspark.sql import functions as F
 from ..functions import hash_unit, words
 from . import candidates
 
+#: Words of the passage that an n-gram synthesizer is prompted with.
+PASSAGE = 12
+
 
 class PassageSynthesizer:
     """Hash-placed windows of the snippet: the whole chain can be checked by SQL."""
@@ -83,7 +86,10 @@ class NGramSynthesizer:
         return NGramSynthesizer(self.vocab, self.fanout, self.temperature, self.length, self.seed, models, c.groupBy("u", "w").agg(F.sum("c").alias("c")))
 
     def generate(self, snippets: DataFrame, ckpts: list[int], draws: int) -> DataFrame:
-        cells = candidates.grid(snippets, ckpts, draws).select("snippet_id", F.substring("text", 1, 200).alias("head"), "ckpt", "draw")
+        """q: PASSAGE words from a hash-chosen place of the whole text; s goes on from one of them."""
+        cells = candidates.grid(snippets.select("snippet_id", words("text").alias("_w")), ckpts, draws)
+        place = hash_unit(f"passage{self.seed}", "snippet_id", "ckpt", "draw") % F.greatest(F.lit(1), F.size("_w") - (PASSAGE - 1))
+        cells = cells.select("snippet_id", F.slice("_w", (place + 1).cast("int"), PASSAGE).alias("passage"), "ckpt", "draw")
         sent = snippets.sparkSession.sparkContext.broadcast(self.models)
         seed, length, temp = self.seed, self.length, self.temperature
 
@@ -102,12 +108,12 @@ class NGramSynthesizer:
         def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
             for pdf in batches:
                 q, s = [], []
-                for i, head, c, d in zip(pdf["snippet_id"], pdf["head"], pdf["ckpt"], pdf["draw"]):
+                for i, passage, c, d in zip(pdf["snippet_id"], pdf["passage"], pdf["ckpt"], pdf["draw"]):
                     rng = np.random.default_rng([seed, int(i) & 0xFFFFFFFF, int(c), int(d)])
-                    w = (head or "").lower().split() or ["<s>"]
+                    w = [] if passage is None else list(passage)
                     model = sent.value[min(int(c), len(sent.value) - 1)]
-                    q.append(" ".join(w[:12]))
-                    s.append(write(model, w[int(rng.integers(len(w)))], rng))
+                    q.append(" ".join(w))
+                    s.append(write(model, w[int(rng.integers(len(w)))] if w else "<s>", rng))
                 yield pd.DataFrame({"snippet_id": pdf["snippet_id"], "ckpt": pdf["ckpt"], "draw": pdf["draw"], "q": q, "s": s})
 
         return cells.mapInPandas(run, "snippet_id long, ckpt int, draw int, q string, s string")

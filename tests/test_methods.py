@@ -226,3 +226,14 @@ def test_pairwise_searches_take_a_twentieth_of_the_table(spark):
     e = spark.read.parquet(f"{d}/embeddings.parquet")
     got = methods.influence_pairwise_searches(spark, d).groupBy("test_id").count().collect()
     assert {r.test_id for r in got} == {r.vec_id for r in e.filter("vec_id % 20 = 0").collect()} and all(r["count"] == 5 for r in got)
+
+
+def test_trained_synthesizer_reads_the_whole_text(spark):
+    text = " ".join(f"word{i:03d}" for i in range(300))
+    docs = spark.createDataFrame([(i, text) for i in range(40)] + [(90, ""), (91, None), (92, "Two words")], "snippet_id long, text string")
+    model = synth.NGramSynthesizer(length=2).train(docs.select(F.col("snippet_id").alias("id"), "text"), 1)
+    rows = model.generate(docs, [0], 10).collect()
+    q = {r.snippet_id: r.q for r in rows}
+    assert len(rows) == 430 and q[90] == q[91] == "" and q[92] == "two words"
+    asked = {w for r in rows if r.snippet_id < 40 for w in r.q.split()}
+    assert len(asked) >= 290 and all(r.q in text and len(r.q.split()) == 12 for r in rows if r.snippet_id < 40)
