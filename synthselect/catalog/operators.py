@@ -284,6 +284,14 @@ def op_strings(spark, d):
     return docs.filter("lang = 'en'").select("doc_id", F.upper(sub(1, 20)).alias("head"), F.length("text").alias("n"), F.md5(F.col("text").cast("binary")).alias("digest"), F.replace("source", F.lit("_"), F.lit("-")).alias("src"), F.lpad("lang", 4, ".").alias("padded"), F.levenshtein(sub(1, 10), sub(2, 10)).alias("dist"))
 
 
+@query("op_string_functions_all")
+def op_strings_all(spark, d):
+    """Edit distances in characters: DuckDB counts bytes, so beyond English there is no SQL."""
+    (docs,) = T(spark, d, "documents")
+    sub = lambda a, n: F.substring("text", a, n)
+    return docs.select("doc_id", F.upper(sub(1, 20)).alias("head"), F.length("text").alias("n"), F.md5(F.col("text").cast("binary")).alias("digest"), F.replace("source", F.lit("_"), F.lit("-")).alias("src"), F.lpad("lang", 4, ".").alias("padded"), F.levenshtein(sub(1, 10), sub(2, 10)).alias("dist"))
+
+
 @query("op_regex_functions", "SELECT doc_id, len(regexp_extract_all(text, '[A-Z][a-z]+'))::INT AS names, regexp_extract(text, '[a-z]+', 0) AS first, md5(regexp_replace(text, '[aeiou]+', '*', 'g')) AS masked FROM documents")
 def op_regex(spark, d):
     (docs,) = T(spark, d, "documents")
@@ -370,6 +378,13 @@ def op_udtf(spark, d):
     return spark.sql("SELECT source, count(*) AS n FROM _udtf_docs, LATERAL text_ngrams(text, 2) GROUP BY source")
 
 
+@query("op_udtf_ngrams_all", f"SELECT source, count(*) AS n FROM (SELECT source, unnest(range(1, len(t))) FROM (SELECT source, {w('text')} AS t FROM documents)) GROUP BY 1")
+def op_udtf_all(spark, d):
+    spark.udtf.register("text_ngrams", _grams_udtf())
+    table(spark, d, "documents").createOrReplaceTempView("_udtf_all_docs")
+    return spark.sql("SELECT source, count(*) AS n FROM _udtf_all_docs, LATERAL text_ngrams(text, 2) GROUP BY source")
+
+
 @query("op_sink_partitioned_roundtrip", "SELECT doc_id, n_chars FROM documents WHERE lang = 'fr'")
 def op_roundtrip(spark, d):
     path = scratch(spark)
@@ -377,6 +392,13 @@ def op_roundtrip(spark, d):
     return spark.read.parquet(path).filter("lang = 'fr'").select("doc_id", "n_chars")
 
 
+@query("op_sink_partitioned_roundtrip_all", "SELECT doc_id, n_chars FROM documents")
+def op_roundtrip_all(spark, d):
+    path = scratch(spark)
+    table(spark, d, "documents").select("doc_id", "n_chars", "lang").write.partitionBy("lang").parquet(path)
+    return spark.read.parquet(path).select("doc_id", "n_chars")
+
+
 @query("op_sql_functions", "SELECT doc_id, round(1 - ((n_chars % 7) + 0.0) / 7, 6) AS p FROM documents")
 def op_sql(spark, d):
     from ..functions import sqlapi

@@ -48,3 +48,27 @@ def test_equals_sql(spark, duck, name):
 @pytest.mark.parametrize("name", ["grad_lowrank_influence", "ridge_loo", "ridge_weights", "ridge_diagnostics", "op_agg_approx_distinct", "op_agg_quantile_sketch"])
 def test_has_rows(spark, name):
     assert QUERIES[name](spark, SF).count() > 0
+
+
+def test_whole_tables_beside_one_language(spark):
+    n = spark.read.parquet(f"{SF}/documents.parquet").count()
+    assert all(QUERIES[q](spark, SF).count() == n for q in ("op_string_functions_all", "op_sink_partitioned_roundtrip_all"))
+    words = spark.read.parquet(f"{SF}/documents.parquet").selectExpr("size(filter(split(lower(text), '[ \\n]+'), w -> w <> '')) AS n")
+    assert QUERIES["op_udtf_ngrams_all"](spark, SF).selectExpr("sum(n)").first()[0] == words.selectExpr("sum(greatest(0, n - 1))").first()[0]
+
+
+def test_string_functions_of_all_languages_by_brute_force(spark):
+    import hashlib
+
+    def distance(a, b):
+        row = list(range(len(b) + 1))
+        for i, x in enumerate(a, 1):
+            last, row[0] = row[0], i
+            for j, y in enumerate(b, 1):
+                last, row[j] = row[j], min(row[j] + 1, row[j - 1] + 1, last + (x != y))
+        return row[-1]
+
+    rows = spark.read.parquet(f"{SF}/documents.parquet").collect()
+    want = {r.doc_id: (r.text[:20].upper(), len(r.text), hashlib.md5(r.text.encode()).hexdigest(), r.source.replace("_", "-"), r.lang[:4].rjust(4, "."), distance(r.text[:10], r.text[1:11])) for r in rows}
+    got = {r.doc_id: (r["head"], r.n, r.digest, r.src, r.padded, r.dist) for r in QUERIES["op_string_functions_all"](spark, SF).collect()}
+    assert got == want and len({r.lang for r in rows}) > 1
