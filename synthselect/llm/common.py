@@ -11,8 +11,10 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-#: A hot-bucket list is broadcast; its length can't pass this, see :func:`block_size`.
-MAX_HOT = 500_000
+#: Key lists up to so many rows (8 bytes each) are broadcast; longer ones are joined by a shuffle.
+MOST_SENT = 500_000
+#: A key with more than a share of 1 / SHARES of a table's rows is hot.
+SHARES = 2000
 
 
 def read(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
@@ -20,28 +22,66 @@ def read(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder of spark.checkpoint.dir; where that is unset (tests), one of this process."""
+    """The folder of spark.checkpoint.dir; where that is unset on one machine (tests), one of this process."""
     d = spark.conf.get("spark.checkpoint.dir", None)
     if not d:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir must name a folder that the driver and all executors share")
         d = getattr(shared_dir, "own", None) or tempfile.mkdtemp(prefix="synthselect-")
         shared_dir.own = d
     return d.rstrip("/")
 
 
-def land(df: DataFrame, name: str) -> DataFrame:
+#: Folders landed by this process and not deleted yet, oldest first.
+LANDED: list[str] = []
+
+
+def land(df: DataFrame, name: str, *partitions: str) -> DataFrame:
     """Write df to the shared folder and read it back: cuts lineage, survives lost executors.
 
-    The files go when the driver's JVM ends.
+    The files go when release() says so, at the latest when the driver's JVM ends.  With `partitions` the folder is
+    laid out by those columns.
     """
     spark = df.sparkSession
-    path = f"{shared_dir(spark)}/synthselect-{uuid.uuid4().hex}/{name}"
-    df.write.parquet(path)
-    jvm = spark.sparkContext._jvm
-    p = jvm.org.apache.hadoop.fs.Path(path).getParent()
-    p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).deleteOnExit(p)
+    top = f"{shared_dir(spark)}/synthselect-{uuid.uuid4().hex}"
+    path = f"{top}/{name}"
+    df.write.partitionBy(*partitions).parquet(path) if partitions else df.write.parquet(path)
+    fs, p = _file(spark, top)
+    fs.deleteOnExit(p)
+    LANDED.append(top)
     return spark.read.schema(df.schema).parquet(path)
 
 
+def _file(spark: SparkSession, path: str):
+    p = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    return p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()), p
+
+
+def release(spark: SparkSession, since: int, keep: int = 0) -> None:
+    """Delete what was landed after the first `since` folders, but for the last `keep`."""
+    for top in LANDED[since : len(LANDED) - keep]:
+        fs, p = _file(spark, top)
+        fs.delete(p, True)
+        LANDED.remove(top)
+
+
+def join_spread(rows: DataFrame, table: DataFrame, key: str, count: str, total: int, how: str = "inner") -> DataFrame:
+    """rows joined with table, which has one row a key with `count`, the rows of that key; `count` is dropped.
+
+    Keys with more than total / SHARES rows, SHARES at most, are broadcast, so none gathers in one task.  how:
+    inner or left; keys are not null.
+    """
+    most = max(1000, total // SHARES)
+    hot = table.filter(F.col(count) > most).drop(count)
+    rest = table.filter(F.col(count) <= most).drop(count)
+    return rows.join(F.broadcast(hot), key).union(rows.join(F.broadcast(hot.select(key)), key, "left_anti").join(rest, key, how))
+
+
+def sent(keys: DataFrame) -> DataFrame:
+    """keys as a side of a join: broadcast after a check of its size."""
+    return F.broadcast(keys) if keys.limit(MOST_SENT + 1).count() <= MOST_SENT else keys
+
+
 def whole_runs(batches: Iterator[pd.DataFrame], keys: list[str], least: int = 50_000) -> Iterator[tuple[pd.DataFrame, np.ndarray]]:
     """Regroup sorted batches so that no run of equal keys is cut: (frame, starts of the runs)."""
     held: list[pd.DataFrame] = []
@@ -117,22 +157,16 @@ def stars(a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return ids[keep], ids[label[keep]]
 
 
-def block_size(total: int, least: int) -> int:
-    """Buckets of more rows are cut into blocks; at most total / block_size <= MAX_HOT buckets are."""
-    return max(least, -(-total // MAX_HOT))
-
-
-def in_blocks(rows: DataFrame, key: str, member: str, total: int, least: int) -> DataFrame:
+def in_blocks(rows: DataFrame, key: str, member: str, block: int) -> DataFrame:
     """Add bi, bj, mine and group rows by (key, bi, bj): each pair of a bucket's blocks meets once.
 
-    A bucket of at most block_size rows is one block (0, 0).  A larger one is cut by a hash of
-    `member`; a row of block b goes to the block pairs (min(b, j), max(b, j)) for every j.
+    A bucket of at most `block` rows is one block (0, 0).  A larger one is cut by a hash of `member`; a row of
+    block b goes to the block pairs (min(b, j), max(b, j)) for every j.  The block is the same at any size of input.
     """
-    block = block_size(total, least)
-    hot = rows.groupBy(key).agg(F.count(F.lit(1)).alias("_n")).filter(F.col("_n") > block).collect()  # <= MAX_HOT rows
-    if hot:
-        table = rows.sparkSession.createDataFrame([(r[0], -(-r["_n"] // block)) for r in hot], f"{key} long, _nb long")
-        rows = rows.join(F.broadcast(table), key, "left").withColumn("_nb", F.coalesce("_nb", F.lit(1)))
+    hot = rows.groupBy(key).agg(F.count(F.lit(1)).alias("_n")).filter(F.col("_n") > block)
+    hot = land(hot.select(key, F.expr(f"cast(ceil(_n / {block}) as long) as _nb")), "hot")
+    if hot.limit(1).count():
+        rows = rows.join(sent(hot), key, "left").withColumn("_nb", F.coalesce("_nb", F.lit(1)))
         rows = rows.withColumn("mine", F.expr(f"cast(pmod(xxhash64({member}, 7), _nb) as int)"))
         rows = rows.withColumn("_j", F.explode(F.expr("sequence(0, cast(_nb as int) - 1)"))).withColumns({"bi": F.least("mine", "_j"), "bj": F.greatest("mine", "_j")}).drop("_nb", "_j")
     else:

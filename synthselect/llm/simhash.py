@@ -5,6 +5,10 @@ segment in which they differ in at most one, so with one wildcard bit in that se
 each fingerprint is indexed under 64 variants (the wildcard's place and the other bits of its
 segment), equal variants meet, and every pair that meets is verified on all 64 bits.
 
+A bucket of more than BLOCK rows is split once more: its fingerprints agree in one segment but for a bit, and
+of the other bits, cut into 5, two that are linked share one part whole.  What is still too large is
+compared in pairs of blocks.
+
 Distinct fingerprints are the nodes, so exact copies cost nothing; a bucket's links leave as a star,
 so no group is expanded into pairs.
 """
@@ -26,6 +30,8 @@ SEGMENTS = 3
 WORDS = 4
 MOST_BITS = 4
 SEED = 42
+#: Rows of a bucket that are compared in one task.
+BLOCK = 2048
 
 
 def fingerprint(text: str | None, words: int = WORDS, seed: int = SEED) -> int:
@@ -77,6 +83,18 @@ def variants(fps: DataFrame) -> DataFrame:
     return fps.select(F.explode(F.expr(f"array({', '.join(keys)})")).alias("key"), "fp")
 
 
+def finer(rows: DataFrame) -> DataFrame:
+    """5 rows (key, fp) for each: the bucket and one of the 5 parts of the bits outside its segment."""
+    at = F.shiftrightunsigned("key", 32)
+    rest = F.lit(0).cast("long")
+    for lo, width in _segments():
+        above = f"shiftleft(shiftrightunsigned(fp, {lo + width}), {lo})" if lo + width < 64 else "0L"
+        rest = F.when((at >= lo) & (at < lo + width), F.expr(f"(fp & {(1 << lo) - 1}L) | {above}")).otherwise(rest)
+    cuts = [43 * k // 5 for k in range(6)]
+    parts = [F.xxhash64("key", F.lit(k), F.shiftrightunsigned("_rest", lo).bitwiseAND((1 << (hi - lo if k < 4 else hi - lo + 1)) - 1)) for k, (lo, hi) in enumerate(zip(cuts, cuts[1:]))]
+    return rows.withColumn("_rest", rest).select(F.explode(F.array(*parts)).alias("key"), "fp")
+
+
 def links(fps: DataFrame, most_bits: int = MOST_BITS) -> DataFrame:
     """Verified links (a, b) between distinct fingerprints; each bucket's links as a star."""
 
@@ -100,7 +118,13 @@ def links(fps: DataFrame, most_bits: int = MOST_BITS) -> DataFrame:
 
     fps = fps.select("fp").distinct()
     rows = variants(fps)
-    rows = common.in_blocks(rows, "key", "fp", 64 * fps.count(), 2048)
+    hot = common.land(rows.groupBy("key").agg(F.count(F.lit(1)).alias("n")).filter(F.col("n") > BLOCK).select("key"), "hot")
+    if hot.limit(1).count():
+        hot = common.sent(hot)
+        rows = rows.join(hot, "key", "left_anti").union(finer(rows.join(hot, "key", "left_semi")))
+        rows = common.in_blocks(rows, "key", "fp", BLOCK)
+    else:
+        rows = rows.withColumns({"mine": F.lit(0), "bi": F.lit(0), "bj": F.lit(0)}).repartition("key").sortWithinPartitions("key")
     return rows.mapInPandas(run, "a long, b long")
 
 
@@ -113,11 +137,13 @@ def simhash_groups(docs: DataFrame, most_bits: int = MOST_BITS) -> DataFrame:
     """
     found = common.land(fingerprints(docs), "simhash")
     root = common.components(links(found.select("fp"), most_bits))
-    low = found.groupBy("fp").agg(F.min("doc_id").alias("low"))
-    low = low.join(root, low.fp == root.id, "left").select("fp", "low", F.coalesce("root", "fp").alias("root"))
-    ids = low.groupBy("root").agg(F.min("low").alias("component_id"))
-    of = low.join(ids, "root").select("fp", "component_id")
-    return found.join(of, "fp").select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
+    low = found.groupBy("fp").agg(F.min("doc_id").alias("low"), F.count(F.lit(1)).alias("n"))
+    low = low.join(root, low.fp == root.id, "left").select("fp", "low", F.coalesce("root", "fp").alias("root"), "n")
+    low = common.land(low, "classes")
+    ids = low.groupBy("root").agg(F.min("low").alias("component_id"), F.count(F.lit(1)).alias("_n"))
+    of = common.join_spread(low.select("fp", "root", "n"), ids, "root", "_n", low.count()).select("fp", "component_id", F.col("n").alias("_n"))
+    out = common.join_spread(found, of, "fp", "_n", found.count())
+    return out.select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 
 
 def near_dedup(docs: DataFrame) -> DataFrame:

@@ -24,6 +24,8 @@ TABLES = 5
 NEIGHBOURS = 2
 SCALE = 0.6
 SEED = 20
+#: Rows of a cell that are compared in one task.
+BLOCK = 2048
 
 
 def decode_e8(x: np.ndarray) -> np.ndarray:
@@ -159,19 +161,19 @@ def similar(emb: DataFrame, least: float = LEAST_COSINE, tables: int = TABLES, n
     nodes = classes.withColumn("node", F.xxhash64("_label", "embedding"))
     rows = nodes.select("node", "weight", "embedding", "_label").mapInPandas(place, "cell long, id long, weight long, unit binary, codes binary")
     rows = common.land(rows, "cells")
-    total = classes.count() * tables * (1 + neighbours)
-    found = common.land(common.in_blocks(rows, "cell", "id", total, 2048).mapInPandas(meet, "a long, b long, n long"), "links")
+    found = common.land(common.in_blocks(rows, "cell", "id", BLOCK).mapInPandas(meet, "a long, b long, n long"), "links")
     root = common.components(found.select("a", "b"))
     n = found.filter("n > 0").groupBy("a").agg(F.sum("n").alias("n"))
     ids = nodes.select("node", "_label", "embedding", "weight", "vec_id")
     ids = ids.join(n, ids.node == n.a, "left").join(root, ids.node == root.id, "left")
-    ids = ids.select("node", "vec_id", F.expr("weight - 1 + coalesce(n, 0)").alias("n_links"), F.coalesce("root", "node").alias("root"))
+    ids = ids.select("node", "vec_id", F.expr("weight - 1 + coalesce(n, 0)").alias("n_links"), F.coalesce("root", "node").alias("root"), "weight")
     ids = common.land(ids, "nodes")
-    low = ids.groupBy("root").agg(F.min("vec_id").alias("low"))
-    ids = ids.join(low, "root").select("node", "n_links", "low")
-    ok = F.expr("_label is not null and embedding is not null and size(embedding) > 0")
-    all_ = base.select("vec_id", F.when(ok, F.xxhash64("_label", "embedding")).alias("node"))
-    out = all_.join(ids, "node", "left")
+    low = ids.groupBy("root").agg(F.min("vec_id").alias("low"), F.count(F.lit(1)).alias("_n"))
+    ids = common.join_spread(ids, low, "root", "_n", ids.count()).select("node", "n_links", "low", F.col("weight").alias("_n"))
+    can = F.expr("_label is not null and embedding is not null and size(embedding) > 0")
+    some = base.filter(can).select("vec_id", F.xxhash64("_label", "embedding").alias("node"))
+    alone = base.filter(~can).select("vec_id", F.lit(None).cast("long").alias("n_links"), F.lit(None).cast("long").alias("low"))
+    out = common.join_spread(some, ids, "node", "_n", base.count(), "left").select("vec_id", "n_links", "low").union(alone)
     return out.select("vec_id", F.coalesce("n_links", F.lit(0).cast("long")).alias("n_links"), F.coalesce("low", "vec_id").alias("component_id")).withColumn("kept", F.expr("vec_id = component_id"))
 
 

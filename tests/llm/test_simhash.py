@@ -64,7 +64,7 @@ def test_every_distance_up_to_four_bits_meets_and_chains_join(spark):
 def test_hot_bucket_is_cut_into_blocks(spark, monkeypatch):
     from synthselect.llm import common
 
-    monkeypatch.setattr(common, "block_size", lambda total, least: 8)
+    monkeypatch.setattr(simhash, "BLOCK", 8)
     df = spark.createDataFrame([(1 << i,) for i in range(60)] + [(0,)], "fp long")
     got = common.components(simhash.links(df)).collect()
     assert len(got) == 60 and len({r.root for r in got}) == 1
@@ -87,3 +87,28 @@ def df_lit(x):
     from pyspark.sql import functions as F
 
     return F.lit(x)
+
+
+def test_finer_keys_keep_every_link(spark, monkeypatch):
+    from synthselect.llm import common
+
+    rng = np.random.default_rng(8)
+    base = rng.integers(0, 2**63, 60, dtype=np.uint64)
+    vals = list(base)
+    for b in base:
+        for _ in range(3):
+            x = b
+            for bit in rng.choice(64, rng.integers(1, 5), replace=False):
+                x = x ^ np.uint64(1 << int(bit))
+            vals.append(x)
+    v = np.unique(np.array(vals, np.uint64))
+    near = np.bitwise_count(v[:, None] ^ v[None]) <= 4
+    label = np.arange(len(v))
+    for _ in range(len(v)):
+        label = np.array([label[row].min() for row in near])
+    df = spark.createDataFrame([(int(x),) for x in v.astype(np.int64)], "fp long")
+    for block in (1, 2048):
+        monkeypatch.setattr(simhash, "BLOCK", block)
+        root = {r.id: r.root for r in common.components(simhash.links(df)).collect()}
+        got = [root.get(int(x), int(x)) for x in v.astype(np.int64)]
+        assert len(set(got)) == len(set(label.tolist())) == len(set(zip(got, label.tolist())))

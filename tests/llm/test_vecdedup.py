@@ -54,9 +54,7 @@ def test_counts_components_and_recall(spark):
 
 
 def test_one_dense_group_counts_every_pair_once(spark, monkeypatch):
-    from synthselect.llm import common
-
-    monkeypatch.setattr(common, "block_size", lambda total, least: 64)
+    monkeypatch.setattr(vecdedup, "BLOCK", 64)
     rng = np.random.default_rng(1)
     v = np.ones(16) / 4 + rng.normal(size=(300, 16)) * 0.004
     got, link, n = _check(spark, np.arange(300), v, np.zeros(300))
