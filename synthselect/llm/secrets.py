@@ -4,12 +4,15 @@ One model is trained on random strings, the other on ordinary identifiers.  The
 by the pattern rules over all documents (values inside a match of a rule are random strings, all other
 text is ordinary, but for the tokens that are to be judged), with seeded draws over the usual alphabets and seeded
 compound identifiers so that neither model is ever empty.  What training gathers is one count per character pair and
-label.  Every token of LEAST_TOKEN characters or more outside the rules' matches is judged, by the ratio alone.
+label.  Every token of LEAST_TOKEN characters or more outside the rules' matches is judged, by the ratio alone: the
+threshold is the one that separates held-out samples of both labels best, a false alarm counting as ALARM misses.
 """
 
 from __future__ import annotations
 
+import bisect
 import hashlib
+import itertools
 import re
 from collections import Counter
 from collections.abc import Iterator
@@ -33,8 +36,10 @@ TOKEN = re.compile(r"[A-Za-z0-9+/_=-]{16,}")
 WORD = re.compile(r"[A-Za-z0-9+/_=-]{4,}")
 CHARS = "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789+/_=-"
 LEAST_TOKEN = 16
-#: A token is random if its mean log-likelihood ratio per character passes this (nats).
-LEAST_RATIO = 1.5
+#: Thresholds of the mean log-likelihood ratio per character (nats) that are tried.
+RATIOS = [k / 20 for k in range(10, 51)]
+#: Misses that weigh as much as one false alarm.
+ALARM = 10
 #: Weight, in characters, of a model's plain frequencies against its pair counts.
 BACKING = 5.0
 DRAWS = 2000
@@ -71,8 +76,14 @@ def base_spans(text: str) -> list[Span]:
     return sorted(found)
 
 
-def _outside(start: int, end: int, spans: list[Span]) -> bool:
-    return all(end <= s or e <= start for s, _, e in spans)
+def _outside(tokens: Iterator[re.Match], spans: list[Span]) -> Iterator[re.Match]:
+    """The tokens that touch none of the sorted spans; the spans of several kinds may overlap."""
+    starts = [s for s, _, _ in spans]
+    reach = list(itertools.accumulate((e for _, _, e in spans), max))
+    for m in tokens:
+        before = bisect.bisect_left(starts, m.end())
+        if not before or reach[before - 1] <= m.start():
+            yield m
 
 
 _AT = {c: i + 1 for i, c in enumerate(CHARS)}
@@ -101,15 +112,22 @@ def random_samples(n: int = DRAWS, seed: int = SEED) -> list[str]:
 
 
 def ordinary_samples(n: int = DRAWS, seed: int = SEED) -> list[str]:
-    """Seeded compound identifiers in the usual spellings, and plain numbers."""
+    """Seeded compound identifiers in the usual spellings, some with versions or numbers, dates, paths, plain numbers."""
     rng = np.random.default_rng(seed)
     out = []
     for k in range(n):
         w = [PARTS[i] for i in rng.integers(len(PARTS), size=int(rng.integers(2, 6)))]
-        if rng.random() < 0.2:
-            w[-1] += str(rng.integers(100))
+        if rng.random() < 0.3:
+            w[int(rng.integers(len(w)))] += str(rng.integers(100))
+        if rng.random() < 0.15:
+            w.append(f"v{rng.integers(1, 30)}")
+        y, m, d, t = int(rng.integers(1970, 2040)), int(rng.integers(1, 13)), int(rng.integers(1, 29)), int(rng.integers(0, 86400))
+        clock = f"{t // 3600:02d}{t // 60 % 60:02d}{t % 60:02d}"
         camel = "".join(x.capitalize() for x in w)
-        styles = ("_".join(w), "_".join(w).upper(), camel, camel[0].lower() + camel[1:], "-".join(w), "/" + "/".join(w), "__" + "_".join(w), "=" * 8 + "-" * 8, str(rng.integers(10**15, 10**18)))
+        styles = (
+            "_".join(w), "_".join(w).upper(), camel, camel[0].lower() + camel[1:], "-".join(w), "/" + "/".join(w), "__" + "_".join(w), "=" * 8 + "-" * 8, str(rng.integers(10**15, 10**18)),
+            f"{w[0].upper()}_{y}{m:02d}{d:02d}_{clock}", f"{y}-{m:02d}-{d:02d}T{clock[:2]}-{clock[2:4]}-{clock[4:]}", f"{'_'.join(w)}_{y}_{m:02d}", f"{'/'.join(w)}/{y}/{m:02d}/{camel}",
+        )
         out.append(styles[k % len(styles)])
     return out
 
@@ -128,9 +146,7 @@ def _first_pass(docs: DataFrame) -> DataFrame:
                 spans = base_spans(text)
                 own = []
                 if b"1" * LEAST_TOKEN in data.translate(_IS_TOKEN):
-                    for m in TOKEN.finditer(text):
-                        if _outside(m.start(), m.end(), spans):
-                            own.append(f"{m.start()}:{m.end()}:{m.group()}")
+                    own = [f"{m.start()}:{m.end()}:{m.group()}" for m in _outside(TOKEN.finditer(text), spans)]
                 if spans:  # what lies between the matches is ordinary
                     sums[_N * _N :] += _pairs(" ".join(t for s, _, e in spans for t in WORD.findall(text, s, e) if len(t) >= LEAST_TOKEN).encode())
                 if spans or own:  # tokens still to be judged train neither model
@@ -163,6 +179,14 @@ class MarkovPair:
         alone /= alone.sum(axis=2, keepdims=True)
         p = np.log((m + BACKING * alone) / (m.sum(axis=2, keepdims=True) + BACKING))
         self.table = (p[1] - p[0]).ravel().tolist()
+        self.least = self.best_threshold(SEED + 1)
+
+    def best_threshold(self, seed: int) -> float:
+        """Of RATIOS the one with the fewest misses and weighted false alarms on held-out samples; the middle of equals."""
+        hot, cold = (np.array([self.ratio(t) for t in made(DRAWS, seed) if len(t) >= LEAST_TOKEN]) for made in (random_samples, ordinary_samples))
+        cost = np.array([(hot < r).mean() + ALARM * (cold >= r).mean() for r in RATIOS])
+        best = np.flatnonzero(cost <= cost.min() + 1e-12)
+        return RATIOS[int(best[len(best) // 2])]
 
     def ratio(self, token: str) -> float:
         """Mean log-likelihood ratio per character."""
@@ -174,7 +198,7 @@ class MarkovPair:
         return total / max(1, len(token))
 
     def is_random(self, token: str) -> bool:
-        return len(token) >= LEAST_TOKEN and self.ratio(token) >= LEAST_RATIO
+        return len(token) >= LEAST_TOKEN and self.ratio(token) >= self.least
 
 
 def mixed(token: str) -> bool:
@@ -195,7 +219,7 @@ def train(docs: DataFrame) -> MarkovPair:
 
 def all_spans(text: str, model: MarkovPair) -> list[Span]:
     spans = base_spans(text)
-    more = [(m.start(), 3, m.end()) for m in TOKEN.finditer(text) if model.is_random(m.group()) and _outside(m.start(), m.end(), spans)]
+    more = [(m.start(), 3, m.end()) for m in _outside(TOKEN.finditer(text), spans) if model.is_random(m.group())]
     return sorted(spans + more)
 
 

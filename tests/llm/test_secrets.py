@@ -78,3 +78,36 @@ def test_the_ratio_alone_decides(spark):
 def test_clean_long_words_of_the_table_stay(spark):
     docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
     assert S.scan(docs).selectExpr("sum(n_markov)").first()[0] == 0
+
+
+IDENTIFIERS = """getUserAccountBalance2V10 test_case_2024_11_parse_v2 sha256_checksum_file_v10 IMG_20240131_123456 read_http2_response_v1 section_12_table_34_row
+AbstractSingletonProxyFactoryBean numpy_ndarray_astype /usr/lib/python3/dist-packages BUILD_SHARED_LIBRARIES kubernetes-dashboard-certs 2023-11-30T08-15-42 1699999999123456
+testShouldReturnNotFoundWhenMissing __pycache__/conftest_helpers user_profile_thumbnail_256x256 XMLHttpRequestEventTarget ubuntu-22-04-server-amd64""".split()
+
+
+def test_precision_and_recall_on_labelled_tokens(spark):
+    model = S.train(spark.read.parquet("/root/testdata/sf0.01/documents.parquet"))
+    assert [t for t in IDENTIFIERS if model.is_random(t)] == []
+    for seed in (321, 654):  # neither trains nor sets the threshold
+        hot, cold = S.random_samples(3000, seed), [t for t in S.ordinary_samples(3000, seed) if len(t) >= S.LEAST_TOKEN]
+        found, false = sum(map(model.is_random, hot)), sum(map(model.is_random, cold))
+        assert found >= 0.95 * len(hot) and found >= 0.98 * (found + false)
+
+
+def test_tokens_beside_many_overlapping_spans():
+    import random
+    import re
+
+    rng = random.Random(4)
+    for _ in range(300):
+        spans = sorted((a := rng.randrange(200), rng.randrange(3), a + rng.randrange(1, 40)) for _ in range(rng.randrange(8)))
+        text = "".join(rng.choice("abc ") for _ in range(240))
+        want = [m.span() for m in re.finditer("[abc]+", text) if all(m.end() <= s or e <= m.start() for s, _, e in spans)]
+        assert [m.span() for m in S._outside(re.finditer("[abc]+", text), spans)] == want
+
+
+def test_mask_secrets_on_odd_tables(spark):
+    docs = spark.createDataFrame([(None, "token=abcdefgh1", "x"), (1, None, "y"), (1, "", None), (1, "token=abcdefgh1", "x")], "doc_id long, text string, masked string")
+    got = S.mask_secrets(docs)
+    assert got.columns == docs.columns and sorted(map(str, (r.text for r in got.collect()))) == ["", "None", "[secret]", "[secret]"]
+    assert sorted(map(str, (r.masked for r in got.collect()))) == ["None", "x", "x", "y"] and S.mask_secrets(docs.limit(0)).count() == 0
