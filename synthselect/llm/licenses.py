@@ -4,6 +4,8 @@ Templates of similar length form a class with windows of its own: blocks of `hop
 window that every run as long as the class's longest template lies within one.  A window that holds 80 %
 of a template's shingles then has at least a known Jaccard likeness to it, and the class's bands are so
 many that such a window shares one with probability 0.999 or more.
+
+A text without any shingle of any template shares no band with one, so only the others get signatures.
 """
 
 from __future__ import annotations
@@ -72,9 +74,9 @@ class Shingler:
 class Bands:
     """One class: its templates, window geometry and band keys."""
 
-    def __init__(self, members: dict[int, np.ndarray], least: float, sure: float, seed: int):
+    def __init__(self, members: dict[int, np.ndarray], longest: int, least: float, sure: float, seed: int):
+        """longest: shingles of the longest template, repeats included."""
         self.members = members
-        longest = max(map(len, members.values()))
         self.hop = max(1, longest // 8)
         self.blocks = longest if self.hop == 1 else -(-longest // self.hop) + 1
         width = self.hop * self.blocks
@@ -83,16 +85,14 @@ class Bands:
         p = self.likeness**self.rows
         self.bands = 1 if p > sure else math.ceil(math.log(1 - sure) / math.log(1 - p))
         rng = np.random.default_rng(seed)
-        self.factors = rng.integers(0, 2**63, self.rows * self.bands, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+        self.salts = rng.integers(0, 2**63, self.rows * self.bands, dtype=np.uint64)
         keys, of = [], []
         for k, t in members.items():
-            low = np.array([(t * f).min() for f in self.factors], np.uint64)
+            low = np.array([_mixed(t ^ f).min() for f in self.salts], np.uint64)
             keys.append(self._keys(low[:, None])[:, 0])
             of.append(k)
-        self.keys, self.of = np.array(keys), np.array(of)  # templates x bands
-        self.maybe = np.zeros((self.bands, 1 << 16), bool)
-        for b in range(self.bands):
-            self.maybe[b, (self.keys[:, b] >> np.uint64(48)).astype(np.int64)] = True
+        order = np.argsort(np.array(keys), axis=0)  # templates x bands
+        self.keys, self.of = np.take_along_axis(np.array(keys), order, axis=0), np.array(of)[order]
 
     def _keys(self, low: np.ndarray) -> np.ndarray:
         """Band keys of signatures (hashes x windows)."""
@@ -115,20 +115,20 @@ class Bands:
         hi = np.minimum(lo + self.blocks, np.repeat(b0 + nb, nw))
         whole = np.repeat(nb >= self.blocks, nw)  # else the document is one shorter window
         edges = np.stack([lo[~whole], hi[~whole]], axis=1).ravel()
-        low = np.empty((len(self.factors), len(lo)), np.uint64)
-        for k, f in enumerate(self.factors):
-            block = np.minimum.reduceat(h * f, at) if self.hop > 1 else h * f
+        low = np.empty((len(self.salts), len(lo)), np.uint64)
+        for k, f in enumerate(self.salts):
+            block = np.minimum.reduceat(_mixed(h ^ f), at) if self.hop > 1 else _mixed(h ^ f)
             low[k, whole] = _sliding(block, self.blocks)[lo[whole]] if len(block) >= self.blocks else 0
             if len(edges):
                 low[k, ~whole] = np.minimum.reduceat(np.append(block, np.uint64(0)), edges)[::2]
         keys = self._keys(low)
         rows, temps = [], []
-        for b in range(self.bands):
-            some = np.flatnonzero(self.maybe[b][(keys[b] >> np.uint64(48)).astype(np.int64)])
-            for k, key in zip(self.of, self.keys[:, b]):
-                hit = some[keys[b][some] == key]
-                rows.append(hit)
-                temps.append(np.full(len(hit), k))
+        for b in range(self.bands):  # look every window's key up among the templates' sorted keys
+            first_, last = (np.searchsorted(self.keys[:, b], keys[b], side=x) for x in ("left", "right"))
+            hit = np.flatnonzero(last > first_)
+            n = last[hit] - first_[hit]
+            rows.append(np.repeat(hit, n))
+            temps.append(self.of[np.repeat(first_[hit], n) + np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n), b])
         found = np.unique(np.stack([np.concatenate(rows), np.concatenate(temps)]), axis=1)
         ends = np.append(at, len(h))
         doc_end = np.repeat(first + sizes, nw)[found[0]]
@@ -139,33 +139,43 @@ class LicenseIndex:
     def __init__(self, templates: dict[str, str] | None = None, least: float = LEAST, sure: float = SURE):
         self.shingler, self.least = Shingler(), least
         self.names = list(templates or TEMPLATES)
-        sets = [np.unique(self.shingler.hashes(self.shingler.words(t))) for t in (templates or TEMPLATES).values()]
+        runs = [self.shingler.hashes(self.shingler.words(t)) for t in (templates or TEMPLATES).values()]
+        sets = [np.unique(h) for h in runs]
         if any(not len(s) for s in sets):
             raise ValueError(f"a template has at least {WORDS} words")
         self.sets = sets
+        self.known = np.unique(np.concatenate(sets))
+        self.maybe = np.zeros(1 << 20, bool)
+        self.maybe[(self.known >> np.uint64(44)).astype(np.int64)] = True
         self.classes: list[Bands] = []
         left = sorted(range(len(sets)), key=lambda k: len(sets[k]))
         while left:
             most = max(len(sets[left[0]]), int(SPREAD * len(sets[left[0]])))
             group = [k for k in left if len(sets[k]) <= most]
             left = [k for k in left if k not in group]
-            self.classes.append(Bands({k: sets[k] for k in group}, least, sure, 7 + len(self.classes)))
+            self.classes.append(Bands({k: sets[k] for k in group}, max(len(runs[k]) for k in group), least, sure, 7 + len(self.classes)))
+
+    def _holds(self, h: np.ndarray) -> bool:
+        """Whether any of the shingles is one of a template."""
+        h = h[self.maybe[(h >> np.uint64(44)).astype(np.int64)]]
+        return bool(len(h)) and bool((self.known[np.minimum(np.searchsorted(self.known, h), len(self.known) - 1)] == h).any())
 
     def scan(self, texts: list[str]) -> list[tuple[int, int, list[tuple[str, int, int, float]]]]:
         """For each text: windows, candidates, matches (license, first word, end word, containment)."""
         hs = [self.shingler.hashes(self.shingler.words(t)) for t in texts]
-        out: list[tuple[int, int, list]] = [(0, 0, []) for _ in texts]
-        some = [k for k, h in enumerate(hs) if len(h)]
+        windows = np.zeros(len(texts), np.int64)
+        lengths = np.array([len(h) for h in hs], np.int64)
+        for c in self.classes:
+            windows[lengths > 0] += np.maximum(-(-lengths[lengths > 0] // c.hop) - c.blocks + 1, 1)
+        some = [k for k, h in enumerate(hs) if len(h) and self._holds(h)]
         if not some:
-            return out
+            return [(int(n), 0, []) for n in windows]
         sizes = np.array([len(hs[k]) for k in some])
         h = np.concatenate([hs[k] for k in some])
         first = np.concatenate([[0], np.cumsum(sizes)[:-1]])
         cands = np.zeros(len(texts), np.int64)
-        windows = np.zeros(len(texts), np.int64)
         best: dict[tuple[int, int], list[tuple[int, int]]] = {}
         for c in self.classes:
-            windows[some] += np.maximum(-(-sizes // c.hop) - c.blocks + 1, 1)
             lo, hi, temp, _ = c.candidates(h, sizes)
             doc = np.searchsorted(first, lo, side="right") - 1
             for a, e, t, d in zip(lo.tolist(), hi.tolist(), temp.tolist(), doc.tolist()):

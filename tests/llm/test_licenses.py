@@ -69,3 +69,37 @@ def test_odd_rows(spark):
     got = L.scan_licenses(df).collect()
     assert len(got) == 6 and sorted(r.licenses for r in got) == ["", "", "", "mit", "mit-notice", "mit-notice"]
     assert L.scan_licenses(df.limit(0)).collect() == []
+
+
+def test_recall_at_the_boundary_is_as_stated():
+    rng = random.Random(12)
+    index = L.LicenseIndex()
+    words = [f"w{k}" for k in range(20000)]
+    texts, want = [], []
+    for name, own in zip(index.names, index.sets):
+        t = index.shingler.words(TEMPLATES[name])
+        for trial in range(40):
+            w = list(t)
+            if trial % 2:  # words all over replaced, as many as the bound allows
+                for at in rng.sample(range(len(w)), len(w)):
+                    new = w[:at] + [rng.choice(words)] + w[at + 1 :]
+                    if len(np.intersect1d(index.shingler.hashes(new), own)) >= 0.8 * len(own):
+                        w = new
+                    elif len(own) > 100:
+                        break
+            else:  # the end cut off
+                while len(np.intersect1d(index.shingler.hashes(w[:-1]), own)) >= 0.8 * len(own):
+                    w.pop()
+            before, after = ([rng.choice(words) for _ in range(rng.randint(0, 500))] for _ in range(2))
+            texts.append(" ".join(before + w + after))
+            want.append(name)
+    hit = [name in {m[0] for m in found} for name, (_, _, found) in zip(want, index.scan(texts))]
+    assert len(hit) > 1000 and np.mean(hit) >= 0.997
+
+
+def test_texts_without_a_template_shingle_have_no_candidates():
+    index = L.LicenseIndex()
+    clean = " ".join(f"w{k}" for k in range(3000))
+    whole = [c.hop for c in index.classes]
+    (n, cands, found), (m, _, hit) = index.scan([clean, clean + " " + TEMPLATES["mit"]])
+    assert cands == 0 and found == [] and n > len(whole) and m > n and hit
