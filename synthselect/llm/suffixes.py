@@ -8,9 +8,12 @@ that goes no further left or right is a maximal repeat, and it is told with all
 them but the earliest are removed.
 
 Three things keep it small.  An anchor with the same text around it as an earlier one needs no bytes: all
-its windows are repeats.  Bytes are fetched only for anchors whose surroundings differ, one of each kind.
-An anchor with more kinds than a task should hold has its windows compared by 128-bit digests instead,
-which aggregate before they are shuffled.
+its windows are repeats.  Bytes are fetched only for anchors whose surroundings differ, one of each kind; each task
+first sifts its own anchors, so that a common passage leaves it once.  An anchor of very many kinds is split by the
+bytes next to it: a window reaches so many bytes to its left, and those of one slice of reaches share a core, whose
+digest takes the anchor's place; a slice still of very many kinds is told window by window, which aggregates.
+
+repeat_groups() tells the maximal repeats themselves, each with all its occurrences.
 """
 
 from __future__ import annotations
@@ -32,7 +35,12 @@ LENGTH = 100
 GRAM = 32
 #: Long texts are anchored in parts that overlap by LENGTH - 1 bytes.
 PART = 1 << 20
+#: Kinds of one anchor that one interval scan takes.
 MOST_KINDS = 2000
+#: Anchors of a task that are sifted at a time, and kinds of one anchor among them that call for a closer look.
+SIFTED, MANY = 400_000, 64
+#: Parts into which the windows of an anchor of very many kinds are cut, by their reach to the left.
+SLICES = 8
 
 _SHIFT = np.uint64(20)
 _LOW = np.uint64((1 << 20) - 1)
@@ -79,45 +87,103 @@ def anchors(raw: bytes, length: int = LENGTH) -> tuple[np.ndarray, np.ndarray, n
     return tuple(map(np.concatenate, (hs, at, left, right)))  # type: ignore[return-value]
 
 
-def _anchor_rows(docs: DataFrame, length: int) -> DataFrame:
-    """(h, c, doc, tie, at): c is a digest of the text around the anchor, at packs place, left and right."""
+def _batches(docs: DataFrame, length: int, told) -> Iterator:
+    """A function for mapInArrow: told(h, c, doc, tie, at) of SIFTED anchors or so of a task at a time."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         digest = xxhash.xxh64_intdigest
+        out: list[list[np.ndarray]] = [[] for _ in range(5)]
+        held = 0
         for b in batches:
-            out: list[list[np.ndarray]] = [[] for _ in range(5)]
-            held = 0
             for d, t, text in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), b.column(2)):
                 raw = (text.as_py() or "").encode("utf-8", "surrogatepass")
                 if len(raw) < length:
                     continue
                 h, at, left, right = anchors(raw, length)
                 c = np.fromiter((digest(raw[a - x : a + y], x) for a, x, y in zip(at.tolist(), left.tolist(), right.tolist())), np.uint64, len(at)).view(np.int64)
-                for col, v in zip(out, (h, c, np.full(len(h), d), np.full(len(h), t, np.int32), at << 16 | left << 8 | right)):
+                for col, v in zip(out, (h, c, np.full(len(h), d), np.full(len(h), t), at << 16 | left << 8 | right)):
                     col.append(v)
                 held += len(h)
-                if held > 100_000:
-                    yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(v)) for v in out], names=names)
+                if held > SIFTED:
+                    yield from told(*map(np.concatenate, out))
                     out, held = [[] for _ in range(5)], 0
-            if held:
-                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(v)) for v in out], names=names)
+        if held:
+            yield from told(*map(np.concatenate, out))
+
+    return run
+
+
+def _very_many(docs: DataFrame, length: int) -> np.ndarray:
+    """Anchors of more than MOST_KINDS kinds, sorted: those of which some task has MANY among the SIFTED.
+
+    A first pass that only counts.  It decides where rows are dealt, never what is found, so the largest
+    common.MOST_SENT are enough.
+    """
+
+    def told(h, c, doc, tie, at) -> Iterator[pa.RecordBatch]:
+        order = np.lexsort((c, h))
+        h, c = h[order], c[order]
+        new_h = np.append(True, h[1:] != h[:-1])
+        kind = new_h | np.append(True, c[1:] != c[:-1])
+        first = np.flatnonzero(new_h)
+        n = np.add.reduceat(kind.astype(np.int64), first)
+        ok = n >= MANY
+        if ok.any():
+            yield pa.RecordBatch.from_arrays([pa.array(h[first[ok]]), pa.array(n[ok])], names=["h", "n"])
+
+    n = docs.select("doc", "tie", "text").mapInArrow(_batches(docs, length, told), "h long, n long").groupBy("h").agg(F.sum("n").alias("n"))
+    rows = n.filter(F.col("n") > MOST_KINDS).orderBy(F.desc("n"), "h").limit(common.MOST_SENT).collect()  # <= MOST_SENT numbers
+    return np.array(sorted(r["h"] for r in rows), np.int64)
 
-    names = ["h", "c", "doc", "tie", "at"]
-    return docs.select("doc", "tie", "text").mapInArrow(run, "h long, c long, doc long, tie int, at long")
 
+_ROWS = "h long, c long, doc long, tie long, at long, stop long, sub long"
 
-def _first_sift(rows: DataFrame) -> DataFrame:
-    """Landed rows (h, doc, tie, at, seen): seen: the same surroundings occurred earlier; the others are the
-    earliest of their kind, where an anchor has several kinds.  Streams over sorted rows with a state of one row."""
+
+def _anchor_rows(docs: DataFrame, length: int, many: np.ndarray) -> DataFrame:
+    """Rows of _ROWS: the earliest anchor of each kind among those sifted together, stop -1, and the spans (doc, tie,
+    at: start, stop) of the others, joined.
+
+    c: a digest of the text around the anchor; at packs place, left and right; sub: c where h is of very many kinds.
+    """
+
+    def told(h, c, doc, tie, at) -> Iterator[pa.RecordBatch]:
+        order = np.lexsort((at, tie, doc, c, h))
+        first = np.append(True, (h[order][1:] != h[order][:-1]) | (c[order][1:] != c[order][:-1]))
+        a, z = order[first], order[~first]
+        sub = np.where(np.isin(h[a], many), c[a], 0)
+        yield pa.RecordBatch.from_arrays([pa.array(x) for x in (h[a], c[a], doc[a], tie[a], at[a], np.full(len(a), -1), sub)], names=names)
+        if len(z):
+            d, t, start = doc[z], tie[z], (at[z] >> 16) - (at[z] >> 8 & 255)
+            stop = (at[z] >> 16) + (at[z] & 255)
+            by = np.lexsort((stop, start, t, d))
+            d, t, start, stop = d[by], t[by], start[by], stop[by]
+            # within a text later starts have later stops
+            new = np.append(True, (d[1:] != d[:-1]) | (t[1:] != t[:-1]) | (start[1:] > stop[:-1]))
+            at_ = np.flatnonzero(new)
+            end = stop[np.append(at_[1:], len(stop)) - 1]
+            k = np.arange(len(at_))
+            yield pa.RecordBatch.from_arrays([pa.array(x) for x in (d[at_] * 31 + k, k * 0, d[at_], t[at_], start[at_], end, k * 0)], names=names)
+
+    names = [x.split()[0] for x in _ROWS.split(", ")]
+    return docs.select("doc", "tie", "text").mapInArrow(_batches(docs, length, told), _ROWS)
+
+
+def _first_sift(rows: DataFrame, many: np.ndarray) -> DataFrame:
+    """Landed rows (h, doc, tie, at, stop): spans of anchors whose surroundings occurred earlier (at: start), and with
+    stop -1 the earliest of each kind, where an anchor has several.  Streams over sorted rows, a state of one row."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         last: list[int] | None = None  # previous row
         head: list[int] | None = None  # first row of the current h, not told yet
         kinds = 0
         for b in batches:
+            span = np.asarray(b.column(5)) >= 0
+            if span.any():
+                yield pa.RecordBatch.from_arrays([b.column(k).filter(pa.array(span)) for k in (0, 2, 3, 4, 5)], names=names)
+                b = b.filter(pa.array(~span))
             if not b.num_rows:
                 continue
-            h, c, doc, tie, at = (x.to_numpy() for x in b.columns)
+            h, c, doc, tie, at = (x.to_numpy() for x in b.columns[:5])
             prev = [np.concatenate([[last[k] if last else 0], x[:-1]]) for k, x in enumerate((h, c, doc, tie, at))]
             new_h, same = h != prev[0], (doc == prev[2]) & (tie == prev[3]) & (at == prev[4])
             if last is None:
@@ -133,28 +199,31 @@ def _first_sift(rows: DataFrame) -> DataFrame:
                 base[group >= 0] = run_of[heads][group[group >= 0]]
             kind = np.where(group >= 0, run_of - base, run_of + kinds)
             second = new_c & (kind == 1)
-            told = new_c & (kind >= 1)
+            told = new_c & ((kind >= 1) | np.isin(h, many))
             extra: list[list[int]] = []
             for i in np.flatnonzero(second):
                 if group[i] < 0:
-                    extra.append(head)  # type: ignore[arg-type]
+                    if head[0] not in many_:  # type: ignore[index]
+                        extra.append(head)  # type: ignore[arg-type]
                 else:
                     told[heads[group[i]]] = True
             pick = np.flatnonzero(seen | told)
-            cols = [x[pick] for x in (h, doc, tie, at)]
-            flag = seen[pick]
+            place, flag = at[pick] >> 16, seen[pick]
+            start, stop = np.where(flag, place - (at[pick] >> 8 & 255), at[pick]), np.where(flag, place + (at[pick] & 255), -1)
+            cols = [h[pick], doc[pick], tie[pick], start, stop]
             if extra:
-                cols = [np.append(x, [e[k] for e in extra]).astype(x.dtype) for x, k in zip(cols, (0, 2, 3, 4))]
-                flag = np.append(flag, [False] * len(extra))
-            if len(flag):
-                yield pa.RecordBatch.from_arrays([*map(pa.array, cols), pa.array(flag)], names=["h", "doc", "tie", "at", "seen"])
+                cols = [np.append(x, e) for x, e in zip(cols, ([e[0] for e in extra], [e[2] for e in extra], [e[3] for e in extra], [e[4] for e in extra], [-1] * len(extra)))]
+            if len(cols[0]):
+                yield pa.RecordBatch.from_arrays([pa.array(x.astype(np.int64)) for x in cols], names=names)
             last = [int(x[-1]) for x in (h, c, doc, tie, at)]
             kinds = int(kind[-1])
             if len(heads):
                 head = [int(x[heads[-1]]) for x in (h, c, doc, tie, at)]
 
-    rows = rows.repartition("h").sortWithinPartitions("h", "c", "doc", "tie", "at")
-    return common.land(rows.mapInArrow(run, "h long, doc long, tie int, at long, seen boolean"), "sifted")
+    names = ["h", "doc", "tie", "at", "stop"]
+    many_ = set(many.tolist())
+    rows = rows.repartition("h", "sub").sortWithinPartitions("h", "c", "doc", "tie", "at")
+    return common.land(rows.mapInArrow(run, "h long, doc long, tie long, at long, stop long"), "sifted")
 
 
 def _shared(a: int, b: int, width: int) -> int:
@@ -213,7 +282,7 @@ def maximal_repeats(left: list[bytes], right: list[bytes], length: int = LENGTH)
 
 
 def _repeats(rows: DataFrame, length: int) -> DataFrame:
-    """Spans (doc, tie, start, stop) of all but the earliest occurrences; rows: h, doc, tie, at, around."""
+    """Spans (doc, tie, start, stop) of all but the earliest occurrences; rows: h (a group), doc, tie, at, around."""
 
     def pairs(first: np.ndarray, left, right, around) -> Iterator[tuple[np.ndarray, ...]]:
         """The groups of two at once: rows first and first + 1."""
@@ -255,34 +324,82 @@ def _repeats(rows: DataFrame, length: int) -> DataFrame:
             yield pd.DataFrame({"doc": doc[w], "tie": tie[w], "start": place[w] - back[w], "stop": place[w] + ahead[w]})
 
     rows = rows.repartition("h").sortWithinPartitions("h", "doc", "tie", "at")
-    return rows.mapInPandas(run, "doc long, tie int, start long, stop long")
+    return rows.mapInPandas(run, "doc long, tie long, start long, stop long")
+
 
+def _reaches(length: int) -> list[tuple[int, int]]:
+    """The slices [lo, hi] of bytes that a window may reach to the left of its anchor."""
+    cuts = [(length - GRAM + 1) * k // SLICES for k in range(SLICES + 1)]
+    return [(lo, hi - 1) for lo, hi in zip(cuts, cuts[1:]) if hi > lo]
 
-def _windows_of_hot(rows: DataFrame, length: int) -> DataFrame:
-    """The same spans for anchors of very many kinds: every window by its 128-bit digest."""
+
+def _sliced(rows: DataFrame, length: int) -> DataFrame:
+    """(h, doc, tie, at, around, slice) for every slice that a row has windows in; h: a digest of the slice's core."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            key, who = [], []
-            for d, t, at, around in zip(*(c.to_pylist() for c in b.columns)):
-                start = (at >> 16) - (at >> 8 & 255)
-                for k in range(len(around) - length + 1):
-                    key.append(xxhash.xxh3_128_digest(around[k : k + length]))
-                    who.append((d, t, start + k))
-            cols = list(zip(*who)) or [(), (), ()]
-            yield pa.RecordBatch.from_arrays([pa.array(key, pa.binary()), *(pa.array(c, x) for c, x in zip(cols, (pa.int64(), pa.int32(), pa.int64())))], names=["w", "doc", "tie", "start"])
-
-    wins = common.land(rows.select("doc", "tie", "at", "around").mapInArrow(run, "w binary, doc long, tie int, start long"), "windows")
-    first = wins.groupBy("w").agg(F.min(F.struct("doc", "tie", "start")).alias("low"))
-    later = wins.join(first, "w").filter("struct(doc, tie, start) <> low")
+            for k0 in range(0, b.num_rows, 2000):
+                out = []
+                for h, d, t, at, around in zip(*(c.to_pylist() for c in b.slice(k0, 2000).columns)):
+                    left, right = at >> 8 & 255, at & 255
+                    for k, (lo, hi) in enumerate(_reaches(length)):
+                        # its windows reach from `lo` bytes left, as far as there are, to `length` - `hi` right
+                        lo_, hi_ = max(lo, length - right), min(hi, left)
+                        if lo_ <= hi_:
+                            core = around[left - lo : left + length - hi]
+                            out.append((xxhash.xxh64_intdigest(core, (h ^ k) & (2**64 - 1)) - 2**63, d, t, at, around, k))
+                if out:
+                    yield pa.RecordBatch.from_arrays([pa.array(c, x) for c, x in zip(zip(*out), types)], names=names)
+
+    names, types = ["h", "doc", "tie", "at", "around", "slice"], (pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.binary(), pa.int32())
+    return rows.select("h", "doc", "tie", "at", "around").mapInArrow(run, "h long, doc long, tie long, at long, around binary, slice int")
+
+
+def _windows(rows: DataFrame, length: int) -> DataFrame:
+    """The same spans for slices of very many kinds: every window of the slice by its 128-bit digest."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for k0 in range(0, b.num_rows, 2000):
+                out = []
+                for d, t, at, around, k in zip(*(c.to_pylist() for c in b.slice(k0, 2000).columns)):
+                    place, left, right = at >> 16, at >> 8 & 255, at & 255
+                    lo, hi = _reaches(length)[k]
+                    for a in range(max(lo, length - right), min(hi, left) + 1):
+                        out.append((xxhash.xxh3_128_digest(around[left - a : left - a + length]), d, t, place - a))
+                if out:
+                    yield pa.RecordBatch.from_arrays([pa.array(c, x) for c, x in zip(zip(*out), (pa.binary(), pa.int64(), pa.int64(), pa.int64()))], names=["w", "doc", "tie", "start"])
+
+    wins = common.land(rows.select("doc", "tie", "at", "around", "slice").mapInArrow(run, "w binary, doc long, tie long, start long"), "windows")
+    first = wins.groupBy("w").agg(F.min(F.struct("doc", "tie", "start")).alias("low"), F.count(F.lit(1)).alias("_n"))
+    later = common.join_spread(wins, first, "w", "_n", wins.count()).filter("struct(doc, tie, start) <> low")
     return later.select("doc", "tie", "start", (F.col("start") + length).alias("stop"))
 
 
+def _scanned(asked: DataFrame, per: DataFrame, length: int, sliced: bool = False) -> DataFrame:
+    """Spans of the rows (h, doc, tie, at, around); groups of more than MOST_KINDS rows are cut finer."""
+    hot = common.land(per.filter(F.col("n") > MOST_KINDS).select("h"), "hot")
+    if not hot.limit(1).count():
+        return _repeats(asked, length)
+    asked, hot = common.land(asked, "around"), common.sent(hot)
+    cold, rest = _repeats(asked.join(hot, "h", "left_anti"), length), asked.join(hot, "h", "left_semi")
+    if sliced:
+        return cold.union(_windows(rest, length))
+    finer = common.land(_sliced(rest, length), "slices")
+    return cold.union(_scanned(finer, finer.groupBy("h").agg(F.count(F.lit(1)).alias("n")), length, True))
+
+
 def _keyed(docs: DataFrame) -> DataFrame:
-    """doc: the doc_id, null before all; tie: tells rows of one id apart, 0 where no id is repeated."""
+    """doc: the doc_id, null before all; tie: tells rows of one id apart, in the order of a 128-bit digest of their
+    texts, 0 where no id is repeated."""
     d = docs.withColumn("doc", F.coalesce(F.col("doc_id").cast("long"), F.lit(-(1 << 63))))
-    repeated = d.select("doc").groupBy("doc").agg(F.count(F.lit(1)).alias("n")).filter("n > 1").limit(1).count()
-    return d.withColumn("tie", F.hash("text") if repeated else F.lit(0))
+    many = d.groupBy("doc").agg(F.count(F.lit(1)).alias("n")).filter("n > 1").select("doc")
+    if not many.limit(1).count():
+        return d.withColumn("tie", F.lit(0).cast("long"))
+    d = d.withColumn("_digest", F.md5(F.coalesce("text", F.lit("")).cast("binary")))
+    kinds = d.select("doc", "_digest").distinct().repartitionByRange("doc", "_digest").sortWithinPartitions("doc", "_digest")
+    kinds = common.land(kinds.withColumn("tie", F.monotonically_increasing_id()), "ties")
+    return d.join(kinds, ["doc", "_digest"]).drop("_digest")
 
 
 def _packed(docs: DataFrame) -> DataFrame:
@@ -293,14 +410,15 @@ def _packed(docs: DataFrame) -> DataFrame:
         for b in batches:
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array([pack((t or "").encode("utf-8", "surrogatepass")) for t in b.column(2).to_pylist()], pa.binary())], names=["doc", "tie", "z"])
 
-    return docs.select("doc", "tie", "text").mapInArrow(run, "doc long, tie int, z binary")
+    return docs.select("doc", "tie", "text").mapInArrow(run, "doc long, tie long, z binary")
 
 
 def repeated_spans(docs: DataFrame, length: int = LENGTH) -> DataFrame:
     """Landed (doc, tie, start, stop): bytes covered by a `length`-byte string that also starts earlier; may overlap."""
-    sifted = _first_sift(_anchor_rows(docs, length))
-    seen = sifted.filter("seen").selectExpr("doc", "tie", "shiftright(at, 16) - (shiftright(at, 8) & 255) as start", "shiftright(at, 16) + (at & 255) as stop")
-    ask = sifted.filter("not seen").groupBy("doc", "tie").agg(F.collect_list(F.struct("h", "at")).alias("ask"))
+    many = _very_many(docs, length)
+    sifted = _first_sift(_anchor_rows(docs, length, many), many)
+    seen = sifted.filter("stop >= 0").select("doc", "tie", F.col("at").alias("start"), "stop")
+    ask = sifted.filter("stop < 0").groupBy("doc", "tie").agg(F.collect_list(F.struct("h", "at")).alias("ask"))
 
     def fetch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -311,21 +429,12 @@ def repeated_spans(docs: DataFrame, length: int = LENGTH) -> DataFrame:
                     for x in ask:
                         at = x["at"]
                         rows.append((x["h"], d, t, at, raw[(at >> 16) - (at >> 8 & 255) : (at >> 16) + (at & 255)]))
-                yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows), (pa.int64(), pa.int64(), pa.int32(), pa.int64(), pa.binary()))], names=["h", "doc", "tie", "at", "around"])
+                yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows), (pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.binary()))], names=["h", "doc", "tie", "at", "around"])
 
-    kinds = "h long, doc long, tie int, at long, around binary"
+    kinds = "h long, doc long, tie long, at long, around binary"
     asked = _packed(docs).join(ask, ["doc", "tie"]).select("doc", "tie", "z", "ask").mapInArrow(fetch, kinds)
-    per = sifted.filter("not seen").groupBy("h").agg(F.count(F.lit(1)).alias("n"))
-    total = sifted.filter("not seen").count()
-    most = common.block_size(total, MOST_KINDS)
-    hot = [r["h"] for r in per.filter(F.col("n") > most).collect()]  # <= MAX_HOT numbers
-    if hot:
-        asked = common.land(asked, "around")
-        table = F.broadcast(docs.sparkSession.createDataFrame([(h,) for h in hot], "h long"))
-        spans = _repeats(asked.join(table, "h", "left_anti"), length).union(_windows_of_hot(asked.join(table, "h", "left_semi"), length))
-    else:
-        spans = _repeats(asked, length)
-    return spans.union(seen)
+    per = sifted.filter("stop < 0").groupBy("h").agg(F.count(F.lit(1)).alias("n"))
+    return _scanned(asked, per, length).union(seen)
 
 
 def _merged(spans: list[dict], n: int) -> list[tuple[int, int]]:
@@ -376,7 +485,7 @@ def dedup_bytes(docs: DataFrame, length: int = LENGTH) -> DataFrame:
 
 def drop_repeats(docs: DataFrame, length: int = LENGTH) -> DataFrame:
     """docs with those bytes cut out of text (a character cut in two goes) and n_chars set anew; nulls stay."""
-    keyed = _keyed(docs.withColumn("text", F.col("text").cast("string")))
+    keyed = _keyed(docs.select("doc_id", F.col("text").cast("string").alias("text"), F.struct(*docs.columns).alias("row")))
     spans = repeated_spans(keyed.select("doc", "tie", "text"), length)
 
     @F.pandas_udf("string")
@@ -394,10 +503,9 @@ def drop_repeats(docs: DataFrame, length: int = LENGTH) -> DataFrame:
             out.append("".join(kept) + raw[at:].decode("utf-8", "ignore"))
         return pd.Series(out, dtype=object)
 
-    rows = _with_spans(keyed, spans).withColumn("text", cut("text", "spans"))
-    if "n_chars" in docs.columns:
-        rows = rows.withColumn("n_chars", F.length("text").cast("long"))
-    return rows.select(docs.columns)
+    rows = _with_spans(keyed, spans).select("row", cut("text", "spans").alias("text"))
+    new = {"text": F.col("text"), "n_chars": F.length("text").cast("long")}
+    return rows.select(*[new.get(c, F.col("row")[c]).alias(c) for c in docs.columns])
 
 
 def op9_suffixes(spark: SparkSession, sf_dir: str) -> DataFrame:

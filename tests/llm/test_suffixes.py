@@ -56,16 +56,51 @@ def test_random_texts_equal_brute_force(spark):
     assert _run(spark, rows) == _brute(rows)
 
 
-def test_anchors_of_very_many_kinds_give_the_same(spark, monkeypatch):
-    from synthselect.llm import common
-
-    monkeypatch.setattr(common, "block_size", lambda total, least: 3)
+@pytest.mark.parametrize(("many", "kinds", "sifted"), [(2, 3, 400_000), (2, 3, 50), (10**9, 3, 50), (2, 12, 300)])
+def test_anchors_of_very_many_kinds_give_the_same(spark, monkeypatch, many, kinds, sifted):
+    for name, v in (("MANY", many), ("MOST_KINDS", kinds), ("SIFTED", sifted)):
+        monkeypatch.setattr(S, name, v)
     rng = random.Random(8)
     line = "".join(rng.choice("abcdefgh ") for _ in range(130))
-    rows = [(k, ("".join(rng.choice("ijklmnop") for _ in range(80)) + line + "".join(rng.choice("qrstuv") for _ in range(80))).encode()) for k in range(40)] + [(k + 100, r) for k, r in _texts(2, 40)]
+    short = line[:50]
+    mk = lambda n: "".join(rng.choice("ij") for _ in range(n))
+    rows = [(k, ("".join(rng.choice("ijklmnop") for _ in range(80)) + line + "".join(rng.choice("qrstuv") for _ in range(80))).encode()) for k in range(40)]
+    rows += [(k + 100, r) for k, r in _texts(2, 40)]
+    tails, heads = [mk(60) for _ in range(4)], [mk(60) for _ in range(4)]
+    rows += [(k + 200, (mk(30) + rng.choice(heads) + short + rng.choice(tails) + mk(30)).encode()) for k in range(60)]
     assert _run(spark, rows) == _brute(rows)
 
 
+def test_padding_leaves_its_task_as_one_span(spark):
+    rng = random.Random(5)
+    text = "".join(rng.choice("abc ") for _ in range(40)) + "=" * 50_000 + "-=" * 20_000
+    df = spark.createDataFrame([(1, text), (2, text[:70_000])], "doc_id long, text string").coalesce(1)
+    keyed = S._keyed(df)
+    rows = S._anchor_rows(keyed, 100, S.np.empty(0, S.np.int64)).collect()
+    assert len(rows) < 500 and sum(r.stop >= 0 for r in rows) < 10
+    assert S._very_many(keyed, 100).tolist() == []
+
+
+def test_rows_of_one_id_keep_their_own_spans(spark):
+    rng = random.Random(6)
+    mk = lambda n: "".join(rng.choice("abcdefgh ") for _ in range(n))
+    first, own = mk(150), [mk(266) for _ in range(60)]
+    rows = [(1, first)] + [(5, t) for t in own] + [(5, mk(60) + first + mk(56)), (None, mk(200)), (None, first), (None, None), (5, None)]
+    got = S.dedup_bytes(spark.createDataFrame(rows, "doc_id long, text string")).collect()
+    assert sorted(r.n_removed for r in got) == [0] * 64 + [150, 150]
+    assert [r.n_removed for r in got if r.doc_id == 1] == [150]  # a null id comes before all
+
+
+def test_columns_of_the_caller_stay(spark):
+    rng = random.Random(7)
+    text = "".join(rng.choice("abcdefgh ") for _ in range(150))
+    cols = ["doc_id", "doc", "tie", "spans", "row", "text", "start", "n_chars", "z"]
+    df = spark.createDataFrame([(k, "mine", 7, "s", "r", text, 9, 0, "zz") for k in range(2)], "doc_id long, doc string, tie int, spans string, row string, text string, start int, n_chars long, z string")
+    got = S.drop_repeats(df)
+    assert got.columns == cols and got.dtypes == df.dtypes
+    assert sorted(map(tuple, got.collect())) == [(0, "mine", 7, "s", "r", text, 9, 150, "zz"), (1, "mine", 7, "s", "r", "", 9, 0, "zz")]
+
+
 def test_whole_table_equals_brute_force(spark):
     t = pq.read_table("/root/testdata/sf0.01/documents.parquet").to_pydict()
     rows = [(d, x.encode()) for d, x in zip(t["doc_id"], t["text"])]
