@@ -49,10 +49,12 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """STAGES in their order over documents."""
+    """STAGES in their order over documents; what a stage landed goes once its output is written."""
     docs = common.read(spark, sf_dir, "documents")
+    before = len(common.LANDED)
     for k, (name, stage) in enumerate(STAGES):
         docs = stage(spark, docs, sf_dir)
         if k + 1 < len(STAGES):
             docs = common.land(docs, name)
+            common.release(spark, before, keep=1)
     return docs
