@@ -40,6 +40,6 @@ def five(a: str, b: str) -> str:
 
 
 def load() -> tuple[dict[str, Query], dict[str, str]]:
-    from . import methods, operators, streams  # noqa: F401
+    from . import methods, operators, streams, workloads  # noqa: F401
 
     return QUERIES, SQL

@@ -160,6 +160,11 @@ def _snips(spark: SparkSession, d: str) -> DataFrame:
     return table(spark, d, "documents").select(F.col("doc_id").alias("snippet_id"), "text", "n_chars")
 
 
+def _fanned(spark: SparkSession, d: str) -> DataFrame:
+    """Candidates beside their snippet's words, which are split once."""
+    return candidates.multi_checkpoint(scoring.with_context(_snips(spark, d)))
+
+
 def _digests(df: DataFrame) -> DataFrame:
     return df.select(*_SHORT, F.md5(F.col("q").cast("binary")).alias("q_digest"), F.md5(F.col("s").cast("binary")).alias("s_digest"))
 
@@ -214,7 +219,7 @@ _WEIGHTED = " + ".join(f"{wt} * {m}" for wt, m in zip(W10, scoring.MARKS))
 
 def _marks(spark: SparkSession, d: str, cand: DataFrame | None = None) -> DataFrame:
     leaks = pool.benchmark_grams(table(spark, d, "benchmark"))
-    return scoring.rule_marks(candidates.multi_checkpoint(_snips(spark, d)) if cand is None else cand, leaks)
+    return scoring.rule_marks(_fanned(spark, d) if cand is None else cand, leaks)
 
 
 @query("score_aspects", _marked(_MULTI) + f" SELECT snippet_id, ckpt, draw, {_X} FROM x")
@@ -429,12 +434,6 @@ def influence_by_category(spark: SparkSession, d: str) -> DataFrame:
     return influence.score_by_category(g, targets)
 
 
-@query("projection_distortion")
-def projection_distortion(spark: SparkSession, d: str) -> DataFrame:
-    g = land(_grads(spark, d))
-    return influence.distortion(g, _premium(g), 64, [8, 32, 256], 50)
-
-
 _UNI = f"""WITH t AS (SELECT doc_id AS id, ({h("uni", "t")} % 64)::INT AS i FROM (SELECT doc_id, unnest({w("text")}) AS t FROM documents)), n AS (SELECT id, i, count(*) AS c FROM t GROUP BY 1, 2), z AS (SELECT id, sum(c)::BIGINT AS n FROM n GROUP BY 1),
  b AS (SELECT i, (sum(c)::BIGINT * 1000000) // (SELECT sum(c)::BIGINT FROM n) AS base FROM n GROUP BY i), g AS (SELECT z.id, b.i, b.base - (coalesce(n.c, 0) * 1000000) // z.n AS g FROM z CROSS JOIN b LEFT JOIN n ON n.id = z.id AND n.i = b.i)"""
 
@@ -462,10 +461,14 @@ def grad_lowrank_influence(spark: SparkSession, d: str) -> DataFrame:
 
 @query("grad_bigram_lowrank")
 def grad_bigram_lowrank(spark: SparkSession, d: str) -> DataFrame:
+    """Whole documents by the low-rank bigram model: base of all texts, adapters trained on good documents of even sources."""
     docs = table(spark, d, "documents")
-    model = reference.LowRankBigram.start(docs, "text", 64)
-    g = land(model.per_sample(docs, "doc_id", "text", influence.fast_signs(3, 0, model.a.size + model.b.size, 64).astype(np.int64)))
-    good = table(spark, d, "labels").filter("quality = 1 and doc_id % 4 = 0").select(F.col("doc_id").alias("id"))
+    good = table(spark, d, "labels").filter("quality = 1").select("doc_id")
+    good = docs.filter("cast(substring(source, 4) as int) % 2 = 0").join(good, "doc_id", "left_semi").select(F.col("doc_id").alias("id"))
+    pairs = land(reference.pair_codes(docs, "doc_id", "text", 64))
+    own = pairs.join(good, "id", "left_semi")
+    model = reference.LowRankBigram.start(reference.pair_counts(pairs, 64)).fit(reference.pair_counts(own, 64))
+    g = land(model.per_sample(pairs, influence.fast_signs(3, 0, model.width, 64).astype(np.int64)))
     return influence.score(g, influence.target_sum(g.join(good, "id", "left_semi"))).select("id", "v")
 
 
@@ -477,8 +480,7 @@ _UPPL = f"""WITH t AS (SELECT doc_id AS id, unnest({w("text")}) AS t FROM docume
 
 @query("lm_unigram_ppl", _UPPL + " SELECT id, n_tok, ppl FROM p")
 def lm_unigram_ppl(spark: SparkSession, d: str) -> DataFrame:
-    docs = table(spark, d, "documents")
-    return lm.perplexity(docs, "doc_id", "text", lm.fit(docs, "doc_id", "text"))
+    return lm.self_perplexity(table(spark, d, "documents"), "doc_id", "text")
 
 
 @query(
@@ -487,8 +489,7 @@ def lm_unigram_ppl(spark: SparkSession, d: str) -> DataFrame:
  SELECT id, count(*) AS n_tok, round(exp(sum(round(ln((c + 1.0) / (cu + k.v + 1)) * -1000000)::BIGINT) / 1000000.0 / count(*)), 4) AS ppl FROM b JOIN c USING (u, w) JOIN cu USING (u), k GROUP BY id""",
 )
 def lm_bigram_ppl(spark: SparkSession, d: str) -> DataFrame:
-    docs = table(spark, d, "documents")
-    return lm.perplexity(docs, "doc_id", "text", lm.fit(docs, "doc_id", "text", 2))
+    return lm.self_perplexity(table(spark, d, "documents"), "doc_id", "text", 2)
 
 
 @query("select_low_ppl", _UPPL + " SELECT id, ppl FROM p ORDER BY ppl, id LIMIT 100")
@@ -517,6 +518,29 @@ def select_top_n_large(spark: SparkSession, d: str) -> DataFrame:
     return selection.top_n(li, "score", 20_000).drop("id")
 
 
+@query("select_ppl_counted", _UPPL + " SELECT id, ppl FROM p ORDER BY ppl, id LIMIT 300")
+def select_ppl_counted(spark: SparkSession, d: str) -> DataFrame:
+    """Lowest perplexity by counting, on reals."""
+    return selection.top_n(lm_unigram_ppl(spark, d), "ppl", 300, ascending=True, small=0).select("id", "ppl")
+
+
+@query("select_orders_counted", "SELECT o_orderkey, o_custkey FROM orders ORDER BY o_custkey % 5 DESC, o_orderkey LIMIT 700")
+def select_orders_counted(spark: SparkSession, d: str) -> DataFrame:
+    """Five values only, so the cut falls among ties, which are cut by id the same way."""
+    o = table(spark, d, "orders").select("o_orderkey", "o_custkey", (F.col("o_custkey") % 5).alias("mark"))
+    return selection.top_n(o, "mark", 700, "o_orderkey", small=50).select("o_orderkey", "o_custkey")
+
+
+_RANKS = "row_number() OVER (ORDER BY {0} DESC, id)"
+
+
+@query("select_rank_correlation", _UPPL + ", u AS (SELECT id, ppl, n_tok, " + _RANKS.format("ppl") + " AS a, " + _RANKS.format("n_tok") + " AS b FROM p) SELECT count(*) AS n, round(1 - 6 * sum((a - b) * (a - b))::DOUBLE / (count(*) * (count(*) * count(*) - 1)::DOUBLE), 6) AS spearman FROM u")
+def select_rank_correlation(spark: SparkSession, d: str) -> DataFrame:
+    """Spearman's correlation of two orders: by perplexity and by length."""
+    p = land(lm_unigram_ppl(spark, d))
+    return selection.rank_correlation(p.select("id", "ppl"), p.select("id", F.col("n_tok").cast("double").alias("ppl")), "ppl")
+
+
 # ---------------------------------------------------------------- evaluation
 
 _OUT = "SELECT event_type AS model, user_id AS item_id, count(*) AS n, count(*) FILTER (value >= 50) AS c FROM events GROUP BY 1, 2"
@@ -563,22 +587,56 @@ def eval_ablation_drop(spark: SparkSession, d: str) -> DataFrame:
     return evaluate.against(g, ["synth", "column"], "step", "full").select("synth", "step", "column", "value", "change")
 
 
-_OPENC = ("lcb_full", "lcb_easy", "bcb_c_full", "bcb_c_hard", "bcb_i_full", "bcb_i_hard")
-_OPEN6 = f"WITH g AS (SELECT * FROM (VALUES {_values(evaluate.OPEN)}) t(model, {', '.join(_OPENC)})), l AS (FROM g UNPIVOT (value FOR \"column\" IN ({', '.join(_OPENC)})))"
+_MODELS10 = f"WITH g AS (SELECT * FROM (VALUES {_values([tuple('NULL' if v is None else v for v in r) for r in evaluate.MODELS])}) t(model, kind, {', '.join(evaluate.WIDE)})), l AS (FROM g UNPIVOT INCLUDE NULLS (value FOR \"column\" IN ({', '.join(evaluate.WIDE)})))"
+_MODELS10 = _MODELS10.replace("'NULL'", "NULL::DOUBLE")
+#: Tuned models on the same base: the others that a target of ours is compared with are the open ones.
+_RIVALS = _MODELS10 + ", r AS (SELECT * FROM l WHERE kind = 'open' OR model = 'target-14B')"
 
 
-def _open(spark: SparkSession) -> DataFrame:
-    return evaluate.long_form(evaluate.published(spark, evaluate.OPEN, "model string, " + ", ".join(f"{c} double" for c in _OPENC)), ["model"], _OPENC)
+def _models(spark: SparkSession, kinds: str = "kind is not null") -> DataFrame:
+    g = evaluate.published(spark, evaluate.MODELS, "model string, kind string, " + ", ".join(f"{c} double" for c in evaluate.WIDE))
+    return evaluate.long_form(g, ["model", "kind"], evaluate.WIDE).filter(kinds)
 
 
-@query("eval_vs_best", _OPEN6 + " , o AS (SELECT \"column\", max(value) AS best_other FROM l WHERE model <> 'target-14B' GROUP BY 1) SELECT l.\"column\", value AS own, best_other, round(100 * (value - best_other) / best_other, 2) AS change FROM l JOIN o ON o.\"column\" = l.\"column\" WHERE model = 'target-14B'")
+@query("eval_model_comparison", _MODELS10 + ' SELECT model, kind, "column", value FROM l')
+def eval_model_comparison(spark: SparkSession, d: str) -> DataFrame:
+    return _models(spark)
+
+
+@query("eval_vs_best", _RIVALS + " , o AS (SELECT \"column\", max(value) AS best_other FROM r WHERE model <> 'target-14B' GROUP BY 1) SELECT r.\"column\", value AS own, best_other, round(100 * (value - best_other) / best_other, 2) AS change FROM r JOIN o ON o.\"column\" = r.\"column\" WHERE model = 'target-14B'")
 def eval_vs_best(spark: SparkSession, d: str) -> DataFrame:
-    return evaluate.vs_best(_open(spark), "target-14B")
+    return evaluate.vs_best(_models(spark, "kind = 'open' or model = 'target-14B'"), "target-14B")
+
+
+_BENCH = {"lcb": ["lcb_full", "lcb_easy"], "bcb": ["bcb_c_full", "bcb_c_hard", "bcb_i_full", "bcb_i_hard"]}
 
 
-@query("eval_mark_ranks", _OPEN6 + ' SELECT model, "column", value, dense_rank() OVER (PARTITION BY "column" ORDER BY value DESC)::INT AS rank FROM l QUALIFY rank <= 2')
+@query("eval_vs_best_mean", _RIVALS + """, m AS (SELECT split_part("column", '_', 1) AS benchmark, model, avg(value) AS m FROM r GROUP BY 1, 2), o AS (SELECT "column", max(value) AS best FROM r WHERE model <> 'target-14B' GROUP BY 1),
+ c AS (SELECT split_part(r."column", '_', 1) AS benchmark, round(avg(100 * (value - best) / best), 2) AS by_column FROM r JOIN o ON o."column" = r."column" WHERE model = 'target-14B' GROUP BY 1), b AS (SELECT * FROM m WHERE model <> 'target-14B' QUALIFY row_number() OVER (PARTITION BY benchmark ORDER BY m DESC, model DESC) = 1)
+ SELECT c.benchmark, by_column, round(100 * (m.m - b.m) / b.m, 2) AS by_mean, b.model AS mean_of FROM c JOIN m ON m.benchmark = c.benchmark AND m.model = 'target-14B' JOIN b ON b.benchmark = c.benchmark WHERE c.benchmark IN ('lcb', 'bcb')""")
+def eval_vs_best_mean(spark: SparkSession, d: str) -> DataFrame:
+    """The gain over the best open model, by each column's best and by the best mean."""
+    return evaluate.vs_best_mean(_models(spark, "kind = 'open' or model = 'target-14B'"), "target-14B", _BENCH)
+
+
+@query("eval_mark_ranks", _MODELS10 + ' SELECT model, "column", value, dense_rank() OVER (PARTITION BY "column" ORDER BY value DESC)::INT AS rank FROM l WHERE kind IN (\'open\', \'own\') QUALIFY rank <= 2')
 def eval_mark_ranks(spark: SparkSession, d: str) -> DataFrame:
-    return evaluate.mark_ranks(_open(spark)).select("model", "column", "value", "rank")
+    return evaluate.mark_ranks(_models(spark, "kind in ('open', 'own')")).select("model", "column", "value", "rank")
+
+
+@query("eval_ablation_ranks", _ABL4 + ' SELECT synth, step, "column", value, dense_rank() OVER (PARTITION BY synth, "column" ORDER BY value DESC)::INT AS rank FROM l QUALIFY rank <= 2')
+def eval_ablation_ranks(spark: SparkSession, d: str) -> DataFrame:
+    g = evaluate.long_form(evaluate.published(spark, evaluate.ABLATION, "synth string, step string, fn double, mbpp double, lcb double, bcb double"), ["synth", "step"])
+    both = [evaluate.mark_ranks(g.filter(F.col("synth") == x)) for x in ("7B", "14B")]
+    return both[0].union(both[1]).select("synth", "step", "column", "value", "rank")
+
+
+@query("cost_data_sizes", f"SELECT step, thousands::BIGINT AS thousands, sum(thousands) OVER (ORDER BY thousands)::BIGINT AS so_far FROM (VALUES {_values(evaluate.DATA_SIZE)}) t(step, thousands)")
+def cost_data_sizes(spark: SparkSession, d: str) -> DataFrame:
+    """Samples that trained the synthesizer of each step, and all up to it."""
+    from pyspark.sql import Window
+
+    return evaluate.published(spark, evaluate.DATA_SIZE, "step string, thousands long").withColumn("so_far", F.sum("thousands").over(Window.orderBy("thousands")))
 
 
 @query("cost_recipe_cube", f"SELECT model, origin, sum(common)::BIGINT AS common_k, sum(specific)::BIGINT AS specific_k FROM (VALUES {_values(evaluate.RECIPES)}) t(model, common, specific, origin) GROUP BY CUBE (model, origin)")
@@ -591,135 +649,17 @@ _QA = _marked(_CONV, "snippet_id, draw", "s", False)
 
 @query("quality_compare", _QA + ", s AS (SELECT * FROM x ORDER BY " + h("judge", "snippet_id * 100 + draw") + ", snippet_id * 100 + draw LIMIT 100) SELECT aspect, round(sum(v) / count(v), 6) AS mean FROM (FROM s UNPIVOT (v FOR aspect IN (" + _X + "))) GROUP BY 1")
 def quality_compare(spark: SparkSession, d: str) -> DataFrame:
-    """Marks of a sample of conversation pairs; compare_quality puts two such sets side by side."""
-    a = scoring.rule_marks(candidates.from_conversations(table(spark, d, "conversations"))).withColumn("id", F.col("snippet_id") * 100 + F.col("draw"))
-    b = scoring.rule_marks(candidates.best_of_n(_snips(spark, d), n=1)).withColumn("id", F.col("snippet_id"))
-    return evaluate.compare_quality(a, b, scoring.MARKS).filter("dataset = 'a'").select("aspect", "mean")
-
-
-@query("quality_compare_two_sets")
-def quality_compare_two_sets(spark: SparkSession, d: str) -> DataFrame:
-    a = scoring.rule_marks(candidates.from_conversations(table(spark, d, "conversations"))).withColumn("id", F.col("snippet_id") * 100 + F.col("draw"))
-    b = scoring.rule_marks(candidates.best_of_n(_snips(spark, d), n=1)).withColumn("id", F.col("snippet_id"))
-    return evaluate.compare_quality(a, b, scoring.MARKS)
-
-
-# ---------------------------------------------------------------- loop and workloads
-
-
-def _loop_inputs(spark: SparkSession, d: str) -> tuple[DataFrame, DataFrame, int, DataFrame]:
-    """The pool: what passes every gate, without the premium rows; premium: its quality-1 documents of even ids;
-    the premium size, from the distinct texts as in the SQL of bootstrap_schedules; the benchmark's word runs."""
-    raw, bench = table(spark, d, "documents"), table(spark, d, "benchmark")
-    unit = bootstrap.unit_of(raw.select(F.md5(normalise("text").cast("binary")).alias("k")).distinct().count())
-    docs = land(pool.build_pool(raw, bench)[0].select("snippet_id", "text", "n_chars"))
-    good = table(spark, d, "labels").filter("quality = 1 and doc_id % 2 = 0").select(F.col("doc_id").alias("snippet_id"))
-    premium = docs.join(good, "snippet_id", "left_semi").orderBy(hash_unit("premium", "snippet_id"), "snippet_id").limit(unit).select(F.col("snippet_id").alias("id"), "text")
-    premium = land(premium)
-    return docs.join(premium.select(F.col("id").alias("snippet_id")), "snippet_id", "left_anti"), premium, unit, land(pool.benchmark_grams(bench))
-
-
-def _union(frames: list[DataFrame]) -> DataFrame:
-    out = frames[0]
-    for f in frames[1:]:
-        out = out.unionByName(f)
-    return out
-
-
-def _measured(name: str, kept: DataFrame, labels: DataFrame) -> DataFrame:
-    p = evaluate.purity(kept.select(F.col("snippet_id").alias("id")), labels)
-    n = kept.agg(F.count(F.lit(1)).alias("n_kept"), F.round(F.avg("score"), 4).alias("mean_score"), F.round(F.avg("v"), 6).alias("mean_influence"))
-    return n.crossJoin(p).select(F.lit(name).alias("setting"), "n_kept", "mean_score", "mean_influence", "n_labelled", "purity", "lift")
-
-
-@query("bootstrap_two_rounds")
-def bootstrap_two_rounds(spark: SparkSession, d: str) -> DataFrame:
-    docs, premium, unit, leaks = _loop_inputs(spark, d)
-    return _union(bootstrap.run(docs, premium, bootstrap.Config(unit=unit), leaks=leaks).rounds).select("iteration", "snippet_id", "ckpt", "draw", "score", "v")
-
-
-@query("bootstrap_trained")
-def bootstrap_trained(spark: SparkSession, d: str) -> DataFrame:
-    """The loop with the trainable n-gram synthesizer: each round trains it on what it kept."""
-    docs, premium, unit, leaks = _loop_inputs(spark, d)
-    start = synth.enhance(synth.NGramSynthesizer().train(docs.select(F.col("snippet_id").alias("id"), "text"), 1), premium)
-    return _union(bootstrap.run(docs, premium, bootstrap.Config(unit=unit), start, leaks=leaks).rounds).select("iteration", "snippet_id", "ckpt", "draw", "score", "v")
-
-
-@query("bootstrap_schedules", "WITH s AS (SELECT * FROM (VALUES ('20-40', 1, 2), ('20-40', 2, 4), ('60', 1, 6), ('40-20', 1, 4), ('40-20', 2, 2), ('40-40', 1, 4), ('40-40', 2, 4), ('20-20', 1, 2), ('20-20', 2, 2)) t(setting, iteration, m)), u AS (SELECT 10 * (count(DISTINCT array_to_string(" + w("text") + ", ' ')) // 180) AS unit FROM documents) SELECT setting, iteration, (m * unit)::BIGINT AS n_kept FROM s, u")
-def bootstrap_schedules(spark: SparkSession, d: str) -> DataFrame:
-    docs, premium, unit, leaks = _loop_inputs(spark, d)
-    out = []
-    for name in bootstrap.SCHEDULES:
-        cfg = bootstrap.Config(schedule=name, unit=unit, ckpts=2, draws=2, over=1)
-        for t, kept in enumerate(bootstrap.run(docs, premium, cfg, leaks=leaks).rounds, 1):
-            out.append(kept.agg(F.count(F.lit(1)).alias("n_kept")).select(F.lit(name).alias("setting"), F.lit(t).alias("iteration"), "n_kept"))
-    return _union(out)
-
-
-@query("bootstrap_ledger")
-def bootstrap_ledger(spark: SparkSession, d: str) -> DataFrame:
-    docs, premium, unit, leaks = _loop_inputs(spark, d)
-    rows = bootstrap.run(docs, premium, bootstrap.Config(unit=unit), leaks=leaks).ledger
-    return evaluate.ledger(spark.createDataFrame(rows, "iteration int, stage string, provider string, calls long, prompt_chars long, output_chars long"))
-
-
-@query("ablation_grid")
-def ablation_grid(spark: SparkSession, d: str) -> DataFrame:
-    docs, premium, unit, leaks = _loop_inputs(spark, d)
-    labels = table(spark, d, "labels").filter("doc_id % 2 = 1")
-    out = []
-    for name, change in bootstrap.ABLATIONS.items():
-        cfg = bootstrap.Config(schedule="20-20", unit=unit, **change)
-        out.append(_measured(name, _union(bootstrap.run(docs, premium, cfg, leaks=leaks).rounds), labels))
-    return _union(out)
-
-
-@query("strategy_grid")
-def strategy_grid(spark: SparkSession, d: str) -> DataFrame:
-    """Selections of the whole pool: influence, random, lowest and highest perplexity; purity on the odd labels."""
-    docs, premium, unit, _ = _loop_inputs(spark, d)
-    labels = table(spark, d, "labels").filter("doc_id % 2 = 1")
-    docs = land(docs.select(F.col("snippet_id").alias("id"), "text"))
-    v = influence.score(bootstrap.word_vectors(docs, "id", "text", 256), influence.target_sum(bootstrap.word_vectors(premium, "id", "text", 256)))
-    ppl = land(lm.perplexity(docs, "id", "text", lm.fit(docs, "id", "text")))
-    n = 2 * unit
-    picks = {"influence": selection.top_n(v, "v_fp", n), "random": selection.random_n(docs, n), "low_ppl": selection.top_n(ppl, "ppl", n, ascending=True), "high_ppl": selection.top_n(ppl, "ppl", n)}
-    return _union([evaluate.purity(k.select("id"), labels).select(F.lit(name).alias("setting"), "*") for name, k in picks.items()])
-
-
-@query("scaling_curve")
-def scaling_curve(spark: SparkSession, d: str) -> DataFrame:
-    """Nested prefixes of one generated set: 1, 2, 4 and 6 units; proxy perplexity of the benchmark items."""
-    docs, premium, unit, leaks = _loop_inputs(spark, d)
-    made = land(bootstrap.one_round(docs, premium, 6 * unit, bootstrap.Config(unit=unit, over=1), 1, leaks=leaks).orderBy(hash_unit("scale", "snippet_id"), "snippet_id"))
-    bench = table(spark, d, "benchmark")
-    out = []
-    for m in (1, 2, 4, 6):
-        part = made.orderBy(hash_unit("scale", "snippet_id"), "snippet_id").limit(m * unit)
-        out.append(evaluate.lm_proxy(part, "snippet_id", "s", bench).select(F.lit(m).alias("units"), "*"))
-    return _union(out)
-
-
-@query("pilot_grid")
-def pilot_grid(spark: SparkSession, d: str) -> DataFrame:
-    """Three sizes of the trainable synthesizer, original and enhanced, by the proxy on its own samples."""
-    docs, premium, unit, _ = _loop_inputs(spark, d)
-    bench = table(spark, d, "benchmark")
-    prompts = land(docs.orderBy(hash_unit("pilot", "snippet_id"), "snippet_id").limit(4 * unit))
-    out = []
-    for name, vocab, fanout in (("small", 200, 4), ("middle", 1000, 8), ("large", 4000, 16)):
-        base = synth.NGramSynthesizer(vocab, fanout).train(docs.select(F.col("snippet_id").alias("id"), "text"), 1)
-        for step, model in (("original", base), ("enhanced", synth.enhance(base, premium, 1))):
-            made = model.generate(prompts, [0], 1)
-            out.append(evaluate.lm_proxy(made, "snippet_id", "s", bench).select(F.lit(name).alias("synth"), F.lit(step).alias("step"), "*"))
-    return _union(out)
+    """Marks of a sample of conversation pairs."""
+    a = candidates.from_conversations(table(spark, d, "conversations")).withColumn("id", F.col("snippet_id") * 100 + F.col("draw"))
+    return evaluate.compare_quality({"a": a}, {"rule": scoring.rule_marks}, scoring.MARKS).select("aspect", "mean")
 
 
 @query("eval_label_proxy")
 def eval_label_proxy(spark: SparkSession, d: str) -> DataFrame:
-    m = land(_labelled_marks(spark, d).select("snippet_id", *RM, F.col("quality").cast("double").alias("y")))
-    return evaluate.label_proxy(m.filter("snippet_id % 2 = 0"), m.filter("snippet_id % 2 = 1"), RM, "y")
+    """Trained on the even sources, measured on the odd ones."""
+    m = land(_labelled_marks(spark, d).select("snippet_id", "source", *RM, F.col("quality").cast("double").alias("y")))
+    odd = "cast(substring(source, 4) as int) % 2 = 1"
+    return evaluate.label_proxy(m.filter(f"not ({odd})"), m.filter(odd), RM, "y")
 
 
 @query("synth_prior_prompts", "SELECT doc_id, md5('Take this text as a start and write a problem with its solution: ' || text) AS digest FROM documents")
@@ -731,5 +671,3 @@ def synth_prior_prompts(spark: SparkSession, d: str) -> DataFrame:
 def synth_novelty(spark: SparkSession, d: str) -> DataFrame:
     docs = table(spark, d, "documents")
     return synth.novel(docs.filter("doc_id % 2 = 1"), docs.filter("doc_id % 2 = 0"), "text").agg(F.count(F.lit(1)).alias("n"))
-
-

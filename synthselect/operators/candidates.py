@@ -41,10 +41,15 @@ def best_of_n(snippets: DataFrame, ckpt: int = 2, n: int = 4) -> DataFrame:
     return passages(grid(snippets, [ckpt], n))
 
 
-def top_m(df: DataFrame, score: str, m: int = 1, by: str = "snippet_id", ties: list[str] = ["ckpt", "draw"], least: float | None = None) -> DataFrame:  # noqa: B006
-    """The m best per snippet, ties by checkpoint and draw; partial limits run before the shuffle."""
+def top_m(df: DataFrame, score: str, m: int = 1, by: str = "snippet_id", ties: list[str] = ["ckpt", "draw"], least: float | None = None, sound: bool = False) -> DataFrame:  # noqa: B006
+    """The m best per snippet, ties by checkpoint and draw; partial limits run before the shuffle.
+
+    sound: candidates with an empty q or s, or with q = s, are left out.
+    """
     if least is not None:
         df = df.filter(F.col(score) >= least)
+    if sound:
+        df = df.filter("trim(coalesce(q, '')) <> '' and trim(coalesce(s, '')) <> '' and q <> s")
     w = Window.partitionBy(by).orderBy(F.desc_nulls_last(score), *ties)
     return df.withColumn("place", F.row_number().over(w)).filter(F.col("place") <= m)
 
@@ -78,6 +83,19 @@ def diversity(df: DataFrame) -> DataFrame:
     return g.select("snippet_id", "n", "n_distinct", F.round(F.col("n_vocab") / F.greatest(F.lit(1), "n_words"), 6).alias("distinct_1"))
 
 
+def mean_jaccard(df: DataFrame) -> DataFrame:
+    """(snippet_id, n_pairs, mean_jaccard): likeness of the word sets of all pairs of a snippet's candidates, in its own group.
+
+    A snippet has checkpoints x draws candidates, so a group is bounded by the plan, not by the data.
+    """
+    sets = df.groupBy("snippet_id").agg(F.collect_list(F.array_distinct(words("s"))).alias("_t"))
+    pair = lambda a, b: F.struct(F.size(F.array_intersect(a, b)).alias("both"), F.size(F.array_union(a, b)).alias("either"))
+    pairs = F.flatten(F.transform("_t", lambda a, i: F.transform(F.slice("_t", i + 2, F.greatest(F.lit(0), F.size("_t") - i - 1)), lambda b: pair(a, b))))
+    d = sets.select("snippet_id", F.filter(pairs, lambda p: p["either"] > 0).alias("_p"))
+    each = F.aggregate("_p", F.lit(0).cast("long"), lambda s, p: s + F.floor(p["both"] * 1_000_000 / p["either"]))
+    return d.select("snippet_id", F.size("_p").alias("n_pairs"), F.round(each / 1e6 / F.greatest(F.lit(1), F.size("_p")), 6).alias("mean_jaccard"))
+
+
 def from_conversations(conv: DataFrame) -> DataFrame:
     """(snippet_id, draw, q, s): each user turn with the assistant turn that follows; ragged sets."""
     w = Window.partitionBy("conv_id").orderBy("turn")

@@ -19,6 +19,18 @@ def hashed_embedding(df: DataFrame, id_col: str, text: str, d: int = 64, seed: s
     return tok.groupBy("id", "i").agg(F.sum("s").alias("x")).filter("x <> 0")
 
 
+def hashed_vectors(df: DataFrame, id_col: str, text: str, d: int = 64, seed: str = "emb") -> DataFrame:
+    """(id, v array<double>): the same counts as dense vectors, zero for texts without words."""
+    cells = hashed_embedding(df, id_col, text, d, seed).groupBy("id").agg(F.map_from_entries(F.collect_list(F.struct("i", F.col("x").cast("double")))).alias("_m"))
+    dense = F.transform(F.sequence(F.lit(0), F.lit(d - 1)), lambda i: F.coalesce(F.try_element_at("_m", i), F.lit(0.0)))
+    return df.select(F.col(id_col).alias("id")).join(cells, "id", "left").select("id", F.when(F.col("_m").isNull(), F.array_repeat(F.lit(0.0), d)).otherwise(dense).alias("v"))
+
+
+def from_descriptions(desc: DataFrame, id_col: str, text: str, d: int = 64, seed: str = "emb") -> list[tuple[int, list[float]]]:
+    """Category vectors from a few descriptions, by the same embedding as the snippets'."""
+    return [(r["id"], list(r["v"])) for r in hashed_vectors(desc, id_col, text, d, seed).orderBy("id").collect()]
+
+
 def assign(df: DataFrame, id_col: str, vector: str, prototypes: list[tuple[int, list[float]]], metric: str = "cosine", least: float | None = None, m: int = 1) -> DataFrame:
     """(id, category_id, similarity, place): the m nearest of a few broadcast prototypes, ties to the lowest id.
 

@@ -104,6 +104,33 @@ def score(grads: DataFrame, target: list[int], how: str = "cosine") -> DataFrame
     return out.withColumn("v_fp", F.round(F.col("v") * UNIT).cast("long"))
 
 
+def score_without_self(grads: DataFrame, target: list[int], members: DataFrame) -> DataFrame:
+    """(id, v, v_fp) where a member of the target is compared with the target without it; members: (id) of those."""
+    m = np.array(target, np.float64)
+    own = members.select("id").distinct().withColumn("_in", F.lit(True))
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for pdf in batches:
+            if len(pdf):
+                g = np.array(pdf["g"].tolist(), np.float64)
+                t = m[None] - np.where(pdf["_in"].fillna(False).to_numpy(bool)[:, None], g, 0)
+                n = np.linalg.norm(g, axis=1) * np.linalg.norm(t, axis=1)
+                with np.errstate(invalid="ignore", divide="ignore"):
+                    yield pd.DataFrame({"id": pdf["id"], "v": np.round(np.where(n > 0, (g * t).sum(axis=1) / n, np.nan), 6)})
+
+    out = grads.join(own, "id", "left").select("id", "g", "_in").mapInPandas(run, "id long, v double").withColumn("v", F.nanvl("v", F.lit(None).cast("double")))
+    return out.withColumn("v_fp", F.round(F.col("v") * UNIT).cast("long"))
+
+
+def over_checkpoints(scores: list[DataFrame], rates: list[float]) -> DataFrame:
+    """(id, v, v_fp): influences at several checkpoints of the reference, summed with their step sizes."""
+    total = None
+    for s, r in zip(scores, rates):
+        part = s.select("id", (F.round(F.col("v") * r * UNIT)).cast("long").alias("v_fp"))
+        total = part if total is None else total.union(part)
+    return total.groupBy("id").agg(F.sum("v_fp").alias("v_fp")).select("id", (F.col("v_fp") / UNIT).alias("v"), "v_fp")
+
+
 def score_by_category(grads: DataFrame, targets: dict[int, list[int]], own: str | None = None) -> DataFrame:
     """(id, best, v): the largest cosine to any category's mean (or the row's own category's)."""
     cats = sorted(targets)
@@ -156,15 +183,35 @@ def pairwise(grads: DataFrame, tests: DataFrame, top: int, how: str = "cosine",
 
 
 def distortion(grads: DataFrame, target_rows: DataFrame, width: int, ks: list[int], top: int, seed: str = "proj") -> DataFrame:
-    """(k, mean_abs_error, top_overlap) of projected against full influence: falls, and rises, with k."""
-    full = score(grads, target_sum(target_rows)).select("id", "v").cache()
+    """(k, mean_abs_error, distance_ratio, top_overlap) of projected against full influence.
+
+    The error falls and the overlap rises with k.  distance_ratio: projected over full distance of each row to the
+    target's mean, over sqrt(k), as a mean: near one at any k.
+    """
+    n = target_rows.count()
+    mean = [x // max(1, n) for x in target_sum(target_rows)]
+    full = score(grads, target_sum(target_rows)).select("id", "v")
     best = full.orderBy(F.desc_nulls_last("v"), "id").limit(top).select("id")
+
+    def far(df: DataFrame, to: list[int], name: str) -> DataFrame:
+        m = np.array(to, np.float64)
+
+        def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+            for pdf in batches:
+                if len(pdf):
+                    yield pd.DataFrame({"id": pdf["id"], "d": np.linalg.norm(np.array(pdf["g"].tolist(), np.float64) - m, axis=1)})
+
+        return df.mapInPandas(run, "id long, d double").withColumnRenamed("d", name)
+
     out = None
     for k in ks:
-        p = score(project(grads, width, k, seed), target_sum(project(target_rows, width, k, seed))).select("id", F.col("v").alias("w"))
+        g = project(grads, width, k, seed)
+        to = (np.array(mean, np.int64) @ signs(seed, width, k)).tolist()
+        p = score(g, target_sum(project(target_rows, width, k, seed))).select("id", F.col("v").alias("w"))
         err = full.join(p, "id").agg(F.round(F.avg(F.abs(F.col("v") - F.col("w"))), 4).alias("mean_abs_error"))
+        ratio = far(grads, mean, "d").join(far(g, to, "e"), "id").filter("d > 0").agg(F.round(F.avg(F.col("e") / F.col("d") / k**0.5), 4).alias("distance_ratio"))
         hit = p.orderBy(F.desc_nulls_last("w"), "id").limit(top).join(best, "id").agg(F.count(F.lit(1)).alias("top_overlap"))
-        row = err.crossJoin(hit).select(F.lit(k).alias("k"), "mean_abs_error", "top_overlap")
+        row = err.crossJoin(ratio).crossJoin(hit).select(F.lit(k).alias("k"), "mean_abs_error", "distance_ratio", "top_overlap")  # one row each
         out = row if out is None else out.union(row)
     return out
 

@@ -7,8 +7,9 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..functions import normalise, shingles, words
-from .scoring import SECRET, punctuation
+from ..functions import hash_unit, normalise, shingles, words
+from ..sources import join_spread, land
+from .scoring import SECRET, punctuation, shared_runs
 
 
 @dataclass(frozen=True)
@@ -74,19 +75,31 @@ def benchmark_grams(bench: DataFrame, n: int = 8) -> DataFrame:
 
 
 def contaminated(df: DataFrame, bench: DataFrame, id_col: str = "doc_id", n: int = 8) -> DataFrame:
-    """(id, n_hits): documents that share runs of n words with the benchmark."""
+    """(id, n_hits): documents that share runs of n words with the benchmark; its runs are sent to the tasks if few enough."""
+    runs = land(benchmark_grams(bench, n))
+    hits = shared_runs("_t", runs, n)
+    if hits is not None:
+        return df.select(F.col(id_col).alias("id"), words("text").alias("_t")).select("id", hits.cast("long").alias("n_hits")).filter("n_hits > 0")
     g = df.select(F.col(id_col).alias("id"), words("text").alias("_t")).select("id", F.explode(shingles(F.col("_t"), n)).alias("gram"))
-    return g.join(benchmark_grams(bench, n), "gram", "left_semi").groupBy("id").agg(F.count(F.lit(1)).alias("n_hits"))
+    return g.join(runs, "gram", "left_semi").groupBy("id").agg(F.count(F.lit(1)).alias("n_hits"))
 
 
 def gates(docs: DataFrame, bench: DataFrame, cfg: PoolConfig = PoolConfig()) -> DataFrame:
     """docs with `reason`: the first gate that drops the row, or null."""
-    d = sensitive_hits(noise(docs))
-    first = exact_first(docs).filter("id <> first_id").select(F.col("id").alias("doc_id"), F.lit(1).alias("_dup"))
-    hit = contaminated(docs, bench, n=cfg.gram).select(F.col("id").alias("doc_id"), F.lit(1).alias("_hit"))
-    d = d.join(first, "doc_id", "left").join(hit, "doc_id", "left")
+    runs = land(benchmark_grams(bench, cfg.gram))
+    hits = shared_runs("_t", runs, cfg.gram)
+    d = sensitive_hits(noise(docs)).withColumn("_t", words("text"))
+    if hits is None:
+        hit = contaminated(docs, bench, n=cfg.gram).select(F.col("id").alias("doc_id"), F.lit(1).alias("_hit"))
+        d = d.join(hit, "doc_id", "left")
+    else:  # in place: no text is shuffled
+        d = d.withColumn("_hit", F.when(hits > 0, 1))
+    d = d.withColumn("_key", F.md5(F.array_join("_t", " ").cast("binary"))).drop("_t")
+    low = d.groupBy("_key").agg(F.min("doc_id").alias("_low"), F.count(F.lit(1)).alias("_rows"))
+    many = low.filter("_rows > 1").select("_key", "_low", "_rows")  # one row for each text that has copies
+    d = join_spread(d, many, ["_key"], "_rows", docs.count()).withColumn("_dup", F.when(F.col("_low") < F.col("doc_id"), 1))
     reason = F.when((F.col("n_chars") < cfg.least_chars) | (F.col("n_chars") > cfg.most_chars), "length").when(is_noisy(cfg), "noise").when(F.col("n_sensitive") > 0, "sensitive").when(F.col("_dup").isNotNull(), "duplicate").when(F.col("_hit").isNotNull(), "benchmark")
-    return d.withColumn("reason", reason).drop("_dup", "_hit")
+    return d.withColumn("reason", reason).drop("_dup", "_hit", "_key", "_low", "_rows")
 
 
 def build_pool(docs: DataFrame, bench: DataFrame, cfg: PoolConfig = PoolConfig()) -> tuple[DataFrame, DataFrame]:
@@ -98,3 +111,54 @@ def build_pool(docs: DataFrame, bench: DataFrame, cfg: PoolConfig = PoolConfig()
 def funnel(docs: DataFrame, bench: DataFrame, cfg: PoolConfig = PoolConfig()) -> DataFrame:
     """(step, dropped): one aggregation."""
     return gates(docs, bench, cfg).groupBy(F.coalesce("reason", F.lit("kept")).alias("step")).agg(F.count(F.lit(1)).alias("n"))
+
+
+#: The k-th order of shingles is that of (h * 1000003 (k + 1) + 7919 k) mod this prime.
+BAND_PRIME = 2_147_483_647
+
+
+def near_pairs(docs: DataFrame, id_col: str = "doc_id", n: int = 5, bands: int = 8, rows: int = 2, least: int = 80) -> DataFrame:
+    """(a, b, percent): texts whose sets of n-word shingles meet in a MinHash band and are `least` percent alike.
+
+    Texts with the same shingles are one node, so copies cost nothing; a node's partners in a band are joined by the
+    band's key.  percent: whole hundredths of the Jaccard likeness.  a, b: the smallest ids of their nodes, a < b.
+    """
+    t = docs.select(F.col(id_col).alias("id"), words("text").alias("_t")).select("id", F.array_sort(shingles(F.col("_t"), n)).alias("grams")).filter("size(grams) > 0")
+    t = t.withColumn("node", F.md5(F.array_join("grams", "|").cast("binary"))).groupBy("node").agg(F.min("id").alias("id"), F.min("grams").alias("grams"))
+    t = t.withColumn("_h", F.transform("grams", lambda g: hash_unit("band", g) % BAND_PRIME))
+    t = land(t.select("id", "grams", F.array(*[F.array_min(F.transform("_h", _mixed(k))) for k in range(bands * rows)]).alias("low")))
+    keys = F.array(*[F.concat_ws("-", F.lit(b), *[F.col("low")[b * rows + r].cast("string") for r in range(rows)]) for b in range(bands)])
+    bands_ = t.select("id", F.explode(keys).alias("key"))
+    meet = bands_.select(F.col("id").alias("a"), "key").join(bands_.select(F.col("id").alias("b"), "key"), "key").filter("a < b").select("a", "b").distinct()
+    g = t.select("id", "grams")
+    both = meet.join(g.select(F.col("id").alias("a"), F.col("grams").alias("_x")), "a").join(g.select(F.col("id").alias("b"), F.col("grams").alias("_y")), "b")
+    same = F.size(F.array_intersect("_x", "_y"))
+    return both.withColumn("percent", F.floor(100 * same / (F.size("_x") + F.size("_y") - same)).cast("int")).filter(F.col("percent") >= least).select("a", "b", "percent")
+
+
+def _mixed(k: int):
+    return lambda h: (h * (1_000_003 * (k + 1)) + 7919 * k) % BAND_PRIME
+
+
+def near_clusters(docs: DataFrame, pairs: DataFrame, id_col: str = "doc_id", n: int = 5) -> DataFrame:
+    """(id, cluster_id): the smallest id reachable by pairs or equal shingle sets; rounds meet through files.
+
+    Labels travel both ways along links and through their own labels (pointer jumping), so rounds grow with the
+    logarithm of a chain's length.
+    """
+    t = docs.select(F.col(id_col).alias("id"), words("text").alias("_t")).select("id", F.array_sort(shingles(F.col("_t"), n)).alias("grams"))
+    key = F.when(F.size("grams") > 0, F.md5(F.array_join("grams", "|").cast("binary"))).otherwise(F.concat(F.lit("id"), F.col("id").cast("string")))
+    node = t.select("id", key.alias("node"))
+    node = land(node.join(node.groupBy("node").agg(F.min("id").alias("own")), "node").select("id", "own"))
+    label = land(node.select(F.col("own").alias("k")).distinct().withColumn("l", F.col("k")))
+    links = land(pairs.select("a", "b").union(pairs.select("b", "a")))
+    while True:
+        low = links.join(label.withColumnRenamed("k", "b"), "b").groupBy(F.col("a").alias("k")).agg(F.min("l").alias("m"))
+        new = label.join(low, "k", "left").select("k", F.least("l", F.coalesce("m", "l")).alias("l"))
+        new = land(new)
+        up = new.select(F.col("k").alias("l"), F.col("l").alias("up"))
+        new = land(new.join(up, "l").select("k", F.col("up").alias("l")))
+        if not label.join(new.withColumnRenamed("l", "n"), "k").filter("l <> n").limit(1).count():
+            break
+        label = new
+    return node.join(label, node.own == label.k).select("id", F.col("l").alias("cluster_id"))

@@ -7,7 +7,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions import UNIT, hash_unit, words
@@ -66,73 +66,180 @@ class LowRankSoftmax:
             model = LowRankSoftmax(model.w0, model.a - step[: model.a.size].reshape(model.a.shape), model.b - step[model.a.size :].reshape(model.b.shape), model.scale)
         return model
 
-    def per_sample(self, df: DataFrame, id_col: str, vector: str, label: str, signs: np.ndarray | None = None) -> DataFrame:
-        """(id, g): gradients in millionths; with `signs` they are projected inside the task."""
+    def full_gradients(self, x: np.ndarray, y: np.ndarray) -> np.ndarray:
+        """n x C*d: of the full weight matrix, adapters aside."""
+        e = _softmax(x @ (self.w0 + self.scale * self.b @ self.a).T)
+        e[np.arange(len(y)), y] -= 1
+        return (e[:, :, None] * x[:, None, :]).reshape(len(x), -1)
+
+    def per_sample(self, df: DataFrame, id_col: str, vector: str, label: str, signs: np.ndarray | None = None, full: bool = False) -> DataFrame:
+        """(id, g): gradients in millionths, of the adapters or (full) of all weights; with `signs` they are projected
+        inside the task."""
+        of = self.full_gradients if full else self.gradients
 
         def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
             for pdf in batches:
-                g = np.rint(self.gradients(np.array(pdf["x"].tolist(), float), pdf["y"].to_numpy()) * UNIT).astype(np.int64)
+                g = np.rint(of(np.array(pdf["x"].tolist(), float), pdf["y"].to_numpy()) * UNIT).astype(np.int64)
                 yield pd.DataFrame({"id": pdf["id"], "g": list(g if signs is None else g @ signs)})
 
         return df.select(F.col(id_col).alias("id"), F.col(vector).alias("x"), F.col(label).cast("int").alias("y")).mapInPandas(run, "id long, g array<long>")
 
 
+def word_ids(tokens: Column, v: int, seed: str = "ref") -> Column:
+    """Hashed ids 0..v-1 of an array of words."""
+    return F.transform(tokens, lambda w: (F.conv(F.substring(F.md5(F.concat(F.lit(f"{seed}-"), w).cast("binary")), 1, 8), 16, 10).cast("long") % v).cast("int"))
+
+
+def pair_codes(df: DataFrame, id_col: str, s: str, v: int, q: str | None = None, loss_on: str = "solution") -> DataFrame:
+    """(id, pairs): u * v + w of each word after another; q: the text before s.
+
+    loss_on: solution (words of s only, the first after q's last) or both.
+    """
+    tail = F.col("_s") if q is None else F.concat("_q", "_s")
+    d = df.select(F.col(id_col).alias("id"), word_ids(words(s), v).alias("_s"), *([word_ids(words(q), v).alias("_q")] if q else []))
+    d = d.select("id", tail.alias("_t"), (F.greatest(F.lit(0), F.size("_q") - 1) if q and loss_on == "solution" else F.lit(0)).alias("_from"))
+    n = F.greatest(F.lit(0), F.size("_t") - 1 - F.col("_from"))  # slices, as a lambda would work _t out anew for every word
+    runs = F.zip_with(F.slice("_t", F.col("_from") + 1, n), F.slice("_t", F.col("_from") + 2, n), lambda u, x: u * v + x)
+    return d.select("id", F.coalesce(runs, F.array().cast("array<int>")).alias("pairs"))
+
+
+def pair_counts(pairs: DataFrame, v: int) -> np.ndarray:
+    """v x v counts of pair codes over all rows: partial sums meet in at most v * v rows."""
+    out = np.zeros(v * v, np.int64)
+    for r in pairs.select(F.explode("pairs").alias("c")).groupBy("c").agg(F.count(F.lit(1)).alias("n")).collect():
+        out[r["c"]] = r["n"]
+    return out.reshape(v, v)
+
+
 @dataclass
 class LowRankBigram:
-    """Row-softmax over hashed next words: logits W0[u] + scale (B A)[u]; B (V x r), A (r x V)."""
+    """Row-softmax over hashed next words: logits W0[u] + scale (B A)[u]; W0 frozen, B (V x r) and A (r x V) trained.
+
+    A sample's adapter gradient is a sum over its word pairs, so with integer probabilities and adapters its projection
+    is a sum of rows of one V*V x k integer table: exact under any partitioning, and no long vector is ever built.
+    """
 
     w0: np.ndarray
     a: np.ndarray
     b: np.ndarray
     scale: float = 1.0
+    #: Adapters are rounded to 1 / grain in gradients.
+    grain: int = 1000
 
-    @staticmethod
-    def pairs(text: str, v: int) -> np.ndarray:
-        import zlib
-
-        w = np.array([zlib.crc32(x.encode()) % v for x in text.lower().split()], np.int64)
-        out = np.zeros((v, v))
-        if len(w) > 1:
-            np.add.at(out, (w[:-1], w[1:]), 1)
-        return out
+    @classmethod
+    def start(cls, counts: np.ndarray, rank: int = 4, scale: float = 1.0, seed: int = 0) -> LowRankBigram:
+        """W0 from the pair counts of all documents; A random, B small but not zero, or A would have no gradient."""
+        rng, v = np.random.default_rng(seed), len(counts)
+        return cls(np.log(counts + 1.0), rng.normal(size=(rank, v)) / v**0.5, rng.normal(size=(v, rank)) * 0.05, scale)
 
     @classmethod
-    def start(cls, df: DataFrame, text: str, v: int = 64, rank: int = 4, seed: int = 0) -> LowRankBigram:
-        """W0 from all documents' hashed word pairs (V x V counts reach the driver)."""
+    def fixed(cls, counts: np.ndarray, rank: int = 2, scale: float = 0.5) -> LowRankBigram:
+        """Adapters of hashed signs, not trained: any engine can check their gradients."""
+        from .influence import signs
 
-        def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-            total = np.zeros((v, v))
-            for pdf in batches:
-                for t in pdf["t"]:
-                    total += cls.pairs(t or "", v)
-            yield pd.DataFrame({"i": np.arange(v * v), "c": total.ravel().astype(np.int64)})
-
-        rows = df.select(F.col(text).alias("t")).mapInPandas(run, "i int, c long").groupBy("i").agg(F.sum("c").alias("c")).collect()
-        counts = np.zeros(v * v)
-        for r in rows:
-            counts[r["i"]] = r["c"]
-        counts = counts.reshape(v, v) + 1.0
-        rng = np.random.default_rng(seed)
-        return cls(np.log(counts / counts.sum(axis=1, keepdims=True)), rng.normal(size=(rank, v)) * 0.1, rng.normal(size=(v, rank)) * 0.1)
+        return cls(np.log(counts + 1.0), signs("refA", rank, len(counts)).astype(float), signs("refB", len(counts), rank).astype(float), scale, 1)
+
+    def probabilities(self) -> np.ndarray:
+        return _softmax(self.w0 + self.scale * self.b @ self.a)
 
     def loss(self, counts: np.ndarray) -> float:
-        z = self.w0 + self.scale * self.b @ self.a
-        return float(-(counts * np.log(_softmax(z))).sum() / max(1.0, counts.sum()))
+        return float(-(counts * np.log(self.probabilities())).sum() / max(1.0, counts.sum()))
 
     def gradient(self, counts: np.ndarray) -> np.ndarray:
-        n = counts.sum(axis=1, keepdims=True)
-        e = (n * _softmax(self.w0 + self.scale * self.b @ self.a) - counts) / max(1.0, counts.sum())
+        """Of the mean loss of the counted pairs, by A then B."""
+        e = (counts.sum(axis=1, keepdims=True) * self.probabilities() - counts) / max(1.0, counts.sum())
         return np.concatenate([(self.scale * self.b.T @ e).ravel(), (self.scale * e @ self.a.T).ravel()])
 
-    def per_sample(self, df: DataFrame, id_col: str, text: str, signs: np.ndarray | None = None) -> DataFrame:
-        v = len(self.w0)
+    def fit(self, counts: np.ndarray, steps: int = 200, rate: float = 2.0, keep: tuple[int, ...] = ()) -> LowRankBigram | list[LowRankBigram]:
+        """Full-batch descent on the adapters.  The loss needs the premium set's pair counts only, so no step reads data.
+
+        keep: steps after which a copy is taken; then the list of copies is returned.
+        """
+        m, copies = self, []
+        for k in range(1, steps + 1):
+            g = m.gradient(counts)
+            m = LowRankBigram(m.w0, m.a - rate * g[: m.a.size].reshape(m.a.shape), m.b - rate * g[m.a.size :].reshape(m.b.shape), m.scale, m.grain)
+            if k in keep:
+                copies.append(m)
+        return copies if keep else m
+
+    @property
+    def width(self) -> int:
+        return self.a.size + self.b.size
+
+    def table(self, signs: np.ndarray) -> np.ndarray:
+        """V*V x k: what each word pair adds to the projected gradient, in millionths of 1 / grain."""
+        v, r = self.b.shape
+        a, b = (np.rint(x * self.grain).astype(np.int64) for x in (self.a, self.b))
+        sa, sb = signs[: r * v].reshape(r, v, -1), signs[r * v :].reshape(v, r, -1)
+        t = np.einsum("ur,rwk->uwk", b, sa) + np.einsum("rw,urk->uwk", a, sb)  # of logit (u, w)
+        p = np.rint(UNIT * self.probabilities()).astype(np.int64)
+        mean = np.einsum("uw,uwk->uk", p, t)
+        return (mean[:, None, :] - UNIT * t).reshape(v * v, -1)
+
+    def per_sample(self, pairs: DataFrame, signs: np.ndarray, per_word: bool = True) -> DataFrame:
+        """(id, g) of rows (id, pairs): projected gradients, of the mean loss a word or of the summed loss."""
+        sent = pairs.sparkSession.sparkContext.broadcast(self.table(signs))  # V * V * k numbers, sizes of the model
+
+        def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+            table = sent.value
+            for pdf in batches:
+                g = [table[np.asarray(c, np.int64)].sum(axis=0) if len(c) else np.zeros(table.shape[1], np.int64) for c in pdf["pairs"]]
+                if per_word:
+                    g = [np.rint(x / max(1, len(c))).astype(np.int64) for x, c in zip(g, pdf["pairs"])]
+                yield pd.DataFrame({"id": pdf["id"], "g": g})
+
+        return pairs.select("id", "pairs").mapInPandas(run, "id long, g array<long>")
+
+
+@dataclass
+class HashedLogistic:
+    """Logistic regression on shares of hashed words; gradients by its weights (and no bias)."""
+
+    weights: np.ndarray
+
+    @staticmethod
+    def cells(df: DataFrame, id_col: str, text: str, label: str, v: int) -> DataFrame:
+        """(id, y, x): shares of hashed words in millionths."""
+        d = df.select(F.col(id_col).alias("id"), F.col(label).cast("int").alias("y"), word_ids(words(text), v, "log").alias("_h"))
+        share = F.transform(F.sequence(F.lit(0), F.lit(v - 1)), lambda i: F.floor(F.size(F.filter("_h", lambda h: h == i)) * UNIT / F.greatest(F.lit(1), F.size("_h"))).cast("long"))
+        return d.select("id", "y", share.alias("x"))
+
+    @classmethod
+    def fit(cls, cells: DataFrame, v: int, epochs: int = 20, rate: float = 20.0) -> HashedLogistic:
+        """Full-batch steps; of each task one summed gradient, in millionths, reaches the driver per epoch."""
+        model = cls(np.zeros(v))
+        for _ in range(epochs):
+
+            def run(batches: Iterator[pd.DataFrame], m=model) -> Iterator[pd.DataFrame]:
+                total = np.zeros(v + 1)
+                for pdf in batches:
+                    if len(pdf):
+                        x = np.array(pdf["x"].tolist(), float) / UNIT
+                        total[:v] += np.rint((m.predict(x) - pdf["y"].to_numpy()) @ x * UNIT)
+                        total[v] += len(pdf)
+                yield pd.DataFrame({"i": np.arange(v + 1), "g": total.astype(np.int64)})
+
+            rows = cells.mapInPandas(run, "i int, g long").groupBy("i").agg(F.sum("g").alias("g")).collect()
+            g = np.array([r["g"] for r in sorted(rows, key=lambda r: r["i"])], float)
+            if not len(g) or not g[-1]:
+                return model
+            model = cls(model.weights - rate * g[:-1] / UNIT / g[-1])
+        return model
+
+    def predict(self, x: np.ndarray) -> np.ndarray:
+        return 1 / (1 + np.exp(-x @ self.weights))
+
+    def per_sample(self, cells: DataFrame) -> DataFrame:
+        """(id, g): (p - y) x in millionths."""
 
         def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
             for pdf in batches:
-                g = [np.rint(self.gradient(self.pairs(t or "", v)) * UNIT).astype(np.int64) for t in pdf["t"]]
-                yield pd.DataFrame({"id": pdf["id"], "g": [x if signs is None else x @ signs for x in g]})
+                if len(pdf):
+                    x = np.array(pdf["x"].tolist(), float)
+                    yield pd.DataFrame({"id": pdf["id"], "g": list(np.rint((self.predict(x / UNIT) - pdf["y"].to_numpy())[:, None] * x).astype(np.int64))})
 
-        return df.select(F.col(id_col).alias("id"), F.col(text).alias("t")).mapInPandas(run, "id long, g array<long>")
+        return cells.mapInPandas(run, "id long, g array<long>")
 
 
 def unigram_gradients(df: DataFrame, id_col: str, text: str, v: int = 64, seed: str = "uni") -> DataFrame:

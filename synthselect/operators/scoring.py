@@ -35,31 +35,60 @@ def majority_language(tokens: Column) -> Column:
     return F.when((top == 0) | (ties > 1), -1).otherwise(first)
 
 
-def rule_marks(df: DataFrame, leaks: DataFrame | None = None, context: str = "text") -> DataFrame:
+#: Benchmark runs that are sent to the tasks as a set, if they are so many at most (some 60 bytes each).
+MOST_SENT = 1_000_000
+
+
+def shared_runs(tokens: str, runs: DataFrame, n: int = 8):
+    """A column function: how many distinct runs of n words of the array column `tokens` are among `runs` (gram).
+
+    Sends the runs to the tasks behind a check of their number; None where they are too many (then join).
+    """
+    if runs.limit(MOST_SENT + 1).count() > MOST_SENT:
+        return None
+    sent = runs.sparkSession.sparkContext.broadcast(frozenset(r["gram"] for r in runs.select("gram").collect()))
+
+    @F.pandas_udf("int")
+    def count(arrays: pd.Series) -> pd.Series:
+        known = sent.value
+        return pd.Series([0 if w is None else len({g for g in (" ".join(w[k : k + n]) for k in range(len(w) - n + 1)) if g in known}) for w in arrays], dtype="int32")
+
+    return count(tokens)
+
+
+def with_context(snippets: DataFrame, text: str = "text") -> DataFrame:
+    """snippets with their distinct words as `context_words`: split once, before the candidates fan out."""
+    return snippets.withColumn("context_words", F.array_distinct(words(text)))
+
+
+def rule_marks(df: DataFrame, leaks: DataFrame | None = None, context: str = "text", target: int = TARGET_LENGTH, strict: int = 20) -> DataFrame:
     """Add x1..x10, integer marks 1..5 by exact integer arithmetic.
 
-    leaks: a small table (gram) of benchmark 8-word runs; without it x8 is 5.  The words of the three
-    texts are split once.
+    leaks: a table (gram) of benchmark 8-word runs; without it x8 is 5.  The words of q and s are split once; those of
+    the snippet are taken from `context_words` where with_context() made them.  target, strict: the length and the
+    punctuation that the judge asks for.
     """
-    df = df.withColumns({"_q": words("q"), "_s": words("s"), "_c": words(context) if context in df.columns else words("s")})
+    own = F.col("context_words") if "context_words" in df.columns else words(context) if context in df.columns else words("s")
+    df = df.withColumns({"_q": words("q"), "_s": words("s"), "_c": own})
     s = F.col("s")
     lines = F.split(s, "\n")
     both = F.size(F.array_intersect("_s", "_c"))
     lang_q, lang_s = majority_language(F.col("_q")), majority_language(F.col("_s"))
+    leak = shared_runs("_s", leaks) if leaks is not None else F.lit(0)
     marks = {
         "x1": five(F.size(F.array_intersect("_q", "_s")), F.size(F.array_distinct("_q"))),
         "x2": five(F.size(F.array_distinct("_s")), F.size("_s")),
-        "x3": (5 - F.least(F.lit(4), F.floor(20 * punctuation(s) / F.greatest(F.lit(1), F.length(s))))).cast("int"),
-        "x4": five(F.length(s), F.lit(TARGET_LENGTH + 1)),
+        "x3": (5 - F.least(F.lit(4), F.floor(strict * punctuation(s) / F.greatest(F.lit(1), F.length(s))))).cast("int"),
+        "x4": five(F.length(s), F.lit(target + 1)),
         "x5": five(F.size(F.array_distinct(lines)), F.size(lines)),
         "x6": (5 - F.least(F.lit(4), F.greatest(F.lit(0), F.floor(F.length(s) / F.greatest(F.lit(1), F.size("_s"))) - 7))).cast("int"),
         "x7": five(both, F.size(F.array_distinct("_s"))),
-        "x8": F.lit(5),
+        "x8": F.lit(5) if leak is None else F.when(leak > 0, 1).otherwise(5),
         "x9": (5 - F.least(F.lit(4), 2 * F.regexp_count(s, F.lit(SECRET)))).cast("int"),
         "x10": F.when((lang_q == -1) | (lang_s == -1), 3).when(lang_q == lang_s, 5).otherwise(1).cast("int"),
     }
     out = df.withColumns(marks).drop("_q", "_s", "_c")
-    if leaks is not None:
+    if leak is None:
         key = [c for c in ("snippet_id", "ckpt", "draw") if c in df.columns]
         grams = out.select(*key, words("s").alias("_t")).select(*key, F.explode(shingles(F.col("_t"), 8)).alias("gram"))
         hit = grams.join(leaks, "gram", "left_semi").select(*key).distinct().withColumn("_leak", F.lit(1))

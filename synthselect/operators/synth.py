@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import time
 from collections.abc import Callable, Iterator
 from dataclasses import dataclass, field
 
@@ -10,7 +11,8 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..functions import hash_unit, words
+from ..functions import hash_unit, normalise, words
+from ..sources import land
 from . import candidates
 
 #: Words of the passage that an n-gram synthesizer is prompted with.
@@ -29,26 +31,44 @@ class PassageSynthesizer:
 
 @dataclass
 class EndpointSynthesizer:
-    """Any callable of (snippets, ckpt, draw) batches, for instance a served model; land its rows before use."""
+    """Any callable of (snippets, ckpt, draw) batches, for instance a served model; what it gives is landed, not asked anew.
+
+    retries: further tries after an error of the network or a time-out, with growing pauses; rate: most calls a second
+    of one task; batch: rows a call.
+    """
 
     call: Callable[[pd.Series, pd.Series, pd.Series], pd.DataFrame]
     retries: int = 3
+    rate: float | None = None
+    batch: int = 64
+    pause: float = 0.5
 
     def generate(self, snippets: DataFrame, ckpts: list[int], draws: int) -> DataFrame:
         cells = candidates.grid(snippets, ckpts, draws)
 
         def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-            for pdf in batches:
-                for left in range(self.retries, -1, -1):
-                    try:
-                        got = self.call(pdf["text"], pdf["ckpt"], pdf["draw"])
-                        break
-                    except OSError:
-                        if not left:
-                            raise
-                yield pdf[["snippet_id", "ckpt", "draw"]].assign(q=got["q"].to_numpy(), s=got["s"].to_numpy())
-
-        return cells.select("snippet_id", "text", "ckpt", "draw").mapInPandas(run, "snippet_id long, ckpt int, draw int, q string, s string")
+            free = 0.0
+            for whole in batches:
+                for lo in range(0, len(whole), self.batch):
+                    pdf = whole.iloc[lo : lo + self.batch]
+                    for left in range(self.retries, -1, -1):
+                        if self.rate:
+                            time.sleep(max(0.0, free - time.monotonic()))
+                            free = time.monotonic() + 1 / self.rate
+                        try:
+                            got = self.call(pdf["text"], pdf["ckpt"], pdf["draw"])
+                            break
+                        except (OSError, TimeoutError):
+                            if not left:
+                                raise
+                            time.sleep(self.pause * 2 ** (self.retries - left))
+                    yield pdf[["snippet_id", "ckpt", "draw"]].assign(q=got["q"].to_numpy(), s=got["s"].to_numpy())
+
+        made = cells.select("snippet_id", "text", "ckpt", "draw").mapInPandas(run, "snippet_id long, ckpt int, draw int, q string, s string")
+        return land(made)
+
+    def train(self, samples: DataFrame, n_ckpt: int) -> EndpointSynthesizer:
+        return self
 
 
 @dataclass
@@ -139,9 +159,32 @@ def prompts(df: DataFrame, kind: str, column: str) -> DataFrame:
     return df.withColumn("prompt", F.concat(F.lit(before), F.col(column), F.lit(after.partition("}")[2])))
 
 
-def novel(tasks: DataFrame, seen: DataFrame, column: str) -> DataFrame:
-    """The novelty filter: tasks whose normalised text wasn't seen and comes first among equals."""
-    from ..functions import normalise
-
+def novel(tasks: DataFrame, seen: DataFrame, column: str, id_col: str = "doc_id") -> DataFrame:
+    """The novelty filter: of tasks with one normalised text the smallest id, unless the text was seen."""
     k = F.md5(normalise(column).cast("binary"))
-    return tasks.withColumn("_k", k).dropDuplicates(["_k"]).join(seen.select(k.alias("_k")), "_k", "left_anti").drop("_k")
+    t = tasks.withColumn("_k", k)
+    first = t.groupBy("_k").agg(F.min(id_col).alias(id_col))
+    return t.join(first, ["_k", id_col], "left_semi").join(seen.select(k.alias("_k")), "_k", "left_anti").drop("_k")
+
+
+def self_bootstrap(seeds: DataFrame, provider, rounds: int, width: int) -> DataFrame:
+    """Seed-task bootstrapping: each round prompts with `width` tasks in hash order and keeps what is new.
+
+    seeds: (snippet_id, text, n_chars); provider: a synthesizer; returns (snippet_id, text, round), the seeds as round 0.
+    Tasks made in round t get ids t * 2^40 + the prompt's.
+    """
+    pool = land(seeds.select("snippet_id", "text", F.lit(0).alias("round")))
+    for t in range(1, rounds + 1):
+        asked = pool.orderBy(hash_unit(f"boot{t}", "snippet_id"), "snippet_id").limit(width)  # a heap of `width` a task
+        asked = prompts(asked.withColumn("text", normalise("text")), "bootstrap", "text").select("snippet_id", F.col("prompt").alias("text"), F.length("prompt").cast("long").alias("n_chars"))
+        made = provider.generate(asked, [0], 1).select((F.col("snippet_id") % (1 << 40) + t * (1 << 40)).alias("snippet_id"), F.col("s").alias("text"), F.lit(t).alias("round"))
+        pool = land(pool.union(novel(made, pool, "text", "snippet_id")))
+    return pool
+
+
+def evolve(tasks: DataFrame, provider, mode: str = "depth") -> DataFrame:
+    """Instruction evolution: (snippet_id, text, evolved) of every task rewritten once in depth or in breadth."""
+    if mode not in ("depth", "breadth"):
+        raise ValueError("tasks evolve in depth or in breadth")
+    asked = prompts(tasks, mode, "text").select("snippet_id", F.col("prompt").alias("text"), F.length("prompt").cast("long").alias("n_chars"))
+    return tasks.join(provider.generate(asked, [0], 1).select("snippet_id", F.col("s").alias("evolved")), "snippet_id").select("snippet_id", "text", "evolved")

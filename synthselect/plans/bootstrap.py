@@ -1,23 +1,27 @@
 """The self-distillation loop: sample, mark and pick, rank by influence, keep, train, round after round.
 
-Rounds meet through files only (a landed table and its manifest), so a lost driver goes on from the last
-whole round and no plan grows with the number of rounds.
+A reference model is trained once on the premium set: a low-rank adapter on a frozen base.  Every kept-to-be sample's
+adapter gradient is projected inside its task and compared with the premium set's mean.  Rounds meet through files only
+(landed tables and a manifest), so a lost driver goes on from the last whole round and no plan grows with the rounds.
 """
 
 from __future__ import annotations
 
 import json
-from dataclasses import dataclass, field
+import zlib
+from dataclasses import asdict, dataclass, field
 
+import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions import hash_unit, words
-from ..operators import candidates, influence, scoring, selection
+from ..operators import candidates, influence, lm, reference, scoring, selection
 from ..sources import exists, land, scratch
 
 #: Rounds as multiples of the premium size.
 SCHEDULES = {"20-40": (2, 4), "60": (6,), "40-20": (4, 2), "40-40": (4, 4), "20-20": (2, 2)}
+LEDGER = "iteration int, stage string, provider string, calls long, kept long, prompt_chars long, output_chars long"
 
 
 @dataclass(frozen=True)
@@ -29,44 +33,91 @@ class Config:
     weights: tuple[float, ...] = (1.0, 1.0, 2.0, 1.0, 1.0, 1.0, 1.0, 1.0, 1.0, 1.0)
     aggregate: str = "weighted"  # weighted, average, composite, none
     sampling: str = "multi"  # multi, last, best_of_n
-    final: str = "influence"  # influence, random, score
+    final: str = "influence"  # influence, random, score, low_ppl, high_ppl
     over: int = 2  # prompted snippets per kept one
-    width: int = 64  # of the hashed word vectors that stand for gradients
-    disjoint: bool = True
+    disjoint: bool = True  # a snippet that was prompted once is not prompted again
     include_seed: bool = False
+    restart: bool = False  # train each round from the synthesizer of round 0, on all kept so far
+    rounds: int | None = None  # at most so many
+    stall: float | None = None  # stop when the proxy gains less than this over a round
+    reference: str = "trained"  # trained, fixed (checkable by any engine), words (shares of hashed words)
+    vocabulary: int = 64  # hashed words of the reference
+    rank: int = 4
+    width: int = 64  # of the projection
+    loss_on: str = "solution"
 
 
 @dataclass
 class Result:
     rounds: list[DataFrame] = field(default_factory=list)
-    ledger: list[dict] = field(default_factory=list)
+    ledger: list[tuple] = field(default_factory=list)
+    synths: list = field(default_factory=list)
+    proxies: list[float] = field(default_factory=list)
 
 
 def sizes(cfg: Config) -> list[int]:
-    return [m * cfg.unit for m in SCHEDULES[cfg.schedule]]
+    return [m * cfg.unit for m in SCHEDULES[cfg.schedule]][: cfg.rounds]
 
 
 def unit_of(pool_rows: int) -> int:
-    """The largest premium size, a multiple of 10, for which every schedule fits the pool."""
-    unit = 10 * (pool_rows // 180)
+    """The largest premium size for which every schedule fits a pool of so many snippets, two prompted for each kept."""
+    unit = pool_rows // 18
     if not unit:
         raise ValueError(f"a pool of {pool_rows} snippets is too small for one round of every schedule")
     return unit
 
 
 def word_vectors(df: DataFrame, id_col: str, text: str, width: int) -> DataFrame:
-    """(id, g): hashed word shares in millionths, negated: the gradient of a unigram model up to its base."""
-    w = words(text)
-    h = F.transform(w, lambda x: (F.conv(F.substring(F.md5(x.cast("binary")), 1, 8), 16, 10).cast("long") % width).cast("int"))
+    """(id, g): hashed word shares in millionths, negated: the gradient of a unigram model without its base."""
+    d = df.select(F.col(id_col).alias("id"), reference.word_ids(words(text), width, "").alias("_h"))
     n = F.greatest(F.lit(1), F.size("_h"))
-    d = df.select(F.col(id_col).alias("id"), h.alias("_h"))
     cells = F.transform(F.sequence(F.lit(0), F.lit(width - 1)), lambda i: (-F.floor(F.size(F.filter("_h", lambda x: x == i)) * 1_000_000 / n)).cast("long"))
     return d.select("id", cells.alias("g"))
 
 
-def one_round(snippets: DataFrame, premium: DataFrame, keep: int, cfg: Config, t: int, synth=None, leaks: DataFrame | None = None) -> DataFrame:
-    """(iteration, snippet_id, ckpt, draw, score, v, q, s): the kept samples of one round; leaks: (gram) of the benchmark."""
-    prompts = snippets.orderBy(hash_unit(f"round{t}", "snippet_id"), "snippet_id").limit(keep * cfg.over)
+@dataclass
+class Reference:
+    """The reference model of a run: gradients of (q, s) rows, and the premium set's summed gradient."""
+
+    model: reference.LowRankBigram | None
+    signs: np.ndarray | None
+    target: list[int]
+    cfg: Config
+
+    @classmethod
+    def make(cls, pool: DataFrame, premium: DataFrame, cfg: Config) -> Reference:
+        """Base from the pool's texts, adapters from the premium set (id, q, s)."""
+        if cfg.reference == "words":
+            ref = cls(None, None, [], cfg)
+        else:
+            v = cfg.vocabulary
+            base = reference.pair_counts(reference.pair_codes(pool, "snippet_id", "text", v), v)
+            if cfg.reference == "fixed":
+                model = reference.LowRankBigram.fixed(base, cfg.rank)
+                signs = influence.signs("proj", model.width, cfg.width)
+            else:
+                own = reference.pair_counts(reference.pair_codes(premium, "id", "s", v, "q", cfg.loss_on), v)
+                model = reference.LowRankBigram.start(base, cfg.rank).fit(own)
+                signs = influence.fast_signs(zlib.crc32(b"proj"), 0, model.width, cfg.width).astype(np.int64)
+            ref = cls(model, signs, [], cfg)
+        ref.target = influence.target_sum(ref.gradients(premium, "id"))
+        return ref
+
+    def gradients(self, df: DataFrame, id_col: str) -> DataFrame:
+        if self.model is None:
+            return word_vectors(df, id_col, "s", self.cfg.width)
+        pairs = reference.pair_codes(df, id_col, "s", len(self.model.b), "q", self.cfg.loss_on)
+        return self.model.per_sample(pairs, self.signs, per_word=self.cfg.reference == "trained")
+
+
+def prompted(snippets: DataFrame, n: int, t: int) -> DataFrame:
+    """n snippets in the hash order of the round."""
+    return selection.random_n(snippets, n, f"round{t}", "snippet_id")
+
+
+def sampled(prompts: DataFrame, cfg: Config, synth=None) -> DataFrame:
+    """The candidates of the prompted snippets, by the configured sampling."""
+    prompts = scoring.with_context(prompts)
     gen = synth.generate if synth is not None else (lambda s, c, d: candidates.passages(candidates.grid(s, c, d)))
     if cfg.sampling == "last":
         cand = gen(prompts, [cfg.ckpts - 1], cfg.ckpts * cfg.draws)
@@ -74,63 +125,138 @@ def one_round(snippets: DataFrame, premium: DataFrame, keep: int, cfg: Config, t
         cand = gen(prompts, [cfg.ckpts - 1], cfg.draws)
     else:
         cand = gen(prompts, list(range(cfg.ckpts)), cfg.draws)
+    if "context_words" not in cand.columns:  # a model's rows: made once, then marked beside their snippets
+        cand = land(cand).join(prompts.select("snippet_id", "context_words"), "snippet_id")
+    return cand
+
+
+def picked(cand: DataFrame, cfg: Config, leaks: DataFrame | None = None) -> DataFrame:
+    """(snippet_id, ckpt, draw, score, q, s, calls, chars): the best candidate of each snippet, ties by checkpoint and
+    draw, landed; calls, chars: of all its candidates.  Each task reduces its snippets to one row before the shuffle."""
     if cfg.aggregate == "none":
-        scored = scoring.none(cand)
-        by = "score"
+        scored, by = scoring.none(cand), "score"
     else:
         marked = scoring.rule_marks(cand, leaks)
-        scored = {"weighted": lambda d: scoring.weighted(d, list(cfg.weights)), "average": scoring.simple_average, "composite": scoring.composite}[cfg.aggregate](marked)
-        by = "score" if cfg.aggregate == "composite" else "score_fp"
-    best = candidates.top_m(scored, by).select("snippet_id", "ckpt", "draw", F.col(by).cast("long").alias("score"), "q", "s")
-    best = land(best)
-    target = influence.target_sum(word_vectors(premium, "id", "text", cfg.width))
-    v = influence.score(word_vectors(best, "snippet_id", "s", cfg.width), target).withColumnRenamed("id", "snippet_id")
+        fold = {"weighted": lambda d: scoring.weighted(d, list(cfg.weights)), "average": scoring.simple_average, "composite": scoring.composite}
+        scored, by = fold[cfg.aggregate](marked), "score" if cfg.aggregate == "composite" else "score_fp"
+    best = F.max(F.struct(F.col(by).cast("long").alias("score"), (-F.col("ckpt")).alias("c"), (-F.col("draw")).alias("d"), "q", "s"))
+    g = scored.groupBy("snippet_id").agg(best.alias("b"), F.count(F.lit(1)).alias("calls"), F.sum(F.length("q") + F.length("s")).cast("long").alias("chars"))
+    return land(g.select("snippet_id", (-F.col("b.c")).alias("ckpt"), (-F.col("b.d")).alias("draw"), "b.score", "b.q", "b.s", "calls", "chars"))
+
+
+def ranked(best: DataFrame, keep: int, cfg: Config, t: int, ref: Reference, pool_lm: lm.NGram | None = None) -> DataFrame:
+    """The kept rows of picked(), with their influence v and v_fp."""
+    v = ref_scores(best, ref)
     joined = best.join(v, "snippet_id")
     if cfg.final == "random":
-        kept = selection.random_n(joined, keep, f"keep{t}", "snippet_id")
-    elif cfg.final == "score":
-        kept = selection.top_n(joined, "score", keep, "snippet_id")
-    else:
-        kept = selection.top_n(joined, "v_fp", keep, "snippet_id")
+        return selection.random_n(joined, keep, f"keep{t}", "snippet_id")
+    if cfg.final == "score":
+        return selection.top_n(joined, "score", keep, "snippet_id")
+    if cfg.final in ("low_ppl", "high_ppl"):
+        p = lm.perplexity(best, "snippet_id", "s", pool_lm).select(F.col("id").alias("snippet_id"), "ppl")
+        return selection.top_n(joined.join(p, "snippet_id"), "ppl", keep, "snippet_id", ascending=cfg.final == "low_ppl").drop("ppl")
+    return selection.top_n(joined, "v_fp", keep, "snippet_id")
+
+
+def ref_scores(best: DataFrame, ref: Reference) -> DataFrame:
+    return influence.score(ref.gradients(best, "snippet_id"), ref.target).withColumnRenamed("id", "snippet_id")
+
+
+def one_round(snippets: DataFrame, keep: int, cfg: Config, t: int, ref: Reference, synth=None, leaks: DataFrame | None = None, pool_lm: lm.NGram | None = None) -> DataFrame:
+    """(iteration, snippet_id, ckpt, draw, score, v, q, s): the kept samples of one round; leaks: (gram) of the benchmark."""
+    best = picked(sampled(prompted(snippets, keep * cfg.over, t), cfg, synth), cfg, leaks)
+    kept = ranked(best, keep, cfg, t, ref, pool_lm)
     return kept.select(F.lit(t).alias("iteration"), "snippet_id", "ckpt", "draw", "score", "v", "q", "s")
 
 
-def run(pool: DataFrame, premium: DataFrame, cfg: Config = Config(), synth=None, path: str | None = None, leaks: DataFrame | None = None) -> Result:
-    """pool: (snippet_id, text, n_chars); premium: (id, text); leaks: (gram) of the benchmark, for mark x8.
+def _digest(cfg: Config, pool: DataFrame, premium: DataFrame, synth) -> str:
+    """Of the settings and of the ids and texts that a run works on."""
+    one = lambda df, k: df.agg(F.count(F.lit(1)), F.sum(F.xxhash64(k, "text" if "text" in df.columns else "s").cast("decimal(38,0)"))).first()
+    told = {"cfg": asdict(cfg), "pool": [str(x) for x in one(pool, "snippet_id")], "premium": [str(x) for x in one(premium, "id")], "synth": type(synth).__name__}
+    return json.dumps(told, sort_keys=True)
 
-    A round whose manifest exists is read, not made.
+
+def run(pool: DataFrame, premium: DataFrame, cfg: Config = Config(), synth=None, path: str | None = None, leaks: DataFrame | None = None, proxy=None, ref: Reference | None = None) -> Result:
+    """pool: (snippet_id, text, n_chars), without the premium snippets; premium: (id, q, s) and, for the
+    ledger, asked: characters of the snippet it was made from; leaks: (gram) of the benchmark.
+
+    Round t is sampled from the synthesizer of round t - 1 (`synth`: that of round 0, none for hash-placed passages).  A
+    round whose manifest exists is read, not made; a manifest of other settings or other data is refused.  proxy: a
+    function of a round's kept rows to a number that should fall; with cfg.stall the loop stops when it no longer does.
     """
     spark: SparkSession = pool.sparkSession
     path = path or scratch(spark)
-    need = sum(k * cfg.over for k in sizes(cfg)) if cfg.disjoint else max(k * cfg.over for k in sizes(cfg))
+    plan = sizes(cfg)
+    need = sum(k * cfg.over for k in plan) if cfg.disjoint else max(k * cfg.over for k in plan)
     have = pool.count()
     if have < need:
         raise ValueError(f"the schedule needs {need} snippets, the pool has {have}")
-    out = Result()
-    used = None
-    for t, keep in enumerate(sizes(cfg), 1):
+    digest = _digest(cfg, pool, premium, synth)
+    ref = ref or Reference.make(pool, premium, cfg)
+    pool_lm = lm.fit(pool, "snippet_id", "text") if cfg.final in ("low_ppl", "high_ppl") else None
+    n, chars = premium.agg(F.count(F.lit(1)), F.sum(F.length("q") + F.length("s"))).first()
+    out = Result(ledger=[(0, "distill", "premium", n, n, int(premium.agg(F.sum("asked")).first()[0] or 0) if "asked" in premium.columns else 0, int(chars or 0))], synths=[synth])
+    used, start = None, synth
+    for t, keep in enumerate(plan, 1):
         here = f"{path}/round={t}"
         if exists(spark, f"{here}/manifest"):
-            kept = spark.read.parquet(f"{here}/samples")
+            told = json.loads(spark.read.text(f"{here}/manifest").first()[0])
+            if told["digest"] != digest:
+                raise ValueError(f"{here} was made with other settings or data")
+            kept, prompts = spark.read.parquet(f"{here}/samples"), spark.read.parquet(f"{here}/prompts")
         else:
             fresh = pool if used is None or not cfg.disjoint else pool.join(used, "snippet_id", "left_anti")
-            kept = land(one_round(fresh, premium, keep, cfg, t, synth, leaks), f"{here}/samples")
-            n, chars, asked = kept.agg(F.count(F.lit(1)), F.sum(F.length("s")), F.sum(F.length("q"))).first()
-            spark.createDataFrame([(json.dumps({"round": t, "kept": n}),)], "value string").coalesce(1).write.mode("overwrite").text(f"{here}/manifest")
-            per = {"multi": cfg.ckpts * cfg.draws, "last": cfg.ckpts * cfg.draws, "best_of_n": cfg.draws}[cfg.sampling]
-            out.ledger.append({"iteration": t, "stage": "sample", "provider": "self", "calls": keep * cfg.over * per, "prompt_chars": int(asked or 0), "output_chars": int(chars or 0)})
-        ids = pool.join(kept.select("snippet_id"), "snippet_id", "left_semi").select("snippet_id") if used is None else kept.select("snippet_id")
+            prompts = land(prompted(fresh, keep * cfg.over, t).select("snippet_id", F.length("text").alias("chars")), f"{here}/prompts")
+            best = picked(sampled(pool.join(prompts.select("snippet_id"), "snippet_id", "left_semi"), cfg, synth), cfg, leaks)
+            calls, chars, asked = best.join(prompts, "snippet_id").agg(F.sum("calls"), F.sum(best.chars), F.sum(F.col("calls") * prompts.chars)).first()
+            kept = ranked(best, keep, cfg, t, ref, pool_lm)
+            kept = land(kept.select(F.lit(t).alias("iteration"), "snippet_id", "ckpt", "draw", "score", "v", "q", "s"), f"{here}/samples")
+            told = {"digest": digest, "kept": kept.count(), "calls": int(calls or 0), "prompt_chars": int(asked or 0), "output_chars": int(chars or 0)}
+            spark.createDataFrame([(json.dumps(told),)], "value string").coalesce(1).write.mode("overwrite").text(f"{here}/manifest")
+        out.ledger.append((t, "sample", "self", told["calls"], told["kept"], told["prompt_chars"], told["output_chars"]))
+        ids = prompts.select("snippet_id")
         used = ids if used is None else used.union(ids)
+        out.rounds.append(kept)
         if synth is not None:
-            train = kept.select(F.col("snippet_id").alias("id"), F.col("s").alias("text"))
+            rows = kept if not cfg.restart else _all(out.rounds)
+            train = rows.select(F.col("snippet_id").alias("id"), F.col("s").alias("text"))
             if cfg.include_seed:
-                train = train.union(premium.select("id", "text"))
-            synth = synth.train(train, cfg.ckpts)
-        out.rounds.append(kept)
+                train = train.union(premium.select("id", F.col("s").alias("text")))
+            synth = (start if cfg.restart else synth).train(train, cfg.ckpts)
+        out.synths.append(synth)
+        if proxy is not None:
+            out.proxies.append(proxy(kept))
+            if cfg.stall is not None and len(out.proxies) > 1 and out.proxies[-2] - out.proxies[-1] < cfg.stall:
+                break
     return out
 
 
+def _all(frames: list[DataFrame]) -> DataFrame:
+    out = frames[0]
+    for f in frames[1:]:
+        out = out.unionByName(f)
+    return out
+
+
+def final_dataset(synth, snippets: DataFrame, n: int, cfg: Config, ref: Reference | None = None, leaks: DataFrame | None = None, filtered: bool = False) -> DataFrame:
+    """(snippet_id, q, s): the training set of a target model, n samples of the last synthesizer.
+
+    One draw of the last checkpoint for each of n snippets in hash order; filtered: as many are sampled, marked and
+    ranked as in a round.
+    """
+    if filtered:
+        return one_round(snippets, n, cfg, 99, ref, synth, leaks).select("snippet_id", "q", "s")
+    asked = prompted(snippets, n, 99)
+    made = candidates.passages(candidates.grid(asked, [cfg.ckpts - 1], 1)) if synth is None else synth.generate(asked, [cfg.ckpts - 1], 1)
+    return made.select("snippet_id", "q", "s")
+
+
 ABLATIONS = {
     "full": {}, "no_multi_ckpt": {"sampling": "last"}, "no_scoring": {"aggregate": "none"}, "no_influence": {"final": "random"},
     "average": {"aggregate": "average"}, "composite": {"aggregate": "composite"}, "best_of_n": {"sampling": "best_of_n"}, "best_score": {"final": "score"},
 }
+#: What the selection strategies are compared by: the folding of marks, then the last selection.
+STRATEGIES = {
+    "full": {}, "composite": {"aggregate": "composite"}, "average": {"aggregate": "average"},
+    "random": {"final": "random"}, "low_ppl": {"final": "low_ppl"}, "high_ppl": {"final": "high_ppl"},
+}
