@@ -32,7 +32,7 @@ END_ID = 0
 RANGE_ROWS = 40_000
 #: Pieces of at most so many ids are one class, the last.
 SHORT = 64
-MOST_CACHED = 800_000
+MOST_CACHED = 400_000
 LONGEST_CACHED = 48
 
 #: Characters whose case, composition and classes are the same in every Unicode release, without blanks
@@ -118,6 +118,20 @@ class WordIds:
 _LOADED: dict[str, WordIds] = {}
 
 
+def _unload() -> None:
+    """Give back what a worker that is used again holds of the tokenizer."""
+    import ctypes
+    import gc
+
+    if _LOADED:
+        _LOADED.clear()
+        gc.collect()
+        try:
+            ctypes.CDLL("libc.so.6").malloc_trim(0)
+        except (OSError, AttributeError):
+            pass  # another C library: memory is reused all the same
+
+
 def cut_pieces(docs: DataFrame, path: str | None = None, capacity: int = CAPACITY, end_id: int = END_ID) -> DataFrame:
     """Landed rows (doc_id, piece, start, length, ids_crc32, pid): documents as pieces of at most `capacity` ids;
     pid tells the pieces apart."""
@@ -251,6 +265,7 @@ def _sweep(pieces: DataFrame, gaps: DataFrame, lo: int, hi: int, n: int) -> Data
         return pa.RecordBatch.from_arrays([pa.array(np.broadcast_to(np.asarray(c, np.int64), n), pa.int64()).cast(t) for c, t in zip(cols, types)], names=names)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        _unload()
         part, sweep = TaskContext.get().partitionId(), Sweep(lo)
         for b in batches:
             ids, seqs, sizes = sweep.take(*(c.to_pylist() for c in b.columns))
