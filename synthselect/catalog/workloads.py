@@ -31,7 +31,7 @@ class Inputs:
     docs: DataFrame  # the pool without the premium snippets: snippet_id, text, n_chars, lang, source
     premium: DataFrame  # id, q, s, asked
     unit: int
-    leaks: DataFrame
+    leaks: object  # benchmark runs, sent
     weights: tuple[float, ...]
     labels: DataFrame  # of the odd sources: what purity is measured by
     whole: DataFrame  # the pool with the premium snippets
@@ -57,7 +57,7 @@ def quota(unit: int) -> int:
     return -(-unit // DESCRIPTIONS)
 
 
-def learned_weights(whole: DataFrame, labels: DataFrame, leaks: DataFrame) -> tuple[float, ...]:
+def learned_weights(whole: DataFrame, labels: DataFrame, leaks) -> tuple[float, ...]:
     """Ridge weights of the ten marks: an experiment is the candidates of one (lang, source), even sources only."""
     docs = scoring.with_context(whole.filter(EVEN).join(labels.select(F.col("doc_id").alias("snippet_id"), "quality"), "snippet_id"))
     marked = scoring.rule_marks(candidates.multi_checkpoint(docs), leaks)
@@ -70,7 +70,7 @@ def inputs(spark: SparkSession, d: str) -> Inputs:
     raw, bench, labels = (table(spark, d, t) for t in ("documents", "benchmark", "labels"))
     whole = land(pool.build_pool(raw, bench)[0].select("snippet_id", "text", "n_chars", "lang", "source"))
     unit = bootstrap.unit_of(whole.count())
-    leaks = land(pool.benchmark_grams(bench))
+    leaks = scoring.sent_runs(land(pool.benchmark_grams(bench)))
     premium = land(distilled(drawn_seeds(whole, labels, bench, unit)))
     docs = land(whole.join(premium.select(F.col("id").alias("snippet_id")), "snippet_id", "left_anti"))
     odd = labels.join(raw.filter(f"not ({EVEN})").select("doc_id"), "doc_id", "left_semi")
@@ -213,26 +213,20 @@ def _measured_sql(setting: str, rows: str) -> str:
  (SELECT count(*) FROM odd WHERE doc_id IN (SELECT snippet_id FROM {rows})) AS n_labelled, (SELECT round(avg(quality::DOUBLE), 6) FROM odd WHERE doc_id IN (SELECT snippet_id FROM {rows})) AS purity, {_proxy_sql(rows, "s")} AS ln_ppl_small, {_proxy_sql(rows, "s", 2)} AS ln_ppl_large"""
 
 
-def measured(spark: SparkSession, setting: str, kept: DataFrame, inp: Inputs, bench: list[tuple[int, DataFrame]], items: DataFrame) -> tuple:
-    """The same of a run: purity by labels of odd sources, and two targets' perplexities of the benchmark (proxies)."""
-    n = kept.agg(F.count(F.lit(1)), F.round(F.avg("score"), 4), F.round(F.avg("v"), 6)).first()
-    p = kept.select(F.col("snippet_id").alias("doc_id")).distinct().join(inp.labels, "doc_id").agg(F.count(F.lit(1)), F.round(F.avg(F.col("quality").cast("double")), 6)).first()
-    lns = []
-    for order, tokens in bench:
-        model = lm.fit(kept, "snippet_id", "s", order)
-        lns.append(lm.perplexity_counted(tokens, items, model).agg(F.round(F.avg(F.ln("ppl")), 4)).first()[0])
-    return (setting, *n, *p, *lns)
-
-
-MEASURES = "setting string, n_kept long, mean_score double, mean_influence double, n_labelled long, purity double, ln_ppl_small double, ln_ppl_large double"
+MEASURES = ["setting", "n_kept", "mean_score", "mean_influence", "n_labelled", "purity", "ln_ppl_small", "ln_ppl_large"]
 
 
 def _grid(spark: SparkSession, d: str, runs: dict[str, Callable[[], DataFrame]], inp: Inputs) -> DataFrame:
+    """The same of all runs at once: purity by labels of odd sources, and two targets' perplexities of the benchmark (proxies)."""
     bench = table(spark, d, "benchmark")
-    items = bench.select(F.col("item_id").alias("id"))
-    tokens = [(k, lm.counted(bench, "item_id", "text", k)) for k in (1, 2)]
-    rows = [measured(spark, name, make(), inp, tokens, items) for name, make in runs.items()]
-    return spark.createDataFrame(rows, MEASURES)
+    kept = land(_union([make().select(F.lit(name).alias("setting"), "snippet_id", "score", "v", "s") for name, make in runs.items()]))
+    n = kept.groupBy("setting").agg(F.count(F.lit(1)).alias("n_kept"), F.round(F.avg("score"), 4).alias("mean_score"), F.round(F.avg("v"), 6).alias("mean_influence"))
+    own = kept.select("setting", F.col("snippet_id").alias("doc_id")).distinct().join(inp.labels, "doc_id")
+    p = own.groupBy("setting").agg(F.count(F.lit(1)).alias("n_labelled"), F.round(F.avg(F.col("quality").cast("double")), 6).alias("purity"))
+    out = n.join(p, "setting", "left").withColumn("n_labelled", F.coalesce("n_labelled", F.lit(0)))
+    for order, name in ((1, "ln_ppl_small"), (2, "ln_ppl_large")):
+        out = out.join(evaluate.lm_proxy_of_each(kept, "setting", "snippet_id", "s", bench, order).withColumnRenamed("mean_ln_ppl", name), "setting", "left")
+    return out.select(*MEASURES)
 
 
 def _grid_sql(runs: dict[str, tuple[bootstrap.Config, list[int] | None]]) -> str:
@@ -417,10 +411,10 @@ def scaling_curve(spark: SparkSession, d: str) -> DataFrame:
     inp = inputs(spark, d)
     made = land(bootstrap.one_round(inp.docs, 6 * inp.unit, inp.config(), 1, bootstrap.Reference.make(inp.docs, inp.premium, inp.config()), None, inp.leaks))
     plain = candidates.passages(candidates.grid(selection.random_n(inp.docs, 4 * inp.unit, "plain", "snippet_id"), [0], 1))
-    sets = [("selected", m, selection.random_n(made, m * inp.unit, "scale", "snippet_id")) for m in _SCALE] + [("reference", 4, plain)]
-    bench = table(spark, d, "benchmark")
-    rows = [(name, m, evaluate.lm_proxy(part, "snippet_id", "s", bench).first()["mean_ln_ppl"]) for name, m, part in sets]
-    return spark.createDataFrame(rows, "setting string, units int, mean_ln_ppl double")
+    sets = {f"selected|{m}": selection.random_n(made, m * inp.unit, "scale", "snippet_id") for m in _SCALE} | {"reference|4": plain}
+    rows = land(_union([part.select(F.lit(name.replace("|", " ")).alias("setting"), "snippet_id", "s") for name, part in sets.items()]))
+    got = evaluate.lm_proxy_of_each(rows, "setting", "snippet_id", "s", table(spark, d, "benchmark"))
+    return got.select(F.substring_index("setting", " ", 1).alias("setting"), F.substring_index("setting", " ", -1).cast("int").alias("units"), "mean_ln_ppl")
 
 
 def evaluation_sets(spark: SparkSession, d: str, inp: Inputs | None = None) -> DataFrame:

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
@@ -37,14 +39,20 @@ def normalise(text: Column | str) -> Column:
     return F.array_join(words(text), " ")
 
 
+def bound(x: Column, body: Callable[[Column], Column]) -> Column:
+    """body(x) with x worked out once: inside lambdas an expression would be worked out anew for every element."""
+    return F.get(F.transform(F.array(x), body), 0)
+
+
 def shingles(tokens: Column, n: int) -> Column:
-    """All runs of n tokens as strings; empty for fewer tokens.
+    """All distinct runs of n tokens as strings; empty for fewer tokens."""
+
+    def runs(t: Column) -> Column:
+        size = F.size(t)
+        all_ = F.transform(F.sequence(F.lit(1), F.greatest(size - (n - 1), F.lit(1))), lambda i: F.array_join(F.slice(t, i, n), " "))
+        return F.when(size >= n, F.array_distinct(all_)).otherwise(F.array().cast("array<string>"))
 
-    tokens: a column of the frame, not an expression, which would be worked out anew for every run.
-    """
-    size = F.size(tokens)
-    runs = F.transform(F.sequence(F.lit(1), F.greatest(size - (n - 1), F.lit(1))), lambda i: F.array_join(F.slice(tokens, i, n), " "))
-    return F.when(size >= n, F.array_distinct(runs)).otherwise(F.array().cast("array<string>"))
+    return bound(tokens, runs)
 
 
 def five(part: Column, whole: Column) -> Column:

@@ -113,12 +113,12 @@ def score_without_self(grads: DataFrame, target: list[int], members: DataFrame)
         for pdf in batches:
             if len(pdf):
                 g = np.array(pdf["g"].tolist(), np.float64)
-                t = m[None] - np.where(pdf["_in"].fillna(False).to_numpy(bool)[:, None], g, 0)
+                t = m[None] - np.where(pdf["_in"].to_numpy(bool)[:, None], g, 0)
                 n = np.linalg.norm(g, axis=1) * np.linalg.norm(t, axis=1)
                 with np.errstate(invalid="ignore", divide="ignore"):
                     yield pd.DataFrame({"id": pdf["id"], "v": np.round(np.where(n > 0, (g * t).sum(axis=1) / n, np.nan), 6)})
 
-    out = grads.join(own, "id", "left").select("id", "g", "_in").mapInPandas(run, "id long, v double").withColumn("v", F.nanvl("v", F.lit(None).cast("double")))
+    out = grads.join(own, "id", "left").select("id", "g", F.coalesce("_in", F.lit(False)).alias("_in")).mapInPandas(run, "id long, v double").withColumn("v", F.nanvl("v", F.lit(None).cast("double")))
     return out.withColumn("v_fp", F.round(F.col("v") * UNIT).cast("long"))
 
 

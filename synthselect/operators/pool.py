@@ -7,7 +7,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..functions import hash_unit, normalise, shingles, words
+from ..functions import bound, hash_unit, normalise, shingles, words
 from ..sources import join_spread, land
 from .scoring import SECRET, punctuation, shared_runs
 
@@ -125,8 +125,9 @@ def near_pairs(docs: DataFrame, id_col: str = "doc_id", n: int = 5, bands: int =
     """
     t = docs.select(F.col(id_col).alias("id"), words("text").alias("_t")).select("id", F.array_sort(shingles(F.col("_t"), n)).alias("grams")).filter("size(grams) > 0")
     t = t.withColumn("node", F.md5(F.array_join("grams", "|").cast("binary"))).groupBy("node").agg(F.min("id").alias("id"), F.min("grams").alias("grams"))
-    t = t.withColumn("_h", F.transform("grams", lambda g: hash_unit("band", g) % BAND_PRIME))
-    t = land(t.select("id", "grams", F.array(*[F.array_min(F.transform("_h", _mixed(k))) for k in range(bands * rows)]).alias("low")))
+    hashes = F.transform("grams", lambda g: hash_unit("band", g) % BAND_PRIME)
+    low = bound(hashes, lambda hs: F.array(*[F.array_min(F.transform(hs, _mixed(k))) for k in range(bands * rows)]))
+    t = land(t.select("id", "grams", low.alias("low")))
     keys = F.array(*[F.concat_ws("-", F.lit(b), *[F.col("low")[b * rows + r].cast("string") for r in range(rows)]) for b in range(bands)])
     bands_ = t.select("id", F.explode(keys).alias("key"))
     meet = bands_.select(F.col("id").alias("a"), "key").join(bands_.select(F.col("id").alias("b"), "key"), "key").filter("a < b").select("a", "b").distinct()

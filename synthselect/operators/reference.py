@@ -10,7 +10,7 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..functions import UNIT, hash_unit, words
+from ..functions import UNIT, bound, hash_unit, words
 
 
 def _softmax(z: np.ndarray) -> np.ndarray:
@@ -90,6 +90,11 @@ def word_ids(tokens: Column, v: int, seed: str = "ref") -> Column:
     return F.transform(tokens, lambda w: (F.conv(F.substring(F.md5(F.concat(F.lit(f"{seed}-"), w).cast("binary")), 1, 8), 16, 10).cast("long") % v).cast("int"))
 
 
+def shares(ids: Column, v: int) -> Column:
+    """Shares of the ids 0..v-1 in an array, in millionths."""
+    return bound(ids, lambda h: F.transform(F.sequence(F.lit(0), F.lit(v - 1)), lambda i: F.floor(F.size(F.filter(h, lambda x: x == i)) * UNIT / F.greatest(F.lit(1), F.size(h))).cast("long")))
+
+
 def pair_codes(df: DataFrame, id_col: str, s: str, v: int, q: str | None = None, loss_on: str = "solution") -> DataFrame:
     """(id, pairs): u * v + w of each word after another; q: the text before s.
 
@@ -202,8 +207,7 @@ class HashedLogistic:
     def cells(df: DataFrame, id_col: str, text: str, label: str, v: int) -> DataFrame:
         """(id, y, x): shares of hashed words in millionths."""
         d = df.select(F.col(id_col).alias("id"), F.col(label).cast("int").alias("y"), word_ids(words(text), v, "log").alias("_h"))
-        share = F.transform(F.sequence(F.lit(0), F.lit(v - 1)), lambda i: F.floor(F.size(F.filter("_h", lambda h: h == i)) * UNIT / F.greatest(F.lit(1), F.size("_h"))).cast("long"))
-        return d.select("id", "y", share.alias("x"))
+        return d.select("id", "y", shares(F.col("_h"), v).alias("x"))
 
     @classmethod
     def fit(cls, cells: DataFrame, v: int, epochs: int = 20, rate: float = 20.0) -> HashedLogistic:

@@ -39,14 +39,19 @@ def majority_language(tokens: Column) -> Column:
 MOST_SENT = 1_000_000
 
 
-def shared_runs(tokens: str, runs: DataFrame, n: int = 8):
-    """A column function: how many distinct runs of n words of the array column `tokens` are among `runs` (gram).
-
-    Sends the runs to the tasks behind a check of their number; None where they are too many (then join).
-    """
+def sent_runs(runs: DataFrame):
+    """The runs (gram) as a broadcast set behind a check of their number, or the frame itself where they are too many."""
     if runs.limit(MOST_SENT + 1).count() > MOST_SENT:
+        return runs
+    return runs.sparkSession.sparkContext.broadcast(frozenset(r["gram"] for r in runs.select("gram").collect()))
+
+
+def shared_runs(tokens: str, runs, n: int = 8):
+    """A column: how many distinct runs of n words of the array column `tokens` are among `runs`; None for runs that
+    weren't sent (then join).  runs: of sent_runs(), or a frame that is sent here."""
+    sent = sent_runs(runs) if isinstance(runs, DataFrame) else runs
+    if isinstance(sent, DataFrame):
         return None
-    sent = runs.sparkSession.sparkContext.broadcast(frozenset(r["gram"] for r in runs.select("gram").collect()))
 
     @F.pandas_udf("int")
     def count(arrays: pd.Series) -> pd.Series:
@@ -61,10 +66,10 @@ def with_context(snippets: DataFrame, text: str = "text") -> DataFrame:
     return snippets.withColumn("context_words", F.array_distinct(words(text)))
 
 
-def rule_marks(df: DataFrame, leaks: DataFrame | None = None, context: str = "text", target: int = TARGET_LENGTH, strict: int = 20) -> DataFrame:
+def rule_marks(df: DataFrame, leaks=None, context: str = "text", target: int = TARGET_LENGTH, strict: int = 20) -> DataFrame:
     """Add x1..x10, integer marks 1..5 by exact integer arithmetic.
 
-    leaks: a table (gram) of benchmark 8-word runs; without it x8 is 5.  The words of q and s are split once; those of
+    leaks: benchmark 8-word runs, a table (gram) or sent_runs() of it; without them x8 is 5.  The words of q and s are split once; those of
     the snippet are taken from `context_words` where with_context() made them.  target, strict: the length and the
     punctuation that the judge asks for.
     """

@@ -69,10 +69,8 @@ def unit_of(pool_rows: int) -> int:
 
 def word_vectors(df: DataFrame, id_col: str, text: str, width: int) -> DataFrame:
     """(id, g): hashed word shares in millionths, negated: the gradient of a unigram model without its base."""
-    d = df.select(F.col(id_col).alias("id"), reference.word_ids(words(text), width, "").alias("_h"))
-    n = F.greatest(F.lit(1), F.size("_h"))
-    cells = F.transform(F.sequence(F.lit(0), F.lit(width - 1)), lambda i: (-F.floor(F.size(F.filter("_h", lambda x: x == i)) * 1_000_000 / n)).cast("long"))
-    return d.select("id", cells.alias("g"))
+    ids = reference.word_ids(words(text), width, "")
+    return df.select(F.col(id_col).alias("id"), F.transform(reference.shares(ids, width), lambda x: -x).alias("g"))
 
 
 @dataclass
@@ -130,7 +128,7 @@ def sampled(prompts: DataFrame, cfg: Config, synth=None) -> DataFrame:
     return cand
 
 
-def picked(cand: DataFrame, cfg: Config, leaks: DataFrame | None = None) -> DataFrame:
+def picked(cand: DataFrame, cfg: Config, leaks=None) -> DataFrame:
     """(snippet_id, ckpt, draw, score, q, s, calls, chars): the best candidate of each snippet, ties by checkpoint and
     draw, landed; calls, chars: of all its candidates.  Each task reduces its snippets to one row before the shuffle."""
     if cfg.aggregate == "none":
@@ -162,21 +160,22 @@ def ref_scores(best: DataFrame, ref: Reference) -> DataFrame:
     return influence.score(ref.gradients(best, "snippet_id"), ref.target).withColumnRenamed("id", "snippet_id")
 
 
-def one_round(snippets: DataFrame, keep: int, cfg: Config, t: int, ref: Reference, synth=None, leaks: DataFrame | None = None, pool_lm: lm.NGram | None = None) -> DataFrame:
+def one_round(snippets: DataFrame, keep: int, cfg: Config, t: int, ref: Reference, synth=None, leaks=None, pool_lm: lm.NGram | None = None) -> DataFrame:
     """(iteration, snippet_id, ckpt, draw, score, v, q, s): the kept samples of one round; leaks: (gram) of the benchmark."""
     best = picked(sampled(prompted(snippets, keep * cfg.over, t), cfg, synth), cfg, leaks)
     kept = ranked(best, keep, cfg, t, ref, pool_lm)
     return kept.select(F.lit(t).alias("iteration"), "snippet_id", "ckpt", "draw", "score", "v", "q", "s")
 
 
-def _digest(cfg: Config, pool: DataFrame, premium: DataFrame, synth) -> str:
-    """Of the settings and of the ids and texts that a run works on."""
+def _digest(cfg: Config, pool: DataFrame, premium: DataFrame, synth) -> tuple[str, int]:
+    """Of the settings and of the ids and texts that a run works on; and the rows of the pool."""
     one = lambda df, k: df.agg(F.count(F.lit(1)), F.sum(F.xxhash64(k, "text" if "text" in df.columns else "s").cast("decimal(38,0)"))).first()
-    told = {"cfg": asdict(cfg), "pool": [str(x) for x in one(pool, "snippet_id")], "premium": [str(x) for x in one(premium, "id")], "synth": type(synth).__name__}
-    return json.dumps(told, sort_keys=True)
+    rows = one(pool, "snippet_id")
+    told = {"cfg": asdict(cfg), "pool": [str(x) for x in rows], "premium": [str(x) for x in one(premium, "id")], "synth": type(synth).__name__}
+    return json.dumps(told, sort_keys=True), rows[0]
 
 
-def run(pool: DataFrame, premium: DataFrame, cfg: Config = Config(), synth=None, path: str | None = None, leaks: DataFrame | None = None, proxy=None, ref: Reference | None = None) -> Result:
+def run(pool: DataFrame, premium: DataFrame, cfg: Config = Config(), synth=None, path: str | None = None, leaks=None, proxy=None, ref: Reference | None = None) -> Result:
     """pool: (snippet_id, text, n_chars), without the premium snippets; premium: (id, q, s) and, for the
     ledger, asked: characters of the snippet it was made from; leaks: (gram) of the benchmark.
 
@@ -188,14 +187,13 @@ def run(pool: DataFrame, premium: DataFrame, cfg: Config = Config(), synth=None,
     path = path or scratch(spark)
     plan = sizes(cfg)
     need = sum(k * cfg.over for k in plan) if cfg.disjoint else max(k * cfg.over for k in plan)
-    have = pool.count()
+    digest, have = _digest(cfg, pool, premium, synth)
     if have < need:
         raise ValueError(f"the schedule needs {need} snippets, the pool has {have}")
-    digest = _digest(cfg, pool, premium, synth)
     ref = ref or Reference.make(pool, premium, cfg)
     pool_lm = lm.fit(pool, "snippet_id", "text") if cfg.final in ("low_ppl", "high_ppl") else None
-    n, chars = premium.agg(F.count(F.lit(1)), F.sum(F.length("q") + F.length("s"))).first()
-    out = Result(ledger=[(0, "distill", "premium", n, n, int(premium.agg(F.sum("asked")).first()[0] or 0) if "asked" in premium.columns else 0, int(chars or 0))], synths=[synth])
+    n, chars, asked = premium.agg(F.count(F.lit(1)), F.sum(F.length("q") + F.length("s")), F.sum("asked" if "asked" in premium.columns else F.lit(0))).first()
+    out = Result(ledger=[(0, "distill", "premium", n, n, int(asked or 0), int(chars or 0))], synths=[synth])
     used, start = None, synth
     for t, keep in enumerate(plan, 1):
         here = f"{path}/round={t}"
@@ -238,7 +236,7 @@ def _all(frames: list[DataFrame]) -> DataFrame:
     return out
 
 
-def final_dataset(synth, snippets: DataFrame, n: int, cfg: Config, ref: Reference | None = None, leaks: DataFrame | None = None, filtered: bool = False) -> DataFrame:
+def final_dataset(synth, snippets: DataFrame, n: int, cfg: Config, ref: Reference | None = None, leaks=None, filtered: bool = False) -> DataFrame:
     """(snippet_id, q, s): the training set of a target model, n samples of the last synthesizer.
 
     One draw of the last checkpoint for each of n snippets in hash order; filtered: as many are sampled, marked and
