@@ -337,23 +337,75 @@ def ridge_weights_z2(spark: SparkSession, d: str) -> DataFrame:
     return spark.createDataFrame([tuple(round(float(v), 6) for v in m.weights)], "w_x2 double, w_x3 double")
 
 
-@query("ridge_residual", "SELECT unnest(['x2', 'x3', 'x5', 'x6']) AS mark, 0.0::DOUBLE AS residual")
+def _solved(penalty: float, name: str) -> str:
+    """CTE {name}: one row of weights, by elimination on the normal equations."""
+    from .solve import elimination
+
+    return elimination("e", RM, "y", penalty, name)
+
+
+_SYS = ", ".join(f"sum({_I(a)} * {_I(b)})::DOUBLE / 1e12 AS g_{a}_{b}" for a in RM for b in RM) + ", " + ", ".join(f"sum({_I(a)} * {_I('y')})::DOUBLE / 1e12 AS b_{a}" for a in RM)
+_RESIDUALS = " UNION ALL ".join(f"SELECT '{a}' AS mark, abs(round({' + '.join(f'(g_{a}_{b}' + (' + 1.0' if a == b else '') + f') * w_{b}' for b in RM)} - b_{a}, 6)) AS residual FROM sys, sol" for a in RM)
+
+
+@query("ridge_residual", _EXP + f", sys AS (SELECT {_SYS} FROM e), {_solved(1.0, 'sol')} {_RESIDUALS}")
 def ridge_residual(spark: SparkSession, d: str) -> DataFrame:
-    """Whatever the number of marks, the fitted weights solve the normal equations: the residual is zero."""
+    """Residuals of the normal equations at the fitted weights."""
     m = ridge.fit(_exps(spark, d), RM)
     return spark.createDataFrame([(k, abs(round(float(v), 6))) for k, v in zip(RM, m.residual())], "mark string, residual double")
 
 
-@query("ridge_loo")
+_PEN = (0.1, 1.0, 10.0)
+
+
+@query("ridge_weights_by_penalty", _EXP + ", " + ", ".join(_solved(p, f"s{k}") for k, p in enumerate(_PEN)) + " " + " UNION ALL ".join(f"SELECT {p}::DOUBLE AS penalty, " + ", ".join(f"round(w_{m}, 6) AS w_{m}" for m in RM) + f" FROM s{k}" for k, p in enumerate(_PEN)))
+def ridge_weights_by_penalty(spark: SparkSession, d: str) -> DataFrame:
+    e = land(_exps(spark, d))
+    rows = [(p, *(round(float(v), 6) for v in ridge.fit(e, RM, p).weights)) for p in _PEN]
+    return spark.createDataFrame(rows, "penalty double, " + ", ".join(f"w_{m} double" for m in RM))
+
+
+def _loo_sql() -> str:
+    """Leave-one-out by the hat values; the inverse's columns are solved one by one."""
+    from .solve import inverse
+
+    parts = ", ".join(inverse("e", RM, p, f"i{k}") for k, p in enumerate(_PEN))
+    rows = []
+    for k, p in enumerate(_PEN):
+        hat = " + ".join(f"v_{a}_{b} * {a} * {b}" for a in RM for b in RM)
+        fit = " + ".join(f"w_{m} * {m}" for m in RM)
+        rows.append(f"SELECT {p}::DOUBLE AS penalty, round(avg(r * r), 6) AS loo_mse FROM (SELECT (y - ({fit})) / (1 - ({hat})) AS r FROM e, s{k}, i{k})")
+    return _EXP + ", " + ", ".join(_solved(p, f"s{k}") for k, p in enumerate(_PEN)) + f", {parts} " + " UNION ALL ".join(rows)
+
+
+@query("ridge_loo", _loo_sql())
 def ridge_loo(spark: SparkSession, d: str) -> DataFrame:
-    return ridge.loo_path(_exps(spark, d), RM, [0.1, 1.0, 10.0])
+    return ridge.loo_path(land(_exps(spark, d)), RM, list(_PEN))
 
 
 @query("ridge_weights")
 def ridge_weights(spark: SparkSession, d: str) -> DataFrame:
-    e = _exps(spark, d)
-    rows = [(p, nn, *(round(float(v), 6) for v in ridge.fit(e, RM, p, nonneg=nn).weights)) for p in (0.1, 1.0, 10.0) for nn in (False, True)]
-    return spark.createDataFrame(rows, "penalty double, nonneg boolean, " + ", ".join(f"w_{m} double" for m in RM))
+    """Plain, not negative, with intercept, standardised."""
+    e = land(_exps(spark, d))
+    ways = {"plain": {}, "nonneg": {"nonneg": True}, "intercept": {"intercept": True}, "standardised": {"intercept": True, "standardise": True}}
+    rows = []
+    for p in _PEN:
+        for name, how in ways.items():
+            m = ridge.fit(e, RM, p, **how)
+            rows.append((p, name, round(m.intercept, 6), *(round(float(v), 6) for v in m.weights)))
+    return spark.createDataFrame(rows, "penalty double, how string, intercept double, " + ", ".join(f"w_{m} double" for m in RM))
+
+
+@query("ridge_residuals_by_experiment")
+def ridge_residuals_by_experiment(spark: SparkSession, d: str) -> DataFrame:
+    e = land(_exps(spark, d))
+    return ridge.residuals(e, ridge.fit(e, RM), ["lang", "source"])
+
+
+@query("ridge_rank_correlation")
+def ridge_rank_correlation(spark: SparkSession, d: str) -> DataFrame:
+    e = land(_exps(spark, d))
+    return ridge.rank_correlation(e, ridge.fit(e, RM), ["lang", "source"])
 
 
 @query("ridge_diagnostics")

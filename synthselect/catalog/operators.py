@@ -54,6 +54,13 @@ def op_join_hash(spark, d):
     return _joined(spark, d, "shuffle_hash")
 
 
+@query("op_join_cross_broadcast", "SELECT vec_id, label, p.c AS prototype FROM embeddings CROSS JOIN (SELECT DISTINCT label AS c FROM embeddings) p")
+def op_join_cross(spark, d):
+    """Every row with each of a few prototypes: the small side is broadcast, nothing is shuffled."""
+    (e,) = T(spark, d, "embeddings")
+    return e.select("vec_id", "label").crossJoin(F.broadcast(e.select(F.col("label").alias("prototype")).distinct()))  # ten rows
+
+
 @query("op_join_broadcast", "SELECT n_name, r_name FROM nation JOIN region ON r_regionkey = n_regionkey")
 def op_join_broadcast(spark, d):
     n, r = T(spark, d, "nation", "region")

@@ -59,3 +59,31 @@ def op_static(spark, d):
 def stream_scores(spark, d):
     s = S.events(spark, d).groupBy("event_type").agg(F.sum(F.round(F.col("value") * 100).cast("long")).alias("total"), F.count(F.lit(1)).alias("n"))
     return S.latest(S.drained(s, "update"), ["event_type"])
+
+
+@query(
+    "stream_session_candidates",
+    f"WITH g AS (SELECT *, {_MICROS} AS us, CASE WHEN {_MICROS} - lag({_MICROS}) OVER w < 7200000000 THEN 0 ELSE 1 END AS new FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts)), s AS (SELECT *, sum(new) OVER (PARTITION BY user_id ORDER BY us ROWS UNBOUNDED PRECEDING) AS k FROM g), e AS (SELECT user_id, k, min(us) AS start, count(*) AS n, max(us) + 7200000000 AS stop FROM s GROUP BY user_id, k) SELECT e.user_id, start, n, value, event_id FROM e JOIN s USING (user_id, k) WHERE stop <= {_MARK} QUALIFY row_number() OVER (PARTITION BY e.user_id, k ORDER BY value DESC, event_id DESC) = 1",
+)
+def stream_session_candidates(spark, d):
+    return S.drained(S.best_in_session(S.events(spark, d), "user_id", "value", ["event_id"], "t", "2 hours", "10 minutes"), "append")
+
+
+#: Events held back until the watermark has passed them: every fiftieth of the first half.
+_LATE = "event_id % 50 = 7 AND ts < (SELECT min(ts) + (max(ts) - min(ts)) / 2 FROM events)"
+
+
+@query("op_stream_late_rows", f"WITH a AS (SELECT *, {_LATE} AS late FROM events), win AS (SELECT event_type, ({_MICROS} // 3600000000) * 3600000000 AS start, count(*) AS n FROM a WHERE NOT late GROUP BY 1, 2 HAVING start + 3600000000 <= (SELECT max(epoch_us(ts)) - 600000000 FROM a WHERE NOT late)) SELECT (SELECT count(*) FROM win) AS windows, (SELECT sum(n)::BIGINT FROM win) AS counted, (SELECT count(*) FROM a WHERE late) AS dropped")
+def op_late_rows(spark, d):
+    """Rows that come after the watermark are dropped, and counted; the windows hold the others."""
+    ev = table(spark, d, "events").withColumn("t", F.col("ts").cast("timestamp"))
+    lo, hi = ev.agg(F.min(F.unix_micros("t")), F.max(F.unix_micros("t"))).first()
+    late = (F.col("event_id") % 50 == 7) & (F.unix_micros("t") * 2 < lo + hi)
+    rows = ev.select("event_id", "event_type", "t")
+    on_time, held = rows.filter(~late), rows.filter(late)
+    last = on_time.orderBy(F.desc("t"), "event_id").limit(1)  # a batch of its own moves the watermark before the late rows come
+    told: list[str] = []
+    s = S.replayed(spark, [on_time.join(last.select("event_id"), "event_id", "left_anti"), last, held]).withWatermark("t", "10 minutes")
+    g = s.groupBy(F.window("t", "1 hour").alias("win"), "event_type").agg(F.count(F.lit(1)).alias("n"))
+    out = S.drained(g.select(_us("win.start").alias("start"), "event_type", "n"), "append", told)
+    return out.agg(F.count(F.lit(1)).alias("windows"), F.sum("n").alias("counted")).withColumn("dropped", F.lit(S.dropped(told)).cast("long"))

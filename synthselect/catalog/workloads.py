@@ -14,6 +14,7 @@ from ..plans import bootstrap
 from ..sources import land, table
 from . import h, query, w
 from .methods import _HITS, _NOISE, _SECRET, _grads, _marked
+from .solve import elimination
 
 MARKS = scoring.MARKS
 #: A reference that any engine can check: adapters of hashed signs over few hashed words.
@@ -117,24 +118,6 @@ _SEEDS = f"""good AS (SELECT * FROM whole WHERE NOT ({_ODD_SOURCE}) AND doc_id I
  premium AS MATERIALIZED ({_cand("seeds", _ONE)}), docs AS MATERIALIZED (SELECT * FROM whole WHERE doc_id NOT IN (SELECT doc_id FROM seeds))"""
 
 
-def elimination(source: str, marks: list[str], y: str, penalty: float, name: str) -> str:
-    """CTEs that solve the ridge normal equations of `source` by elimination: {name}(w_<mark>, ...) and {name}_g with the system."""
-    z = len(marks)
-    fix = lambda c: f"round({c} * 1000000)::BIGINT"
-    cell = lambda i, j: f"sum({fix(marks[i])} * {fix(marks[j] if j < z else y)})::DOUBLE / 1e12" + (f" + {penalty}" if i == j else "")
-    steps = [f"{name}_0 AS (SELECT " + ", ".join(f"{cell(i, j)} AS m{i}_{j}" for i in range(z) for j in range(z + 1)) + f" FROM {source})"]
-    for k in range(z - 1):
-        row = [f"m{i}_{j} - m{i}_{k} * m{k}_{j} / m{k}_{k} AS m{i}_{j}" if i > k and j > k else f"m{i}_{j}" for i in range(z) for j in range(z + 1)]
-        steps.append(f"{name}_{k + 1} AS (SELECT {', '.join(row)} FROM {name}_{k})")
-    last = f"{name}_{z - 1}"
-    for i in reversed(range(z)):
-        known = "".join(f" - m{i}_{j} * w{j}" for j in range(i + 1, z))
-        steps.append(f"{name}_b{i} AS (SELECT *, (m{i}_{z}{known}) / m{i}_{i} AS w{i} FROM {last})")
-        last = f"{name}_b{i}"
-    steps.append(f"{name} AS MATERIALIZED (SELECT {', '.join(f'w{i} AS w_{m}' for i, m in enumerate(marks))} FROM {last})")
-    return ", ".join(steps)
-
-
 def _means(marks: list[str]) -> str:
     return ", ".join(f"round(sum({m}) / count({m}), 6) AS {m}" for m in marks)
 

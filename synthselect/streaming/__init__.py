@@ -2,7 +2,8 @@
 
 from __future__ import annotations
 
-import uuid
+import json
+import time
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -19,25 +20,38 @@ def events(spark: SparkSession, sf_dir: str) -> DataFrame:
     return s.withColumn("t", F.col("ts").cast("timestamp"))
 
 
-def drained(stream: DataFrame, mode: str, partitions: int = 8) -> DataFrame:
+def drained(stream: DataFrame, mode: str, batches: list[str] | None = None) -> DataFrame:
     """Run the stream over all that is there and give what its sink holds; state and sink in the shared folder.
 
-    Append goes to files.  Update and complete go through foreachBatch, one table per batch; the last
-    value of a key is the reader's to pick.
+    Append goes to files.  Update and complete go through foreachBatch, one table per batch; the last value of a key is
+    the reader's to pick.  State has as many partitions as the session shuffles into when the stream first starts.
     """
-    spark = stream.sparkSession
-    base = scratch(spark)
-    old = spark.conf.get("spark.sql.shuffle.partitions")
-    spark.conf.set("spark.sql.shuffle.partitions", str(min(int(old), partitions)))  # state stores keep the number they start with
-    try:
-        w = stream.writeStream.option("checkpointLocation", f"{base}/state").trigger(availableNow=True)
-        if mode == "append":
-            w.format("parquet").outputMode("append").option("path", f"{base}/out").start().awaitTermination()
-        else:
-            w.outputMode(mode).foreachBatch(lambda df, k: df.withColumn("_batch", F.lit(k)).write.mode("overwrite").parquet(f"{base}/out/b={k}")).start().awaitTermination()
-    finally:
-        spark.conf.set("spark.sql.shuffle.partitions", old)
-    return spark.read.parquet(f"{base}/out")
+    base = scratch(stream.sparkSession)
+    w = stream.writeStream.option("checkpointLocation", f"{base}/state").trigger(availableNow=True)
+    if mode == "append":
+        run = w.format("parquet").outputMode("append").option("path", f"{base}/out").start()
+    else:
+        run = w.outputMode(mode).foreachBatch(lambda df, k: df.withColumn("_batch", F.lit(k)).write.mode("overwrite").parquet(f"{base}/out/b={k}")).start()
+    run.awaitTermination()
+    if batches is not None:
+        batches += [p.json for p in run.recentProgress]
+    return stream.sparkSession.read.parquet(f"{base}/out")
+
+
+def replayed(spark: SparkSession, parts: list[DataFrame]) -> DataFrame:
+    """A stream that sees the parts one after another, a batch each."""
+    path = f"{scratch(spark)}/replay"
+    for k, p in enumerate(parts):
+        p.coalesce(1).write.mode("append").parquet(path)
+        if k == 0:
+            schema = p.schema
+        time.sleep(0.05)  # files are taken in the order of their times
+    return spark.readStream.schema(schema).option("maxFilesPerTrigger", 1).option("latestFirst", "false").parquet(path)
+
+
+def dropped(batches: list[str]) -> int:
+    """Rows that came too late for their state, over all batches."""
+    return sum(op.get("numRowsDroppedByWatermark", 0) for b in batches for op in json.loads(b)["stateOperators"])
 
 
 def latest(df: DataFrame, keys: list[str]) -> DataFrame:
@@ -52,5 +66,8 @@ def best_so_far(stream: DataFrame, key: str, score: str, carry: list[str]) -> Da
     return stream.groupBy(key).agg(F.max(F.struct(score, *carry)).alias("b")).select(key, "b.*")
 
 
-def new_name(prefix: str) -> str:
-    return f"{prefix}_{uuid.uuid4().hex[:8]}"
+def best_in_session(stream: DataFrame, key: str, score: str, carry: list[str], time_col: str, gap: str, delay: str) -> DataFrame:
+    """The best candidate of each key's session of activity, once the watermark has closed it."""
+    g = stream.withWatermark(time_col, delay).groupBy(F.session_window(time_col, gap).alias("win"), key)
+    best = g.agg(F.max(F.struct(score, *carry)).alias("b"), F.count(F.lit(1)).alias("n"))
+    return best.select(key, F.unix_micros("win.start").alias("start"), "n", "b.*")
