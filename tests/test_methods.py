@@ -1,5 +1,7 @@
 """Small tables with answers known on paper, finite differences, invariants."""
 
+from dataclasses import replace
+
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
@@ -36,8 +38,8 @@ def test_projection_is_linear_and_error_falls(spark):
     a = influence.target_sum(influence.project(g, 16, 8))
     b = np.array(influence.target_sum(g)) @ influence.signs("proj", 16, 8)
     assert a == b.tolist()
-    d = {r.k: r.mean_abs_error for r in influence.distortion(g, g.filter("id < 10"), 16, [4, 512], 10).collect()}
-    assert d[512] < d[4]
+    d = {r.k: r for r in influence.distortion(g, g.filter("id < 10"), 16, [4, 512], 10).collect()}
+    assert d[512].mean_abs_error < d[4].mean_abs_error and abs(d[512].distance_ratio - 1) < 0.1
     for kind in ("gaussian", "sparse", "rademacher"):
         assert len(influence.project(g, 16, 8, kind=kind).first().g) == 8
     assert influence.project(g, 16, 8, kind="none") is g
@@ -121,19 +123,214 @@ def test_low_rank_gradients_by_finite_differences():
     assert np.allclose(g, num, atol=1e-6)
 
 
-def test_loop_sizes_disjoint_and_resume(spark, tmp_path):
-    docs = spark.range(300).select(F.col("id").alias("snippet_id"), F.concat(F.repeat(F.lit("some words here "), 8), F.col("id").cast("string")).alias("text")).withColumn("n_chars", F.length("text").cast("long"))
-    premium = docs.limit(10).select(F.col("snippet_id").alias("id"), "text")
-    cfg = bootstrap.Config(unit=5, ckpts=2, draws=2, over=2)
-    got = bootstrap.run(docs, premium, cfg, path=f"file://{tmp_path}/run")
+def _pool(spark, n=300):
+    return spark.range(n).select(F.col("id").alias("snippet_id"), F.concat(F.repeat(F.lit("some words here and there "), 6), F.col("id").cast("string"), F.lit(" of the "), (F.col("id") * 7 % 13).cast("string")).alias("text")).withColumn("n_chars", F.length("text").cast("long"))
+
+
+def _premium(pool, n=10):
+    return pool.limit(n).select(F.col("snippet_id").alias("id"), F.substring("text", 1, 20).alias("q"), F.col("text").alias("s"), F.length("text").alias("asked"))
+
+
+def test_loop_sizes_disjoint_resume_and_ledger(spark, tmp_path):
+    docs = _pool(spark)
+    premium = _premium(docs)
+    cfg = bootstrap.Config(unit=5, ckpts=2, draws=2, over=2, vocabulary=8, rank=2, width=8)
+    path = f"file://{tmp_path}/run"
+    got = bootstrap.run(docs, premium, cfg, path=path)
     ids = [{r.snippet_id for r in k.collect()} for k in got.rounds]
-    assert [len(i) for i in ids] == [10, 20] and not ids[0] & ids[1] and len(got.ledger) == 2
-    again = bootstrap.run(docs, premium, cfg, path=f"file://{tmp_path}/run")
-    assert again.ledger == [] and [{r.snippet_id for r in k.collect()} for k in again.rounds] == ids
-    with pytest.raises(ValueError):
+    asked = [{r.snippet_id for r in spark.read.parquet(f"{path}/round={t}/prompts").collect()} for t in (1, 2)]
+    assert [len(i) for i in ids] == [10, 20] and [len(a) for a in asked] == [20, 40] and not asked[0] & asked[1] and all(k <= a for k, a in zip(ids, asked))
+    texts = {r.snippet_id: r.text for r in docs.collect()}
+    want = [(0, "distill", "premium", 10, 10, sum(len(texts[r.id]) for r in premium.collect()), sum(len(r.q) + len(r.s) for r in premium.collect()))]
+    for t, (k, a) in enumerate(zip(ids, asked), 1):
+        cand = candidates.multi_checkpoint(docs.filter(F.col("snippet_id").isin(list(a))), 2, 2).collect()
+        want.append((t, "sample", "self", 4 * len(a), len(k), 4 * sum(len(texts[i]) for i in a), sum(len(r.q) + len(r.s) for r in cand)))
+    assert got.ledger == want
+    again = bootstrap.run(docs, premium, cfg, path=path)
+    assert again.ledger == want and [{r.snippet_id for r in k.collect()} for k in again.rounds] == ids
+    for other in ((docs, premium, replace(cfg, schedule="40-20")), (docs, premium, replace(cfg, draws=3)), (docs.limit(250), premium, cfg), (docs, premium.limit(5), cfg)):
+        with pytest.raises(ValueError, match="other settings"):
+            bootstrap.run(*other, path=path)
+    with pytest.raises(ValueError, match="needs 60"):
         bootstrap.run(docs.limit(20), premium, cfg)
     with pytest.raises(ValueError):
-        bootstrap.unit_of(100)
+        bootstrap.unit_of(17)
+    assert len(bootstrap.run(docs, premium, replace(cfg, rounds=1)).rounds) == 1
+    falls = iter([3.0, 2.9, 1.0])
+    stopped = bootstrap.run(docs, premium, replace(cfg, schedule="20-20", stall=0.5), proxy=lambda kept: next(falls))
+    assert stopped.proxies == [3.0, 2.9] and len(stopped.rounds) == 2
+
+
+def test_one_round_equals_numpy(spark):
+    """Candidates, marks, best, adapter gradients by matrices, projection, cosine, cut: all anew."""
+    import hashlib
+
+    docs, v = _pool(spark, 60), 8
+    premium = _premium(docs, 6)
+    pool_ = docs.filter("snippet_id >= 6")
+    cfg = bootstrap.Config(unit=3, ckpts=2, draws=2, over=4, vocabulary=v, rank=2, width=8, weights=tuple(range(1, 11)))
+    ref = bootstrap.Reference.make(pool_, premium, cfg)
+    got = {(r.snippet_id, r.ckpt, r.draw): r.v for r in bootstrap.one_round(pool_, 5, cfg, 1, ref).collect()}
+    hid = lambda w: int(hashlib.md5(f"ref-{w}".encode()).hexdigest()[:8], 16) % v
+    ids = lambda t: [hid(w) for w in t.lower().split()]
+
+    def counts(q, s):
+        c, t, n = np.zeros((v, v)), ids(q) + ids(s), max(1, len(ids(q)))
+        for k in range(n, len(t)):
+            c[t[k - 1], t[k]] += 1
+        return c
+
+    base = np.zeros((v, v))
+    for r in pool_.collect():
+        t = ids(r.text)
+        for a, b in zip(t, t[1:]):
+            base[a, b] += 1
+    own = sum(counts(r.q, r.s) for r in premium.collect())
+    start = reference.LowRankBigram.start(base, 2)
+    model = start.fit(own)
+    assert np.allclose(model.a, ref.model.a) and model.loss(own) < start.loss(own)
+    signs = influence.fast_signs(__import__("zlib").crc32(b"proj"), 0, model.width, 8)
+    grad = lambda q, s: model.gradient(counts(q, s)) @ signs
+    target = np.mean([grad(r.q, r.s) for r in premium.collect()], axis=0)
+    prompts = sorted(pool_.collect(), key=lambda r: (int(hashlib.md5(f"round1-{r.snippet_id}".encode()).hexdigest()[:8], 16), r.snippet_id))[:20]
+    cand = scoring.weighted(scoring.rule_marks(candidates.multi_checkpoint(docs.filter(F.col("snippet_id").isin([r.snippet_id for r in prompts])), 2, 2)), list(cfg.weights)).collect()
+    best = {}
+    for r in sorted(cand, key=lambda r: (-r.score_fp, r.ckpt, r.draw)):
+        best.setdefault(r.snippet_id, r)
+    cos = {(r.snippet_id, r.ckpt, r.draw): float(grad(r.q, r.s) @ target / np.linalg.norm(grad(r.q, r.s)) / np.linalg.norm(target)) for r in best.values()}
+    want = sorted(cos, key=lambda k: -cos[k])[:5]
+    assert got.keys() <= cos.keys() and all(abs(got[k] - cos[k]) < 5e-3 for k in got) and min(cos[k] for k in got) >= cos[want[-1]] - 5e-3
+
+
+def test_gradient_table_is_the_projected_gradient():
+    rng = np.random.default_rng(2)
+    for m in (reference.LowRankBigram.start(rng.integers(0, 9, (6, 6)), 2), reference.LowRankBigram.fixed(rng.integers(0, 9, (6, 6)), 2)):
+        signs = influence.signs("proj", m.width, 5)
+        pairs = rng.integers(0, 36, 40)
+        c = np.bincount(pairs, minlength=36).reshape(6, 6).astype(float)
+        full = m.gradient(c) * 40 / m.scale @ signs
+        table = m.table(signs)[pairs].sum(axis=0) / 1e6 / m.grain
+        assert np.allclose(full, table, atol=0.05)
+
+
+def test_pair_codes_by_hand(spark):
+    df = spark.createDataFrame([(1, "a b", "c d"), (2, "", "c"), (3, "", "c d"), (4, None, None), (5, "a", "")], "id long, q string, s string")
+    v = 1000
+    h = {w: df.limit(1).select(F.get(reference.word_ids(F.array(F.lit(w)), v), 0)).first()[0] for w in "abcd"}
+    code = lambda x, y: h[x] * v + h[y]
+    got = {r.id: list(r.pairs) for r in reference.pair_codes(df, "id", "s", v, "q").collect()}
+    assert got == {1: [code("b", "c"), code("c", "d")], 2: [], 3: [code("c", "d")], 4: [], 5: []}
+    both = {r.id: list(r.pairs) for r in reference.pair_codes(df, "id", "s", v, "q", "both").collect()}
+    assert both[1] == [code("a", "b"), code("b", "c"), code("c", "d")]
+
+
+def test_targets_without_self_and_over_checkpoints(spark):
+    g = spark.createDataFrame([(0, [3, 4]), (1, [4, -3]), (2, [0, 0])], "id long, g array<long>")
+    v = {r.id: r.v for r in influence.score_without_self(g, [7, 1], g.filter("id = 0").select("id")).collect()}
+    assert v == {0: 0.0, 1: 0.707107, 2: None}
+    s = influence.score(g, [1, 0])
+    assert {r.id: r.v for r in influence.over_checkpoints([s, s], [1.0, 0.5]).collect()} == {0: 0.9, 1: 1.2, 2: None}
+
+
+def test_endpoint_retries_and_is_asked_once(spark, tmp_path):
+    import pandas as pd
+
+    log = f"{tmp_path}/calls"
+
+    def call(text, ckpt, draw):
+        with open(log, "a+") as f:
+            f.seek(0)
+            n = len(f.read())
+            f.write("x")
+        if n == 0:
+            raise OSError("first one fails")
+        return pd.DataFrame({"q": text + "?", "s": text + "!"})
+
+    docs = spark.createDataFrame([(i, f"t{i}") for i in range(4)], "snippet_id long, text string").coalesce(1)
+    made = synth.EndpointSynthesizer(call, retries=2, rate=1000.0, batch=3, pause=0.01).generate(docs, [0], 2)
+    assert made.count() == 8 and made.count() == 8 and {r.s for r in made.collect()} == {f"t{i}!" for i in range(4)}
+    assert len(open(log).read()) == 4  # three calls and one more try, however often the rows are read
+    with pytest.raises(Exception, match="first one fails|always"):
+        def broken(text, ckpt, draw):
+            raise OSError("always")
+
+        synth.EndpointSynthesizer(broken, retries=1, pause=0.01).generate(docs, [0], 1)
+
+
+def test_judge_callable_gives_marks(spark):
+    import pandas as pd
+
+    d = spark.createDataFrame([(1, "a", "bb"), (2, "a", "")], "id long, q string, s string")
+    got = scoring.callable_marks(d, lambda q, s: pd.DataFrame({"x1": s.str.len().clip(1, 5), "x2": 3}).astype("int32"), 2)
+    assert {(r.id, r.x1, r.x2) for r in got.collect()} == {(1, 2, 3), (2, 1, 3)}
+
+
+def test_ridge_options(spark):
+    e = spark.createDataFrame([(float(a), float(10 * b), 2.0 * a - 0.3 * b + 5) for a in range(4) for b in range(5)], "a double, b double, y double")
+    m = ridge.fit(e, ["a", "b"], 0, intercept=True)
+    assert np.allclose(m.weights, [2, -0.03]) and abs(m.intercept - 5) < 1e-6
+    s = ridge.fit(e, ["a", "b"], 1e-9, intercept=True, standardise=True)
+    assert np.allclose(s.weights, [2, -0.03], atol=1e-5)
+    assert abs(ridge.fit(e, ["a", "b"], 1.0, unit_sum=True).weights.sum() - 1) < 1e-9
+    r = ridge.residuals(e, m, ["a", "b"]).collect()
+    assert len(r) == 20 and all(abs(x.residual) < 1e-5 for x in r) and ridge.rank_correlation(e, m, ["a", "b"]).first().spearman >= 0.99
+
+
+def test_near_clusters_and_ranks(spark):
+    t = "one two three four five six seven eight nine ten eleven twelve thirteen fourteen fifteen sixteen seventeen eighteen nineteen twenty"
+    docs = spark.createDataFrame([(5, t), (3, t + " more"), (9, t.upper()), (7, "x y"), (8, None), (1, "wholly other words in this text that no one else has said before")], "doc_id long, text string")
+    pairs = pool.near_pairs(docs)
+    assert [(r.a, r.b, r.percent) for r in pairs.collect()] == [(3, 5, 94)]
+    assert {r.id: r.cluster_id for r in pool.near_clusters(docs, pairs).collect()} == {5: 3, 3: 3, 9: 3, 7: 7, 8: 8, 1: 1}
+    d = spark.range(500).select("id", (F.col("id") * 37 % 11).alias("v"))
+    want = {r.id: k for k, r in enumerate(sorted(d.collect(), key=lambda r: (-r.v, r.id)), 1)}
+    assert {r.id: r["rank"] for r in selection.ranks(d, "v", "id").collect()} == want
+    one = selection.rank_correlation(d.select("id", "v"), d.select("id", (-F.col("v")).alias("v")), "v").first()
+    assert one.n == 500 and one.spearman < -0.9
+
+
+def test_ties_at_the_cut_are_cut_by_id(spark):
+    d = spark.range(4000).select("id", (F.col("id") % 3).alias("v"))
+    for n in (1, 1000, 1333, 1500, 2700, 4000):
+        want = {r.id for r in d.orderBy(F.desc("v"), "id").limit(n).collect()}
+        assert {r.id for r in selection.top_n(d, "v", n, small=100).collect()} == want
+
+
+def test_leak_mark_by_set_and_by_join(spark, monkeypatch):
+    docs = spark.createDataFrame([(1, 0, 0, "q", " ".join(f"w{i}" for i in range(12)), "t"), (2, 0, 0, "q", "nothing of the kind here", "t"), (3, 0, 0, None, None, None)], "snippet_id long, ckpt int, draw int, q string, s string, text string")
+    leaks = pool.benchmark_grams(docs.filter("snippet_id = 1").select(F.col("s").alias("text")))
+    a = {r.snippet_id: r.x8 for r in scoring.rule_marks(docs, leaks).collect()}
+    monkeypatch.setattr(scoring, "MOST_SENT", 1)
+    assert a == {r.snippet_id: r.x8 for r in scoring.rule_marks(docs, leaks).collect()} == {1: 1, 2: 5, 3: 5}
+
+
+def test_proxy_of_each_set_equals_one_by_one(spark):
+    bench = spark.createDataFrame([(1, "a b c"), (2, "a a d")], "item_id long, text string")
+    sets = spark.createDataFrame([("x", 1, "a b a"), ("x", 2, "c"), ("y", 1, "d d a b")], "set string, id long, s string")
+    for order in (1, 2):
+        got = {r.set: r.mean_ln_ppl for r in evaluate.lm_proxy_of_each(sets, "set", "id", "s", bench, order).collect()}
+        assert got == {k: evaluate.lm_proxy(sets.filter(F.col("set") == k), "id", "s", bench, order).first().mean_ln_ppl for k in "xy"}
+
+
+def test_staged_counts_are_weighted_by_epochs(spark):
+    a, b = (spark.createDataFrame([(1, t)], "id long, text string") for t in ("x y", "x z z"))
+    m = evaluate.staged_fit([(a, 2), (b, 3)])
+    assert {r.w: r.c for r in m.counts.collect()} == {"x": 5, "y": 2, "z": 6} and m.tokens == 13
+
+
+def test_hot_words_give_the_same_perplexity(spark, monkeypatch):
+    df = spark.createDataFrame([(i, "the the " + f"w{i % 7} the u{i}") for i in range(300)], "id long, text string")
+    for order in (1, 2):
+        want = {r.id: r.ppl for r in lm.self_perplexity(df, "id", "text", order).collect()}
+        monkeypatch.setattr(lm, "join_spread", lambda rows, t, k, c, n: _low(rows, t, k, c))
+        assert {r.id: r.ppl for r in lm.self_perplexity(df, "id", "text", order).collect()} == want
+        monkeypatch.undo()
+
+
+def _low(rows, t, keys, count):
+    """join_spread with every key of more than ten rows hot."""
+    hot, rest = t.filter(F.col(count) > 10), t.filter(F.col(count) <= 10)
+    return rows.join(F.broadcast(hot), keys).unionByName(rows.join(F.broadcast(hot.select(*keys)), keys, "left_anti").join(rest, keys, "left"))
 
 
 def test_trained_synthesizer_is_a_function_of_its_cell(spark):
@@ -164,24 +361,28 @@ def test_pool_gates_cover_all_rows(spark):
 
 
 def test_loop_pool_passes_every_gate(spark):
-    from synthselect.catalog import methods
+    from synthselect.catalog import workloads
 
     d = "/root/testdata/sf0.001"
-    docs, premium, unit, leaks = methods._loop_inputs(spark, d)
-    raw, bench = spark.read.parquet(f"{d}/documents.parquet"), spark.read.parquet(f"{d}/benchmark.parquet")
+    inp = workloads.inputs(spark, d)
+    raw, bench, labels = (spark.read.parquet(f"{d}/{t}.parquet") for t in ("documents", "benchmark", "labels"))
     clean = {r.snippet_id for r in pool.build_pool(raw, bench)[0].collect()}
-    a, b = {r.snippet_id for r in docs.collect()}, {r.id for r in premium.collect()}
-    assert a | b == clean and not a & b and len(b) == unit == 10
-    assert leaks.count() == pool.benchmark_grams(bench).count() > 0
+    a, b = {r.snippet_id for r in inp.docs.collect()}, {r.id for r in inp.premium.collect()}
+    assert a | b == clean and not a & b and 0 < len(b) and inp.unit == len(clean) // 18
+    source = {r.doc_id: int(r.source[3:]) for r in raw.collect()}
+    good = {r.doc_id for r in labels.filter("quality = 1").collect()}
+    assert b <= good and all(source[i] % 2 == 0 for i in b) and all(source[r.doc_id] % 2 == 1 for r in inp.labels.collect())
+    assert len(inp.leaks.value) == pool.benchmark_grams(bench).count() > 0 and len(set(inp.weights)) > 3
 
 
 def test_round_marks_benchmark_passages(spark):
     leak = " ".join(f"w{i}" for i in range(12))
     docs = spark.createDataFrame([(1, leak), (2, leak.upper().replace("W", "z"))], "snippet_id long, text string").withColumn("n_chars", F.length("text").cast("long"))
-    premium = docs.select(F.col("snippet_id").alias("id"), "text")
+    premium = docs.select(F.col("snippet_id").alias("id"), F.lit("").alias("q"), F.col("text").alias("s"))
     leaks = pool.benchmark_grams(docs.filter("snippet_id = 1").select("text"))
-    cfg = bootstrap.Config(ckpts=1, draws=1, over=1)
-    plain, told = ({r.snippet_id: r.score for r in bootstrap.one_round(docs, premium, 2, cfg, 1, leaks=x).collect()} for x in (None, leaks))
+    cfg = bootstrap.Config(ckpts=1, draws=1, over=1, vocabulary=8, rank=2, width=8)
+    ref = bootstrap.Reference.make(docs, premium, cfg)
+    plain, told = ({r.snippet_id: r.score for r in bootstrap.one_round(docs, 2, cfg, 1, ref, leaks=x).collect()} for x in (None, leaks))
     assert plain[1] - told[1] == 4_000_000 and plain[2] == told[2]
 
 
@@ -200,25 +401,6 @@ def test_top_n_branches_agree_on_reals_and_wide_integers(spark, monkeypatch):
         selection.top_n(df.withColumn("t", F.lit("x")), "t", 3)
 
 
-def test_grids_use_the_whole_pool(spark, monkeypatch):
-    from synthselect.catalog import methods
-
-    d = "/root/testdata/sf0.001"
-    inputs = methods._loop_inputs(spark, d)
-    monkeypatch.setattr(methods, "_loop_inputs", lambda spark, d: inputs)
-    n, seen = inputs[0].count(), []
-    fit, train, top_n = lm.fit, synth.NGramSynthesizer.train, selection.top_n
-    monkeypatch.setattr(lm, "fit", lambda df, *a: seen.append(df.count()) or fit(df, *a))
-    monkeypatch.setattr(selection, "top_n", lambda df, *a, **k: seen.append(df.count()) or top_n(df, *a, **k))
-    assert {r.setting for r in methods.strategy_grid(spark, d).collect()} == {"influence", "random", "low_ppl", "high_ppl"}
-    assert seen == [n] * 4
-    monkeypatch.setattr(lm, "fit", fit)
-    seen.clear()
-    monkeypatch.setattr(synth.NGramSynthesizer, "train", lambda self, df, *a, **k: seen.append(df.count()) or train(self, df, *a, **k))
-    assert methods.pilot_grid(spark, d).count() == 6
-    assert seen == [n, inputs[2]] * 3
-
-
 def test_pairwise_searches_take_a_twentieth_of_the_table(spark):
     from synthselect.catalog import methods
 
