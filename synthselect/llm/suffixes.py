@@ -402,6 +402,60 @@ def _keyed(docs: DataFrame) -> DataFrame:
     return d.join(kinds, ["doc", "_digest"]).drop("_digest")
 
 
+def repeat_groups(docs: DataFrame, length: int = LENGTH, reach: int = 1000) -> DataFrame:
+    """(repeat, n_bytes, n_occurrences, doc_id, start): every maximal repeat of at least `length` bytes with all its
+    occurrences, a row each; start: in bytes; repeat: the hex digest of its bytes.
+
+    Maximal: no byte more on either side is the same at all occurrences; the ends of a text differ from everything.
+    Repeats are seen as far as `reach` bytes around an anchor, and told cut there.  Null and short texts have none; rows
+    of one doc_id are told apart as in dedup_bytes, equal ones as one document.  Occurrences with the same bytes
+    around them are one kind; a task holds the kinds of an anchor, not its occurrences.
+    """
+
+    def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for d, t, text in zip(*(c.to_pylist() for c in b.columns)):
+                raw = (text or "").encode("utf-8", "surrogatepass")
+                if len(raw) >= length:
+                    h, at, left, right = (x.tolist() for x in anchors(raw, length))
+                    around = [raw[max(0, p - reach) : p + reach] for p in at]
+                    back = [min(p, reach) for p in at]
+                    kind = [xxhash.xxh3_128_digest(x, k) for x, k in zip(around, back)]
+                    yield pa.RecordBatch.from_arrays([pa.array(x) for x in (h, kind, [d] * len(h), [t] * len(h), at, back, left, right, around)], names=["h", "kind", "doc", "tie", "at", "back", "left", "right", "around"])
+
+    def tell(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for pdf, starts in common.whole_runs(batches, ["h"], 2_000):
+            out = []
+            for s, e in zip(starts.tolist(), [*starts.tolist()[1:], len(pdf)]):
+                rows = pdf.iloc[s:e]
+                own = np.repeat(np.arange(e - s), np.minimum(rows["n"], 2))  # copies of a kind repeat it whole
+                around, back = rows["around"].tolist(), rows["back"].tolist()
+                found: dict[tuple, int] = {}
+                for x, y, members in maximal_repeats([around[k][: back[k]][::-1] for k in own], [around[k][back[k] :] for k in own], length):
+                    key = (y, frozenset(members))
+                    found[key] = max(x, found.get(key, 0))
+                for (y, members), x in found.items():
+                    k = int(own[min(members)])
+                    # the anchor is that of a window within the repeat, so all its occurrences are here
+                    if max(length - y, length - rows["right"].iloc[k]) <= min(x, rows["left"].iloc[k]):
+                        name = xxhash.xxh3_128_hexdigest(around[k][back[k] - x : back[k] + y])
+                        out += [(rows["h"].iloc[0], rows["kind"].iloc[int(i)], name, x + y, x) for i in {own[m] for m in members}]
+            yield pd.DataFrame(out, columns=["h", "kind", "repeat", "n_bytes", "x"])
+
+    keyed = _keyed(docs.select("doc_id", F.col("text").cast("string").alias("text")))
+    names = "h long, kind binary, doc long, tie long, at long, back long, left long, right long, around binary"
+    rows = common.land(keyed.select("doc", "tie", "text").distinct().mapInArrow(cut, names), "contexts")
+    one = F.struct("back", "left", "right", "around")
+    kinds = rows.groupBy("h", "kind").agg(F.count(F.lit(1)).alias("n"), F.min(one).alias("c"))
+    twice = rows.groupBy("h").agg(F.count(F.lit(1)).alias("m")).filter("m > 1").select("h")
+    kinds = kinds.join(twice, "h", "left_semi").select("h", "kind", "n", "c.*").repartition("h").sortWithinPartitions("h", "kind")
+    found = common.land(kinds.mapInPandas(tell, "h long, kind binary, repeat string, n_bytes long, x long"), "groups")
+    met = rows.select("h", "kind", "doc", "tie", "at").join(found, ["h", "kind"])
+    met = met.select("repeat", "n_bytes", "doc", "tie", (F.col("at") - F.col("x")).alias("start")).distinct()
+    n = met.groupBy("repeat").agg(F.count(F.lit(1)).alias("n_occurrences"))
+    return met.join(n, "repeat").select("repeat", "n_bytes", "n_occurrences", F.expr(f"nullif(doc, {-(1 << 63)})").alias("doc_id"), "start")
+
+
 def _packed(docs: DataFrame) -> DataFrame:
     """(doc, tie, z): texts compressed for the shuffle."""
 

@@ -140,3 +140,42 @@ def test_nulls_ties_repeats_and_no_rows(spark):
     cut = S.drop_repeats(df.withColumn("n_chars", S.F.lit(0)))
     assert cut.columns == [*df.columns, "n_chars"] and [(r.text, r.n_chars) for r in cut.collect() if r.doc_id == 4] == [("x", 1)]
     assert sorted(str(r.text) for r in cut.collect() if r.doc_id in (1, 2)) == ["", "None"]
+
+
+def _brute_groups(rows, length):
+    """Strings of maximal pairs with all their places."""
+    at = {}
+    for d, raw in rows:
+        for i in range(len(raw) - length + 1):
+            at.setdefault(raw[i : i + length], []).append((d, i))
+    texts, found = dict(rows), set()
+    for places in at.values():
+        for n, (d, i) in enumerate(places):
+            for e, j in places[n + 1 :]:
+                a, b = texts[d], texts[e]
+                x, y = 0, length
+                while i - x > 0 and j - x > 0 and a[i - x - 1] == b[j - x - 1]:
+                    x += 1
+                while i + y < len(a) and j + y < len(b) and a[i + y] == b[j + y]:
+                    y += 1
+                found.add(a[i - x : i + y])
+    return {(s, d, k) for s in found for d, raw in rows for k in range(len(raw) - len(s) + 1) if raw[k : k + len(s)] == s}
+
+
+def test_repeat_groups_equal_brute_force(spark):
+    import xxhash
+
+    rows = [(d, r) for d, r in _texts(4, 60) if len(r) < 1000] + [(500, b"a" * 160), (501, b"xy" * 90), (502, b"zz" + b"a" * 130)]
+    want = {(xxhash.xxh3_128_hexdigest(s), len(s), d, k) for s, d, k in _brute_groups(rows, 100)}
+    df = spark.createDataFrame([(d, r.decode(), "x") for d, r in rows], "doc_id long, text string, repeat string").repartition(3)
+    got = S.repeat_groups(df).collect()
+    assert {(r.repeat, r.n_bytes, r.doc_id, r.start) for r in got} == want and len(got) == len(want) > 100
+    assert all(r.n_occurrences >= 2 for r in got)
+
+
+def test_repeat_groups_on_odd_rows(spark):
+    rng = random.Random(9)
+    text = "".join(rng.choice("abc ") for _ in range(140))
+    df = spark.createDataFrame([(None, text), (1, None), (1, ""), (2, text + "x"), (2, text + "x")], "doc_id long, text string")
+    got = {(r.n_bytes, r.n_occurrences, r.doc_id, r.start) for r in S.repeat_groups(df).collect()}
+    assert got == {(140, 2, None, 0), (140, 2, 2, 0)} and S.repeat_groups(df.limit(0)).collect() == []
