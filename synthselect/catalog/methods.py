@@ -53,6 +53,11 @@ def pool_sensitive_flags(spark: SparkSession, d: str) -> DataFrame:
     return pool.sensitive_hits(table(spark, d, "documents")).select("doc_id", "n_sensitive")
 
 
+@query("pool_license_flags", f"SELECT doc_id, len(regexp_extract_all(lower(text), '{pool.LICENSE}'))::INT AS n_license FROM documents")
+def pool_license_flags(spark: SparkSession, d: str) -> DataFrame:
+    return pool.license_hits(table(spark, d, "documents")).select("doc_id", "n_license")
+
+
 _HITS = f"""SELECT id, count(*) AS n_hits FROM (SELECT doc_id AS id, unnest({grams("t", 8)}) AS gram FROM (SELECT doc_id, {w("text")} AS t FROM documents))
  WHERE gram IN (SELECT unnest({grams("t", 8)}) FROM (SELECT {w("text")} AS t FROM benchmark)) GROUP BY id"""
 

@@ -21,6 +21,8 @@ class PoolConfig:
     least_distinct_words: int = 20
     most_repeated_lines: int = 50
     gram: int = 8
+    #: Whole hundredths of likeness from which near duplicates go, the smallest id of a cluster staying; None: they stay.
+    near: int | None = None
 
 
 def page_text(pages: DataFrame) -> DataFrame:
@@ -52,6 +54,14 @@ def sensitive_hits(df: DataFrame) -> DataFrame:
     return df.withColumn("n_sensitive", F.regexp_count("text", F.lit(SECRET)).cast("int"))
 
 
+#: Words of license notices; a screen, the corpus operators tell which license.
+LICENSE = r"licensed under|all rights reserved|copyright [(]c[)]|released under the|permission is hereby granted"
+
+
+def license_hits(df: DataFrame) -> DataFrame:
+    return df.withColumn("n_license", F.regexp_count(F.lower("text"), F.lit(LICENSE)).cast("int"))
+
+
 def sensitive(df: DataFrame, mode: str = "drop") -> DataFrame:
     if mode == "drop":
         return sensitive_hits(df).filter("n_sensitive = 0").drop("n_sensitive")
@@ -105,6 +115,11 @@ def gates(docs: DataFrame, bench: DataFrame, cfg: PoolConfig = PoolConfig()) ->
 def build_pool(docs: DataFrame, bench: DataFrame, cfg: PoolConfig = PoolConfig()) -> tuple[DataFrame, DataFrame]:
     """(kept snippets, dropped rows with reason)."""
     g = gates(docs, bench, cfg)
+    if cfg.near is not None:
+        g = land(g)
+        left = g.filter("reason is null")
+        c = near_clusters(left, near_pairs(left, least=cfg.near)).filter("id <> cluster_id").select(F.col("id").alias("doc_id"), F.lit(1).alias("_near"))
+        g = g.join(c, "doc_id", "left").withColumn("reason", F.when(F.col("_near").isNotNull(), "near_duplicate").otherwise(F.col("reason"))).drop("_near")
     return g.filter("reason is null").select(F.col("doc_id").alias("snippet_id"), *[c for c in docs.columns if c != "doc_id"]), g.filter("reason is not null")
 
 

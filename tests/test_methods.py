@@ -419,3 +419,12 @@ def test_trained_synthesizer_reads_the_whole_text(spark):
     assert len(rows) == 430 and q[90] == q[91] == "" and q[92] == "two words"
     asked = {w for r in rows if r.snippet_id < 40 for w in r.q.split()}
     assert len(asked) >= 290 and all(r.q in text and len(r.q.split()) == 12 for r in rows if r.snippet_id < 40)
+
+
+def test_near_duplicates_leave_the_pool_if_asked(spark):
+    t = "one two three four five six seven eight nine ten eleven twelve thirteen fourteen fifteen sixteen seventeen eighteen nineteen twenty and so on it goes"
+    docs = spark.createDataFrame([(1, t), (2, t + " once more"), (3, t.replace("ten", "none")[::-1])], "doc_id long, text string").withColumn("n_chars", F.length("text").cast("long"))
+    bench = spark.createDataFrame([(1, "nothing of these")], "item_id long, text string")
+    kept, dropped = pool.build_pool(docs, bench, pool.PoolConfig(near=80))
+    assert {r.snippet_id for r in kept.collect()} == {1, 3} and [(r.doc_id, r.reason) for r in dropped.collect()] == [(2, "near_duplicate")]
+    assert pool.build_pool(docs, bench)[0].count() == 3
