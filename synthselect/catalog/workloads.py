@@ -101,7 +101,7 @@ def _cells(src: str, key: str) -> str:
 def _assigned(src: str, name: str) -> str:
     return f"""{name}_e AS ({_cells(src, "doc_id")}), {name}_d AS ({_cells("(SELECT * FROM benchmark WHERE item_id < 10)", "item_id")}), {name}_n AS (SELECT id, sqrt(sum(x * x)) AS n FROM {name}_e GROUP BY id), {name}_m AS (SELECT id, sqrt(sum(x * x)) AS n FROM {name}_d GROUP BY id),
  {name}_s AS (SELECT e.id, d.id AS c, sum(e.x * d.x) AS dot FROM {name}_e e JOIN {name}_d d USING (i) GROUP BY 1, 2),
- {name} AS MATERIALIZED (SELECT a.id, b.id AS c, round(coalesce(s.dot, 0) / greatest(a.n * b.n, 1e-300), 6) AS similarity FROM {name}_n a CROSS JOIN {name}_m b LEFT JOIN {name}_s s ON s.id = a.id AND s.c = b.id QUALIFY row_number() OVER (PARTITION BY a.id ORDER BY similarity DESC, c) = 1)"""
+ {name} AS MATERIALIZED (SELECT a.id, b.id AS c, CASE WHEN coalesce(s.dot, 0) = 0 THEN 0.0 ELSE round(s.dot / greatest(a.n * b.n, 1e-300), 6) END::DOUBLE AS similarity FROM {name}_n a CROSS JOIN {name}_m b LEFT JOIN {name}_s s ON s.id = a.id AND s.c = b.id QUALIFY row_number() OVER (PARTITION BY a.id ORDER BY similarity DESC, b.id) = 1)"""
 
 
 def _cand(src: str, cells: str) -> str:
