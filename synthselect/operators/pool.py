@@ -104,7 +104,7 @@ def gates(docs: DataFrame, bench: DataFrame, cfg: PoolConfig = PoolConfig()) ->
         d = d.join(hit, "doc_id", "left")
     else:  # in place: no text is shuffled
         d = d.withColumn("_hit", F.when(hits > 0, 1))
-    d = d.withColumn("_key", F.md5(F.array_join("_t", " ").cast("binary"))).drop("_t")
+    d = land(d.withColumn("_key", F.md5(F.array_join("_t", " ").cast("binary"))).drop("_t"))  # read several times, marked once
     low = d.groupBy("_key").agg(F.min("doc_id").alias("_low"), F.count(F.lit(1)).alias("_rows"))
     many = low.filter("_rows > 1").select("_key", "_low", "_rows")  # one row for each text that has copies
     d = join_spread(d, many, ["_key"], "_rows", docs.count()).withColumn("_dup", F.when(F.col("_low") < F.col("doc_id"), 1))

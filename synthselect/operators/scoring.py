@@ -56,7 +56,8 @@ def shared_runs(tokens: str, runs, n: int = 8):
     @F.pandas_udf("int")
     def count(arrays: pd.Series) -> pd.Series:
         known = sent.value
-        return pd.Series([0 if w is None else len({g for g in (" ".join(w[k : k + n]) for k in range(len(w) - n + 1)) if g in known}) for w in arrays], dtype="int32")
+        lists = (() if w is None else w.tolist() for w in arrays)
+        return pd.Series([len(known.intersection(map(" ".join, zip(*(w[k:] for k in range(n)))))) for w in lists], dtype="int32")
 
     return count(tokens)
 
