@@ -423,14 +423,15 @@ def _steps(inp: Inputs, vocab: int, fanout: int, rounds: bool) -> dict[str, synt
 
 
 def _by_sets(spark: SparkSession, d: str, inp: Inputs, rounds: bool) -> DataFrame:
-    sets = land(evaluation_sets(spark, d))
-    tokens = lm.counted(sets.select(F.concat_ws("|", "set", F.col("id").cast("string")).alias("id"), "text"), "id", "text")
-    out = []
+    """All cells at once: (synth, step, set, n_items, mean_ln_ppl)."""
+    made = []
     for name, vocab, fanout in SIZES:
         for step, model in _steps(inp, vocab, fanout, rounds).items():
-            made = land(bootstrap.final_dataset(model, inp.docs, 4 * inp.unit, inp.config()))
-            out.append(evaluate.lm_proxies(made, "snippet_id", "s", sets, 1, tokens).select(F.lit(name).alias("synth"), F.lit(step).alias("step"), "*"))
-    return _union(out)
+            rows = bootstrap.final_dataset(model, inp.docs, 4 * inp.unit, inp.config())
+            made.append(rows.select(F.lit(f"{name} {step}").alias("cell"), "snippet_id", "s"))
+    sets = evaluation_sets(spark, d).withColumnRenamed("id", "item_id")
+    got = evaluate.lm_proxy_of_each(land(_union(made)), "cell", "snippet_id", "s", sets, 1, "set")
+    return got.select(F.substring_index("cell", " ", 1).alias("synth"), F.substring_index("cell", " ", -1).alias("step"), "set", "n_items", "mean_ln_ppl")
 
 
 @query("pilot_grid")
