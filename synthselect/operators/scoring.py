@@ -46,11 +46,17 @@ def sent_runs(runs: DataFrame):
     return runs.sparkSession.sparkContext.broadcast(frozenset(r["gram"] for r in runs.select("gram").collect()))
 
 
+def _sent(runs):
+    """The broadcast set of runs; None for runs that weren't sent (then join)."""
+    sent = sent_runs(runs) if isinstance(runs, DataFrame) else runs
+    return None if isinstance(sent, DataFrame) else sent
+
+
 def shared_runs(tokens: str, runs, n: int = 8):
     """A column: how many distinct runs of n words of the array column `tokens` are among `runs`; None for runs that
     weren't sent (then join).  runs: of sent_runs(), or a frame that is sent here."""
-    sent = sent_runs(runs) if isinstance(runs, DataFrame) else runs
-    if isinstance(sent, DataFrame):
+    sent = _sent(runs)
+    if sent is None:
         return None
 
     @F.pandas_udf("int")
@@ -62,6 +68,18 @@ def shared_runs(tokens: str, runs, n: int = 8):
     return count(tokens)
 
 
+def has_runs(joined: str, sent, n: int = 8) -> Column:
+    """Whether words joined by blanks hold a run of n words that is in the set of _sent(); a null holds none."""
+
+    @F.pandas_udf("boolean")
+    def look(texts: pd.Series) -> pd.Series:
+        known = sent.value
+        lists = (() if t is None else t.split(" ") for t in texts)
+        return pd.Series([not known.isdisjoint(map(" ".join, zip(*(w[k:] for k in range(n))))) for w in lists], dtype="bool")
+
+    return look(joined)
+
+
 def with_context(snippets: DataFrame, text: str = "text") -> DataFrame:
     """snippets with their distinct words as `context_words`: split once, before the candidates fan out."""
     return snippets.withColumn("context_words", F.array_distinct(words(text)))
@@ -80,7 +98,7 @@ def rule_marks(df: DataFrame, leaks=None, context: str = "text", target: int = T
     lines = F.split(s, "\n")
     both = F.size(F.array_intersect("_s", "_c"))
     lang_q, lang_s = majority_language(F.col("_q")), majority_language(F.col("_s"))
-    leak = shared_runs("_s", leaks) if leaks is not None else F.lit(0)
+    sent = _sent(leaks) if leaks is not None else None
     marks = {
         "x1": five(F.size(F.array_intersect("_q", "_s")), F.size(F.array_distinct("_q"))),
         "x2": five(F.size(F.array_distinct("_s")), F.size("_s")),
@@ -89,12 +107,17 @@ def rule_marks(df: DataFrame, leaks=None, context: str = "text", target: int = T
         "x5": five(F.size(F.array_distinct(lines)), F.size(lines)),
         "x6": (5 - F.least(F.lit(4), F.greatest(F.lit(0), F.floor(F.length(s) / F.greatest(F.lit(1), F.size("_s"))) - 7))).cast("int"),
         "x7": five(both, F.size(F.array_distinct("_s"))),
-        "x8": F.lit(5) if leak is None else F.when(leak > 0, 1).otherwise(5),
+        "x8": F.lit(5),
         "x9": (5 - F.least(F.lit(4), 2 * F.regexp_count(s, F.lit(SECRET)))).cast("int"),
         "x10": F.when((lang_q == -1) | (lang_s == -1), 3).when(lang_q == lang_s, 5).otherwise(1).cast("int"),
     }
-    out = df.withColumns(marks).drop("_q", "_s", "_c")
-    if leak is None:
+    # Python's input queue spills whole rows, so snippets and word lists end below it: `_w` is read twice above, which keeps
+    # the optimizer from moving the marks over the queue.
+    out = df.withColumns(marks).withColumn("_w", F.when(F.size("_s") >= 8, F.array_join("_s", " "))).drop("_q", "_s", "_c")
+    if sent is not None:
+        out = out.withColumn("x8", F.when(F.col("_w").isNotNull() & has_runs("_w", sent), 1).otherwise(5))
+    out = out.drop("_w")
+    if leaks is not None and sent is None:
         key = [c for c in ("snippet_id", "ckpt", "draw") if c in df.columns]
         grams = out.select(*key, words("s").alias("_t")).select(*key, F.explode(shingles(F.col("_t"), 8)).alias("gram"))
         hit = grams.join(leaks, "gram", "left_semi").select(*key).distinct().withColumn("_leak", F.lit(1))

@@ -428,3 +428,30 @@ def test_near_duplicates_leave_the_pool_if_asked(spark):
     kept, dropped = pool.build_pool(docs, bench, pool.PoolConfig(near=80))
     assert {r.snippet_id for r in kept.collect()} == {1, 3} and [(r.doc_id, r.reason) for r in dropped.collect()] == [(2, "near_duplicate")]
     assert pool.build_pool(docs, bench)[0].count() == 3
+
+
+def _nodes(plan):
+    found = [plan]
+    for k in range(plan.children().size()):
+        found += _nodes(plan.children().apply(k))
+    return found
+
+
+@pytest.mark.parametrize("name", ["score_aspects", "score_weighted", "score_average", "score_composite", "cand_pick_best", "cand_top_m", "cand_search_gain"])
+def test_no_snippet_goes_through_pythons_queue(spark, name):
+    from synthselect import catalog
+
+    df = catalog.load()[0][name](spark, "/root/testdata/sf0.001")
+    python = [n for n in _nodes(df._jdf.queryExecution().optimizedPlan()) if n.nodeName() == "ArrowEvalPython"]
+    assert len(python) == 1
+    below = python[0].children().apply(0).output()
+    names = {below.apply(k).name() for k in range(below.size())}
+    assert "_w" in names and not names & {"text", "context_words", "_c", "_q", "_s", "q", "s"}
+
+
+def test_benchmark_runs_in_marks_by_brute_force(spark):
+    run = " ".join(f"w{k}" for k in range(8))
+    texts = {1: f"a {run}\nb", 2: run, 3: run.replace("w3", "x"), 4: " ".join(run.split()[:7]), 5: "", 6: None, 7: run.replace(" ", "  \n").upper()}
+    df = spark.createDataFrame([(k, 0, 0, "q", t) for k, t in texts.items()], "snippet_id long, ckpt int, draw int, q string, s string")
+    leaks = spark.createDataFrame([(run,)], "gram string")
+    assert {r.snippet_id: r.x8 for r in scoring.rule_marks(df, leaks).collect()} == {1: 1, 2: 1, 3: 5, 4: 5, 5: 5, 6: 5, 7: 1}
