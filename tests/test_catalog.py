@@ -72,3 +72,10 @@ def test_string_functions_of_all_languages_by_brute_force(spark):
     want = {r.doc_id: (r.text[:20].upper(), len(r.text), hashlib.md5(r.text.encode()).hexdigest(), r.source.replace("_", "-"), r.lang[:4].rjust(4, "."), distance(r.text[:10], r.text[1:11])) for r in rows}
     got = {r.doc_id: (r["head"], r.n, r.digest, r.src, r.padded, r.dist) for r in QUERIES["op_string_functions_all"](spark, SF).collect()}
     assert got == want and len({r.lang for r in rows}) > 1
+
+
+def test_late_rows_of_one_window_are_counted_one_by_one(spark, tmp_path):
+    con = duckdb.connect()
+    con.execute(f"copy (select event_id + k * 1000000 as event_id, ts, user_id, event_type, value, props from '{SF}/events.parquet', (select unnest(range(10))::BIGINT as k)) to '{tmp_path}/events.parquet' (format parquet)")
+    con.execute(f"create view events as select * from '{tmp_path}/events.parquet'")
+    assert tuple(QUERIES["op_stream_late_rows"](spark, str(tmp_path)).select("windows", "counted", "dropped").first()) == con.execute(SQL["op_stream_late_rows"]).fetchone()
