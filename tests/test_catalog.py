@@ -79,3 +79,14 @@ def test_late_rows_of_one_window_are_counted_one_by_one(spark, tmp_path):
     con.execute(f"copy (select event_id + k * 1000000 as event_id, ts, user_id, event_type, value, props from '{SF}/events.parquet', (select unnest(range(10))::BIGINT as k)) to '{tmp_path}/events.parquet' (format parquet)")
     con.execute(f"create view events as select * from '{tmp_path}/events.parquet'")
     assert tuple(QUERIES["op_stream_late_rows"](spark, str(tmp_path)).select("windows", "counted", "dropped").first()) == con.execute(SQL["op_stream_late_rows"]).fetchone()
+
+
+def test_string_functions_on_letters_of_several_bytes(spark, tmp_path):
+    heads = ["ßaß", "straße ﬁn ŉ", "ᾳᾀΐ", "Önen", "éa", "aéb", "日本語", "", "\U00010d70ꟍ", "İıÿµ"]
+    con = duckdb.connect()
+    con.execute("create table documents (doc_id bigint, text varchar, lang varchar, source varchar, n_chars bigint)")
+    con.executemany("insert into documents values (?, ?, 'en', 'src_1', 3)", [list(x) for x in enumerate(heads)] + [[99, None]])
+    con.execute(f"copy documents to '{tmp_path}/documents.parquet' (format parquet)")
+    cols = ["doc_id", "head", "n", "digest", "src", "padded", "dist"]
+    got = [tuple(r) for r in QUERIES["op_string_functions"](spark, str(tmp_path)).select(*cols).orderBy("doc_id").collect()]
+    assert got == con.execute(f"select {', '.join(cols)} from ({SQL['op_string_functions']}) order by doc_id").fetchall()
