@@ -92,7 +92,7 @@ def word_ids(tokens: Column, v: int, seed: str = "ref") -> Column:
 
 def shares(ids: Column, v: int) -> Column:
     """Shares of the ids 0..v-1 in an array, in millionths."""
-    return bound(ids, lambda h: F.transform(F.sequence(F.lit(0), F.lit(v - 1)), lambda i: F.floor(F.size(F.filter(h, lambda x: x == i)) * UNIT / F.greatest(F.lit(1), F.size(h))).cast("long")))
+    return bound(ids, lambda h: F.transform(F.sequence(F.lit(0), F.lit(v - 1)), lambda i: F.floor(F.size(F.filter(h, lambda x: x == i)).cast("long") * UNIT / F.greatest(F.lit(1), F.size(h))).cast("long")))
 
 
 def pair_codes(df: DataFrame, id_col: str, s: str, v: int, q: str | None = None, loss_on: str = "solution") -> DataFrame:

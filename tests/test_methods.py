@@ -455,3 +455,9 @@ def test_benchmark_runs_in_marks_by_brute_force(spark):
     df = spark.createDataFrame([(k, 0, 0, "q", t) for k, t in texts.items()], "snippet_id long, ckpt int, draw int, q string, s string")
     leaks = spark.createDataFrame([(run,)], "gram string")
     assert {r.snippet_id: r.x8 for r in scoring.rule_marks(df, leaks).collect()} == {1: 1, 2: 1, 3: 5, 4: 5, 5: 5, 6: 5, 7: 1}
+
+
+def test_shares_of_a_word_of_thousands(spark):
+    d = spark.createDataFrame([(1, "a " * 3000 + "b", 1)], "id long, text string, y int")
+    x = reference.HashedLogistic.cells(d, "id", "text", "y", 64).first().x
+    assert sorted(x)[-2:] == [1_000_000 // 3001, 3000 * 1_000_000 // 3001] and len(x) == 64
