@@ -137,21 +137,35 @@ def near_pairs(docs: DataFrame, id_col: str = "doc_id", n: int = 5, bands: int =
 
     Texts with the same shingles are one node, so copies cost nothing; a node's partners in a band are joined by the
     band's key.  percent: whole hundredths of the Jaccard likeness.  a, b: the smallest ids of their nodes, a < b.
+
+    Only digests and signatures of all texts are shuffled; shingles, as 64-bit hashes, only of texts that have a partner
+    whose number of shingles lets them be so much alike.
     """
-    t = docs.select(F.col(id_col).alias("id"), words("text").alias("_t")).select("id", F.array_sort(shingles(F.col("_t"), n)).alias("grams")).filter("size(grams) > 0")
-    t = t.withColumn("node", F.md5(F.array_join("grams", "|").cast("binary"))).groupBy("node").agg(F.min("id").alias("id"), F.min("grams").alias("grams"))
+    t = _shingled(docs, id_col, n)  # empty ones go once they are nodes: a filter here would have the shingles made twice
     hashes = F.transform("grams", lambda g: hash_unit("band", g) % BAND_PRIME)
     low = bound(hashes, lambda hs: F.array(*[F.array_min(F.transform(hs, _mixed(k))) for k in range(bands * rows)]))
-    t = land(t.select("id", "grams", low.alias("low")))
+    t = t.select("id", _node(), F.size("grams").alias("size"), low.alias("low"))
+    t = land(t.groupBy("node").agg(F.min("id").alias("id"), F.min("size").alias("size"), F.min("low").alias("low")).filter("size > 0").drop("node"))
     keys = F.array(*[F.concat_ws("-", F.lit(b), *[F.col("low")[b * rows + r].cast("string") for r in range(rows)]) for b in range(bands)])
-    bands_ = t.select("id", F.explode(keys).alias("key"))
-    meet = bands_.select(F.col("id").alias("a"), "key").join(bands_.select(F.col("id").alias("b"), "key"), "key").filter("a < b").select("a", "b").distinct()
-    g = t.select("id", "grams")
+    bands_ = t.select("id", "size", F.explode(keys).alias("key"))
+    meet = bands_.select(F.col("id").alias("a"), F.col("size").alias("m"), "key").join(bands_.select(F.col("id").alias("b"), F.col("size").alias("n"), "key"), "key")
+    meet = land(meet.filter("a < b").filter(100 * F.least("m", "n").cast("long") >= least * F.greatest("m", "n").cast("long")).select("a", "b").distinct())
+    paired = meet.select(F.col("a").alias("id")).union(meet.select(F.col("b").alias("id"))).distinct()
+    g = land(_shingled(docs.join(paired.withColumnRenamed("id", id_col), id_col, "left_semi"), id_col, n).select("id", F.transform("grams", lambda x: F.xxhash64(x)).alias("grams")))
     both = meet.join(g.select(F.col("id").alias("a"), F.col("grams").alias("_x")), "a").join(g.select(F.col("id").alias("b"), F.col("grams").alias("_y")), "b")
     same = F.size(F.array_intersect("_x", "_y"))
     return both.withColumn("percent", F.floor(100 * same / (F.size("_x") + F.size("_y") - same)).cast("int")).filter(F.col("percent") >= least).select("a", "b", "percent")
 
 
+def _shingled(docs: DataFrame, id_col: str, n: int) -> DataFrame:
+    """(id, grams): the distinct runs of n words of each text, in order."""
+    return docs.select(F.col(id_col).alias("id"), words("text").alias("_t")).select("id", F.array_sort(shingles(F.col("_t"), n)).alias("grams"))
+
+
+def _node() -> Column:
+    return F.md5(F.array_join("grams", "|").cast("binary")).alias("node")
+
+
 def _mixed(k: int):
     return lambda h: (h * (1_000_003 * (k + 1)) + 7919 * k) % BAND_PRIME
 
@@ -162,12 +176,12 @@ def near_clusters(docs: DataFrame, pairs: DataFrame, id_col: str = "doc_id", n:
     Labels travel both ways along links and through their own labels (pointer jumping), so rounds grow with the
     logarithm of a chain's length.
     """
-    t = docs.select(F.col(id_col).alias("id"), words("text").alias("_t")).select("id", F.array_sort(shingles(F.col("_t"), n)).alias("grams"))
-    key = F.when(F.size("grams") > 0, F.md5(F.array_join("grams", "|").cast("binary"))).otherwise(F.concat(F.lit("id"), F.col("id").cast("string")))
-    node = t.select("id", key.alias("node"))
+    key = F.when(F.size("grams") > 0, _node()).otherwise(F.concat(F.lit("id"), F.col("id").cast("string")))
+    node = land(_shingled(docs, id_col, n).select("id", key.alias("node")))
     node = land(node.join(node.groupBy("node").agg(F.min("id").alias("own")), "node").select("id", "own"))
     label = land(node.select(F.col("own").alias("k")).distinct().withColumn("l", F.col("k")))
-    links = land(pairs.select("a", "b").union(pairs.select("b", "a")))
+    pairs = land(pairs.select("a", "b"))
+    links = land(pairs.union(pairs.select("b", "a")))
     while True:
         low = links.join(label.withColumnRenamed("k", "b"), "b").groupBy(F.col("a").alias("k")).agg(F.min("l").alias("m"))
         new = label.join(low, "k", "left").select("k", F.least("l", F.coalesce("m", "l")).alias("l"))

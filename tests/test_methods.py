@@ -461,3 +461,20 @@ def test_shares_of_a_word_of_thousands(spark):
     d = spark.createDataFrame([(1, "a " * 3000 + "b", 1)], "id long, text string, y int")
     x = reference.HashedLogistic.cells(d, "id", "text", "y", 64).first().x
     assert sorted(x)[-2:] == [1_000_000 // 3001, 3000 * 1_000_000 // 3001] and len(x) == 64
+
+
+def test_near_pairs_shuffle_no_shingles_of_lonely_texts(spark, monkeypatch):
+    import random
+
+    r = random.Random(3)
+    texts = [" ".join(r.choice("abcdefghijklmnopqrstuvwxyz") * 3 + str(r.randrange(60)) for _ in range(120)) for _ in range(30)]
+    near = [t.rsplit(" ", 3)[0] + " x y z" for t in texts[:4]]
+    short = [" ".join(t.split()[:70]) for t in texts[4:8]]  # too short to be so much alike
+    rows = list(enumerate(texts + near + short + texts[:2] + ["", "one two"]))
+    landed, land = [], pool.land
+    monkeypatch.setattr(pool, "land", lambda df, *more: landed.append(land(df, *more)) or landed[-1])
+    got = {(p.a, p.b): p.percent for p in pool.near_pairs(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    sets = {k: {" ".join(t.split()[i : i + 5]) for i in range(len(t.split()) - 4)} for k, t in rows}
+    assert got == {(k, 30 + k): 100 * len(sets[k] & sets[30 + k]) // len(sets[k] | sets[30 + k]) for k in range(4)}
+    held = [d for d in landed if "grams" in d.columns]
+    assert [{x.id for x in d.collect()} for d in held] == [{0, 1, 2, 3, 30, 31, 32, 33}]
