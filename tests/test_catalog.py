@@ -90,3 +90,8 @@ def test_string_functions_on_letters_of_several_bytes(spark, tmp_path):
     cols = ["doc_id", "head", "n", "digest", "src", "padded", "dist"]
     got = [tuple(r) for r in QUERIES["op_string_functions"](spark, str(tmp_path)).select(*cols).orderBy("doc_id").collect()]
     assert got == con.execute(f"select {', '.join(cols)} from ({SQL['op_string_functions']}) order by doc_id").fetchall()
+
+
+@pytest.mark.parametrize("name", ["cost_data_sizes", "cost_recipe_cube", "eval_ablation_drop", "eval_ablation_ranks", "eval_mark_ranks", "eval_model_comparison", "eval_relative_change", "eval_vs_best", "eval_vs_best_mean"])
+def test_reads_a_given_table(spark, name):
+    assert any(f.startswith(f"file://{SF}/") for f in QUERIES[name](spark, SF).inputFiles())
