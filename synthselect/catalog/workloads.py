@@ -304,8 +304,13 @@ def bootstrap_trained(spark: SparkSession, d: str) -> DataFrame:
 
 def _enhanced(inp: Inputs, vocab: int = 2000, fanout: int = 16, n_ckpt: int = 3) -> tuple[synth.NGramSynthesizer, synth.NGramSynthesizer]:
     """(original, enhanced) n-gram synthesizers: trained on the pool, then on the premium set."""
-    base = synth.NGramSynthesizer(vocab, fanout).train(inp.docs.select(F.col("snippet_id").alias("id"), "text"), n_ckpt)
-    return base, synth.enhance(base, inp.premium, n_ckpt, "s")
+    return _enhanced_of(inp, [(vocab, fanout)], n_ckpt)[0]
+
+
+def _enhanced_of(inp: Inputs, sizes: list[tuple[int, int]], n_ckpt: int = 3) -> list[tuple[synth.NGramSynthesizer, synth.NGramSynthesizer]]:
+    """(original, enhanced) of each (vocab, fanout): the words of the pool are counted once for all."""
+    base = synth.trained([synth.NGramSynthesizer(v, f) for v, f in sizes], inp.docs.select(F.col("snippet_id").alias("id"), "text"), n_ckpt)
+    return list(zip(base, synth.trained(base, inp.premium, n_ckpt, "s", "id", base[0].counts, more=False)))
 
 
 _SCHEDULES = {name: (replace(FIXED, schedule=name, ckpts=3), None) for name in bootstrap.SCHEDULES}
@@ -316,7 +321,8 @@ def bootstrap_schedules(spark: SparkSession, d: str) -> DataFrame:
     """The five schedules, two snippets prompted for each kept: sizes, marks, influence, purity and both proxies."""
     inp = inputs(spark, d)
     ref = bootstrap.Reference.make(inp.docs, inp.premium, inp.config())
-    return _grid(spark, d, {n: (lambda n=n: land(_union(_run(inp, inp.config(schedule=n), ref).rounds))) for n in bootstrap.SCHEDULES}, inp)
+    ready = bootstrap.prepared(inp.docs, [inp.config()], ref, inp.leaks)[bootstrap.rule(inp.config())]  # all schedules together prompt nearly all
+    return _grid(spark, d, {n: (lambda n=n: _union(_run(inp, inp.config(schedule=n), ref, ready=ready).rounds)) for n in bootstrap.SCHEDULES}, inp)
 
 
 def _ledger_sql() -> str:
@@ -352,7 +358,11 @@ def ablation_grid(spark: SparkSession, d: str) -> DataFrame:
     """The full loop and each part taken out or swapped, for two targets (proxies of order 1 and 2)."""
     inp = inputs(spark, d)
     ref = bootstrap.Reference.make(inp.docs, inp.premium, inp.config())
-    return _grid(spark, d, {n: (lambda c=c: land(_union(_run(inp, inp.config(**c), ref).rounds))) for n, c in bootstrap.ABLATIONS.items()}, inp)
+    cfgs = {n: inp.config(**c) for n, c in bootstrap.ABLATIONS.items()}
+    asked = bootstrap.prompts_of(inp.docs, inp.config())  # the same for all
+    prompts = inp.docs.join(_union(asked).select("snippet_id"), "snippet_id", "left_semi")
+    ready = bootstrap.prepared(prompts, list(cfgs.values()), ref, inp.leaks)
+    return _grid(spark, d, {n: (lambda c=c: _union(_run(inp, c, ref, ready=ready[bootstrap.rule(c)], asked=asked).rounds)) for n, c in cfgs.items()}, inp)
 
 
 @query("ablation_trained")
@@ -362,7 +372,8 @@ def ablation_trained(spark: SparkSession, d: str) -> DataFrame:
     base = replace(inp.config(), reference="trained", vocabulary=64, rank=4, width=64, schedule="20-20")
     start, ref = _enhanced(inp)[1], bootstrap.Reference.make(inp.docs, inp.premium, base)
     names = ("full", "no_multi_ckpt", "no_scoring", "no_influence")
-    return _grid(spark, d, {n: (lambda n=n: land(_union(_run(inp, replace(base, **bootstrap.ABLATIONS[n]), ref, start).rounds))) for n in names}, inp)
+    asked = bootstrap.prompts_of(inp.docs, base)  # the same for all
+    return _grid(spark, d, {n: (lambda n=n: _union(_run(inp, replace(base, **bootstrap.ABLATIONS[n]), ref, start, asked=asked).rounds)) for n in names}, inp)
 
 
 _STRATEGIES = {name: (replace(FIXED, **change), [4]) for name, change in bootstrap.STRATEGIES.items()}
@@ -375,7 +386,9 @@ def strategy_grid(spark: SparkSession, d: str) -> DataFrame:
     inp = inputs(spark, d)
     ref = bootstrap.Reference.make(inp.docs, inp.premium, inp.config())
     pool_lm = lm.fit(inp.docs, "snippet_id", "text")
-    return _grid(spark, d, {n: (lambda c=c: land(bootstrap.one_round(inp.docs, 4 * inp.unit, inp.config(**c), 1, ref, None, inp.leaks, pool_lm))) for n, c in bootstrap.STRATEGIES.items()}, inp)
+    cfgs = {n: inp.config(**c) for n, c in bootstrap.STRATEGIES.items()}
+    ready = bootstrap.prepared(bootstrap.prompted(inp.docs, 4 * inp.unit * inp.config().over, 1), list(cfgs.values()), ref, inp.leaks)
+    return _grid(spark, d, {n: (lambda c=c: bootstrap.one_round(inp.docs, 4 * inp.unit, c, 1, ref, None, inp.leaks, pool_lm, ready[bootstrap.rule(c)])) for n, c in cfgs.items()}, inp)
 
 
 _SCALE = (1, 2, 4, 6)
@@ -411,24 +424,26 @@ def evaluation_sets(spark: SparkSession, d: str, inp: Inputs | None = None) -> D
 SIZES = (("small", 200, 4), ("middle", 1000, 8), ("large", 4000, 16))
 
 
-def _steps(inp: Inputs, vocab: int, fanout: int, rounds: bool) -> dict[str, synth.NGramSynthesizer]:
-    """The synthesizer's steps: original, enhanced and, if asked for, after each of two rounds."""
-    base, better = _enhanced(inp, vocab, fanout)
-    out = {"original": base, "enhanced": better}
+def _steps(inp: Inputs, rounds: bool) -> dict[str, synth.NGramSynthesizer]:
+    """Each size's steps: original, enhanced and, if asked for, after each of two rounds."""
+    pairs = _enhanced_of(inp, [size[1:] for size in SIZES])
+    out = {}
     if rounds:
         cfg = replace(inp.config(), reference="trained", vocabulary=64, rank=4, width=64)
-        done = _run(inp, cfg, None, better).synths
-        out |= {f"round{t}": s for t, s in enumerate(done) if t}
+        ref, asked = bootstrap.Reference.make(inp.docs, inp.premium, cfg), bootstrap.prompts_of(inp.docs, cfg)  # the same for all
+    for (name, _, _), (base, better) in zip(SIZES, pairs):
+        out |= {f"{name} original": base, f"{name} enhanced": better}
+        if rounds:
+            out |= {f"{name} round{t}": s for t, s in enumerate(_run(inp, cfg, ref, better, asked=asked).synths) if t}
     return out
 
 
 def _by_sets(spark: SparkSession, d: str, inp: Inputs, rounds: bool) -> DataFrame:
     """All cells at once: (synth, step, set, n_items, mean_ln_ppl)."""
-    made = []
-    for name, vocab, fanout in SIZES:
-        for step, model in _steps(inp, vocab, fanout, rounds).items():
-            rows = bootstrap.final_dataset(model, inp.docs, 4 * inp.unit, inp.config())
-            made.append(rows.select(F.lit(f"{name} {step}").alias("cell"), "snippet_id", "s"))
+    made, asked = [], land(bootstrap.prompted(inp.docs, 4 * inp.unit, 99))
+    for cell, model in _steps(inp, rounds).items():
+        rows = bootstrap.final_dataset(model, inp.docs, 4 * inp.unit, inp.config(), asked=asked)
+        made.append(rows.select(F.lit(cell).alias("cell"), "snippet_id", "s"))
     sets = evaluation_sets(spark, d).withColumnRenamed("id", "item_id")
     got = evaluate.lm_proxy_of_each(land(_union(made)), "cell", "snippet_id", "s", sets, 1, "set")
     return got.select(F.substring_index("cell", " ", 1).alias("synth"), F.substring_index("cell", " ", -1).alias("step"), "set", "n_items", "mean_ln_ppl")

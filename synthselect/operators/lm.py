@@ -43,6 +43,9 @@ def counted(df: DataFrame, id_col: str, text: str, order: int = 1, weight: str |
 
 
 def fit(df: DataFrame, id_col: str, text: str, order: int = 1, alpha: float = 1.0) -> NGram:
+    if order == 1:  # a word's own rows are all that is asked for, so nothing is counted by text
+        t = df.select(F.explode(words(text)).alias("w")).withColumn("n", F.lit(1))
+        return fit_counted(t, order, alpha)
     return fit_counted(counted(df, id_col, text, order), order, alpha)
 
 

@@ -8,7 +8,8 @@ from dataclasses import dataclass, field
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame
+import pyarrow as pa
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions import hash_unit, normalise, words
@@ -90,53 +91,136 @@ class NGramSynthesizer:
 
     def train(self, samples: DataFrame, n_ckpt: int = 3, text: str = "text", id_col: str = "id", prior: DataFrame | None = None) -> NGramSynthesizer:
         """Checkpoint m holds the prior counts and those of the first m / n_ckpt of the samples in hash order."""
-        t = samples.select((F.floor(hash_unit("ckpt", id_col) * n_ckpt / (1 << 32))).cast("int").alias("part"), words(text).alias("_w"))
-        pairs = F.filter(F.transform("_w", lambda w, i: F.struct(F.when(i == 0, F.lit("<s>")).otherwise(F.get(F.col("_w"), i - 1)).alias("u"), w.alias("w"))), lambda x: x["w"].isNotNull())
-        c = t.select("part", F.explode(pairs).alias("p")).groupBy("part", "p.u", "p.w").agg(F.count(F.lit(1)).alias("c"))
-        if prior is not None:
-            c = c.union(prior.select(F.lit(0).alias("part"), "u", "w", "c")).groupBy("part", "u", "w").agg(F.sum("c").alias("c"))
-        from pyspark.sql import Window
-
-        models = []
-        for m in range(n_ckpt):
-            upto = c.filter(F.col("part") <= m).groupBy("u", "w").agg(F.sum("c").alias("c"))
-            best = upto.withColumn("k", F.row_number().over(Window.partitionBy("u").orderBy(F.desc("c"), "w"))).filter(F.col("k") <= self.fanout)
-            row = best.groupBy("u").agg(F.sum("c").alias("n"), F.array_sort(F.collect_list(F.struct("k", "w", "c"))).alias("next")).orderBy(F.desc("n"), "u").limit(self.vocab)
-            models.append({r["u"]: ([x["w"] for x in r["next"]], [float(x["c"]) for x in r["next"]]) for r in row.collect()})
-        return NGramSynthesizer(self.vocab, self.fanout, self.temperature, self.length, self.seed, models, c.groupBy("u", "w").agg(F.sum("c").alias("c")))
+        return trained([self], samples, n_ckpt, text, id_col, prior, prior is None)[0]
 
     def generate(self, snippets: DataFrame, ckpts: list[int], draws: int) -> DataFrame:
-        """q: PASSAGE words from a hash-chosen place of the whole text; s goes on from one of them."""
-        cells = candidates.grid(snippets.select("snippet_id", words("text").alias("_w")), ckpts, draws)
-        place = hash_unit(f"passage{self.seed}", "snippet_id", "ckpt", "draw") % F.greatest(F.lit(1), F.size("_w") - (PASSAGE - 1))
-        cells = cells.select("snippet_id", F.slice("_w", (place + 1).cast("int"), PASSAGE).alias("passage"), "ckpt", "draw")
-        sent = snippets.sparkSession.sparkContext.broadcast(self.models)
-        seed, length, temp = self.seed, self.length, self.temperature
-
-        def write(model: dict, first: str, rng: np.random.Generator) -> str:
-            out, u = [], first
-            for _ in range(length):
-                nxt = model.get(u) or model.get("<s>")
-                if not nxt:
-                    break
-                w, c = nxt
-                g = np.log(c) / temp - np.log(-np.log(rng.random(len(c)) + 1e-12))
-                u = w[int(g.argmax())]
-                out.append(u)
-            return " ".join(out)
+        """q: PASSAGE words from a hash-chosen place of the whole text; s goes on from one of them.
+
+        A snippet's candidates are made in its own row, beside its `context_words` where it has them, so none is shuffled.
+        """
+        cells = [(c, d) for c in ckpts for d in range(draws)]
+        own = ["context_words"] if "context_words" in snippets.columns else []
+        d = snippets.select("snippet_id", words("text").alias("_w"), *own)
+        if not cells:
+            return d.select("snippet_id", F.lit(0).alias("ckpt"), F.lit(0).alias("draw"), F.lit("").alias("q"), F.lit("").alias("s"), *own).limit(0)
+        last = F.greatest(F.lit(1), F.size("_w") - (PASSAGE - 1))
+        at = lambda c, k: (hash_unit(f"passage{self.seed}", "snippet_id", F.lit(c), F.lit(k)) % last + 1).cast("int")
+        passages = F.array(*[F.coalesce(F.array_join(F.slice("_w", at(c, k), PASSAGE), " "), F.lit("")) for c, k in cells])
+        d = d.select("snippet_id", passages.alias("q"), *own)
+        sent = snippets.sparkSession.sparkContext.broadcast([_Table.of(m, self.temperature) for m in self.models])
+        seed, length = self.seed, self.length
+
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            tables = sent.value
+            for batch in batches:
+                ids, asked = batch.column("snippet_id").to_pylist(), batch.column("q")
+                made = []
+                for lo in range(0, len(ids), BLOCK):
+                    part = [q for row in asked.slice(lo, BLOCK).to_pylist() for q in row]
+                    keys = [(i, c, k) for i in ids[lo : lo + BLOCK] for c, k in cells]
+                    made += _written(tables, keys, part, seed, length)
+                s = pa.ListArray.from_arrays(pa.array(np.arange(0, len(made) + 1, len(cells)), pa.int32()), pa.array(made, pa.string()))
+                yield pa.RecordBatch.from_arrays([*batch.columns, s], names=[*batch.schema.names, "s"])
+
+        kept = "".join(f", {c} array<string>" for c in own)
+        out = d.mapInArrow(run, f"snippet_id long, q array<string>{kept}, s array<string>")
+        which = F.array(*[F.struct(F.lit(c).alias("ckpt"), F.lit(k).alias("draw")) for c, k in cells]).alias("at")
+        out = out.select("snippet_id", *own, F.explode(F.arrays_zip(which, "q", "s")).alias("_c"))
+        return out.select("snippet_id", "_c.at.ckpt", "_c.at.draw", "_c.q", "_c.s", *own)
+
+
+#: Snippets whose candidates are written at once.
+BLOCK = 64
 
-        def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-            for pdf in batches:
-                q, s = [], []
-                for i, passage, c, d in zip(pdf["snippet_id"], pdf["passage"], pdf["ckpt"], pdf["draw"]):
-                    rng = np.random.default_rng([seed, int(i) & 0xFFFFFFFF, int(c), int(d)])
-                    w = [] if passage is None else list(passage)
-                    model = sent.value[min(int(c), len(sent.value) - 1)]
-                    q.append(" ".join(w))
-                    s.append(write(model, w[int(rng.integers(len(w)))] if w else "<s>", rng))
-                yield pd.DataFrame({"snippet_id": pdf["snippet_id"], "ckpt": pdf["ckpt"], "draw": pdf["draw"], "q": q, "s": s})
-
-        return cells.mapInPandas(run, "snippet_id long, ckpt int, draw int, q string, s string")
+
+@dataclass
+class _Table:
+    """A checkpoint's model as arrays: log-weights, words and following contexts of each context; start: that of unknown words."""
+
+    index: dict[str, int]
+    start: int  # -1: none
+    sizes: np.ndarray
+    weight: np.ndarray
+    words: np.ndarray
+    follows: np.ndarray
+
+    @classmethod
+    def of(cls, model: dict[str, tuple[list[str], list[float]]], temperature: float) -> _Table:
+        index = {u: k for k, u in enumerate(u for u, (w, _) in model.items() if w)}
+        start, wide = index.get("<s>", -1), max((len(model[u][0]) for u in index), default=1)
+        sizes = np.array([len(model[u][0]) for u in index], np.int64)
+        weight, text, follows = np.full((len(index), wide), -np.inf), np.full((len(index), wide), "", object), np.full((len(index), wide), -1)
+        for k, u in enumerate(index):
+            w, c = model[u]
+            weight[k, : len(w)], text[k, : len(w)], follows[k, : len(w)] = np.log(c) / temperature, w, [index.get(x, start) for x in w]
+        return cls(index, start, sizes, weight, text, follows)
+
+
+def _written(tables: list[_Table], keys: list[tuple[int, int, int]], passages: list[str], seed: int, length: int) -> list[str]:
+    """The texts of (snippet, ckpt, draw) cells, word by word for all at once; each cell draws from its own seeded stream."""
+    out = [""] * len(keys)
+    model = np.array([min(c, len(tables) - 1) for _, c, _ in keys])
+    for m in np.unique(model).tolist():
+        t, rows = tables[m], np.flatnonzero(model == m)
+        wide = t.weight.shape[1]
+        noise, at = np.empty((len(rows), length * wide)), np.empty(len(rows), np.int64)
+        for n, r in enumerate(rows.tolist()):
+            i, c, k = keys[r]
+            rng = np.random.default_rng([seed, int(i) & 0xFFFFFFFF, c, k])
+            w = passages[r].split(" ") if passages[r] else []
+            at[n] = t.index.get(w[int(rng.integers(len(w)))], t.start) if w else t.start
+            rng.random(out=noise[n])
+        noise = -np.log(-np.log(noise + 1e-12))
+        used, columns = np.zeros(len(rows), np.int64), np.arange(wide)
+        said = np.full((len(rows), length), "", object)
+        going = np.flatnonzero(at >= 0)
+        for step in range(length):
+            if not len(going):
+                break
+            u = at[going]
+            g = t.weight[u] + noise[going[:, None], np.minimum(used[going][:, None] + columns, noise.shape[1] - 1)]
+            pick = np.where(columns < t.sizes[u][:, None], g, -np.inf).argmax(axis=1)  # a context of n words takes n numbers
+            said[going, step], at[going] = t.words[u, pick], t.follows[u, pick]
+            used[going] += t.sizes[u]
+            going = going[at[going] >= 0]
+        for r, s in zip(rows.tolist(), said.tolist()):
+            out[r] = " ".join(w for w in s if w)
+    return out
+
+
+def pair_totals(samples: DataFrame, n_ckpt: int, text: str = "text", id_col: str = "id", prior: DataFrame | None = None) -> DataFrame:
+    """(u, w, c0, c1, ...): counts of words after one another in the first of n_ckpt parts of the samples, the first two, ...;
+    prior: (u, w, c) that all of them hold besides."""
+    t = samples.select((F.floor(hash_unit("ckpt", id_col) * n_ckpt / (1 << 32))).cast("int").alias("part"), words(text).alias("_w"))
+    pairs = F.filter(F.transform("_w", lambda w, i: F.struct(F.when(i == 0, F.lit("<s>")).otherwise(F.get(F.col("_w"), i - 1)).alias("u"), w.alias("w"))), lambda x: x["w"].isNotNull())
+    t = t.select("part", F.explode(pairs).alias("p")).select("part", "p.u", "p.w", F.lit(1).cast("long").alias("c"))
+    if prior is not None:
+        t = t.union(prior.select(F.lit(0).alias("part"), "u", "w", "c"))
+    return t.groupBy("u", "w").agg(*[F.sum(F.when(F.col("part") <= m, F.col("c")).otherwise(0)).alias(f"c{m}") for m in range(n_ckpt)])
+
+
+def trained(sizes: list[NGramSynthesizer], samples: DataFrame, n_ckpt: int = 3, text: str = "text", id_col: str = "id", prior: DataFrame | None = None, more: bool = True) -> list[NGramSynthesizer]:
+    """Synthesizers of several sizes trained on the same samples: words are counted once, and one pass over the counts
+    gives all checkpoints of all sizes.
+
+    more: whether they are trained further; then the counts are landed, else worked out anew by who asks for them.
+    """
+    c = pair_totals(samples, n_ckpt, text, id_col, prior)
+    c = land(c) if more else c
+    upto = c.select("u", "w", F.posexplode(F.array(*[f"c{m}" for m in range(n_ckpt)])).alias("m", "c")).filter("c > 0")
+    k = F.row_number().over(Window.partitionBy("m", "u").orderBy(F.desc("c"), "w"))
+    best = upto.withColumn("k", k).filter(F.col("k") <= max(s.fanout for s in sizes))
+    n = [F.sum(F.when(F.col("k") <= s.fanout, F.col("c"))).alias(f"n{j}") for j, s in enumerate(sizes)]
+    row = land(best.groupBy("m", "u").agg(*n, F.array_sort(F.collect_list(F.struct("k", "w", "c"))).alias("next")))
+    out = []
+    for j, s in enumerate(sizes):
+        place = F.row_number().over(Window.partitionBy("m").orderBy(F.desc(f"n{j}"), "u"))
+        top = row.select("m", "u", f"n{j}").withColumn("place", place).filter(F.col("place") <= s.vocab).select("m", "u")
+        models: list[dict] = [{} for _ in range(n_ckpt)]
+        for r in row.join(F.broadcast(top), ["m", "u"], "left_semi").select("m", "u", F.slice("next", 1, s.fanout).alias("next")).collect():
+            models[r["m"]][r["u"]] = ([x["w"] for x in r["next"]], [float(x["c"]) for x in r["next"]])
+        out.append(NGramSynthesizer(s.vocab, s.fanout, s.temperature, s.length, s.seed, models, c.select("u", "w", F.col(f"c{n_ckpt - 1}").alias("c"))))
+    return out
 
 
 def enhance(base: NGramSynthesizer, premium: DataFrame, n_ckpt: int = 3, text: str = "text", id_col: str = "id") -> NGramSynthesizer:

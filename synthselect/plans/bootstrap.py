@@ -12,7 +12,7 @@ import zlib
 from dataclasses import asdict, dataclass, field
 
 import numpy as np
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions import hash_unit, words
@@ -109,8 +109,15 @@ class Reference:
 
 
 def prompted(snippets: DataFrame, n: int, t: int) -> DataFrame:
-    """n snippets in the hash order of the round."""
-    return selection.random_n(snippets, n, f"round{t}", "snippet_id")
+    """n snippets in the hash order of the round; only ids are ranked."""
+    return snippets.join(selection.random_n(snippets.select("snippet_id"), n, f"round{t}", "snippet_id"), "snippet_id", "left_semi")
+
+
+def _cells(cfg: Config) -> list[tuple[int, int]]:
+    """(ckpt, draw) of a snippet's candidates."""
+    if cfg.sampling == "multi":
+        return [(c, d) for c in range(cfg.ckpts) for d in range(cfg.draws)]
+    return [(cfg.ckpts - 1, d) for d in range(cfg.draws if cfg.sampling == "best_of_n" else cfg.ckpts * cfg.draws)]
 
 
 def sampled(prompts: DataFrame, cfg: Config, synth=None) -> DataFrame:
@@ -128,24 +135,64 @@ def sampled(prompts: DataFrame, cfg: Config, synth=None) -> DataFrame:
     return cand
 
 
+def _folded(marked: DataFrame, cfg: Config) -> tuple[DataFrame, str]:
+    """Marked candidates with their score, and the column that they are picked by."""
+    fold = {"weighted": lambda d: scoring.weighted(d, list(cfg.weights)), "average": scoring.simple_average, "composite": scoring.composite, "none": scoring.none}
+    return fold[cfg.aggregate](marked), "score" if cfg.aggregate in ("composite", "none") else "score_fp"
+
+
 def picked(cand: DataFrame, cfg: Config, leaks=None) -> DataFrame:
     """(snippet_id, ckpt, draw, score, q, s, calls, chars): the best candidate of each snippet, ties by checkpoint and
     draw, landed; calls, chars: of all its candidates.  Each task reduces its snippets to one row before the shuffle."""
-    if cfg.aggregate == "none":
-        scored, by = scoring.none(cand), "score"
-    else:
-        marked = scoring.rule_marks(cand, leaks)
-        fold = {"weighted": lambda d: scoring.weighted(d, list(cfg.weights)), "average": scoring.simple_average, "composite": scoring.composite}
-        scored, by = fold[cfg.aggregate](marked), "score" if cfg.aggregate == "composite" else "score_fp"
-    best = F.max(F.struct(F.col(by).cast("long").alias("score"), (-F.col("ckpt")).alias("c"), (-F.col("draw")).alias("d"), "q", "s"))
-    g = scored.groupBy("snippet_id").agg(best.alias("b"), F.count(F.lit(1)).alias("calls"), F.sum(F.length("q") + F.length("s")).cast("long").alias("chars"))
-    return land(g.select("snippet_id", (-F.col("b.c")).alias("ckpt"), (-F.col("b.d")).alias("draw"), "b.score", "b.q", "b.s", "calls", "chars"))
+    scored, by = _folded(cand if cfg.aggregate == "none" else scoring.rule_marks(cand, leaks), cfg)
+    g = scored.groupBy("snippet_id").agg(F.max(_rank(by)).alias("b"), F.count(F.lit(1)).alias("calls"), F.sum(_chars()).cast("long").alias("chars"))
+    return land(g.select("snippet_id", *_winner("b"), "calls", "chars"))
+
+
+def _chars() -> Column:
+    return F.length("q") + F.length("s")
+
+
+def _rank(by: str) -> Column:
+    return F.struct(F.col(by).cast("long").alias("score"), (-F.col("ckpt")).alias("c"), (-F.col("draw")).alias("d"), "q", "s")
+
+
+def _winner(b: str) -> list[Column]:
+    return [(-F.col(f"{b}.c")).alias("ckpt"), (-F.col(f"{b}.d")).alias("draw"), F.col(f"{b}.score"), F.col(f"{b}.q"), F.col(f"{b}.s")]
+
+
+def rule(cfg: Config) -> tuple[str, str]:
+    """What a snippet's winner depends on, besides the snippet."""
+    return cfg.sampling, cfg.aggregate
+
+
+def prepared(prompts: DataFrame, cfgs: list[Config], ref: Reference, leaks=None) -> dict[tuple[str, str], DataFrame]:
+    """picked() of hash-placed candidates with their influence, by every rule among cfgs, which else are alike.
+
+    A hash-placed candidate depends on its snippet alone, not on the round or the run, so each is made and marked once.
+    """
+    rules = {rule(c): c for c in cfgs}
+    cells = sorted({x for c in rules.values() for x in _cells(c)})
+    at = F.array(*[F.struct(F.lit(c).alias("ckpt"), F.lit(d).alias("draw")) for c, d in cells])
+    cand = scoring.with_context(prompts).withColumn("_c", F.explode(at)).withColumns({"ckpt": F.col("_c.ckpt"), "draw": F.col("_c.draw")}).drop("_c")
+    marked = scoring.rule_marks(candidates.passages(cand), leaks)
+    aggs = []
+    for k, c in enumerate(rules.values()):
+        scored, by = _folded(marked, c)
+        marked = scored.withColumnRenamed(by, f"_by{k}").drop("score", "score_fp")
+        mine = (F.col("ckpt") * F.lit(1 << 20) + F.col("draw")).isin([x * (1 << 20) + y for x, y in _cells(c)])
+        aggs += [F.max(F.when(mine, _rank(f"_by{k}"))).alias(f"b{k}"), F.count(F.when(mine, 1)).alias(f"calls{k}"), F.sum(F.when(mine, _chars())).cast("long").alias(f"chars{k}")]
+    best = land(marked.groupBy("snippet_id").agg(*aggs))
+    out = {}
+    for k, name in enumerate(rules):
+        won = best.select("snippet_id", *_winner(f"b{k}"), F.col(f"calls{k}").alias("calls"), F.col(f"chars{k}").alias("chars"))
+        out[name] = land(won.join(ref_scores(won, ref), "snippet_id"))
+    return out
 
 
 def ranked(best: DataFrame, keep: int, cfg: Config, t: int, ref: Reference, pool_lm: lm.NGram | None = None) -> DataFrame:
-    """The kept rows of picked(), with their influence v and v_fp."""
-    v = ref_scores(best, ref)
-    joined = best.join(v, "snippet_id")
+    """The kept rows of picked(), with their influence v and v_fp; those of prepared() have it."""
+    joined = best if "v_fp" in best.columns else best.join(ref_scores(best, ref), "snippet_id")
     if cfg.final == "random":
         return selection.random_n(joined, keep, f"keep{t}", "snippet_id")
     if cfg.final == "score":
@@ -160,9 +207,10 @@ def ref_scores(best: DataFrame, ref: Reference) -> DataFrame:
     return influence.score(ref.gradients(best, "snippet_id"), ref.target).withColumnRenamed("id", "snippet_id")
 
 
-def one_round(snippets: DataFrame, keep: int, cfg: Config, t: int, ref: Reference, synth=None, leaks=None, pool_lm: lm.NGram | None = None) -> DataFrame:
-    """(iteration, snippet_id, ckpt, draw, score, v, q, s): the kept samples of one round; leaks: (gram) of the benchmark."""
-    best = picked(sampled(prompted(snippets, keep * cfg.over, t), cfg, synth), cfg, leaks)
+def one_round(snippets: DataFrame, keep: int, cfg: Config, t: int, ref: Reference, synth=None, leaks=None, pool_lm: lm.NGram | None = None, ready: DataFrame | None = None) -> DataFrame:
+    """(iteration, snippet_id, ckpt, draw, score, v, q, s): the kept samples of one round; leaks: (gram) of the benchmark;
+    ready: prepared() rows of the round's prompts, and of no other snippet."""
+    best = picked(sampled(prompted(snippets, keep * cfg.over, t), cfg, synth), cfg, leaks) if ready is None else ready
     kept = ranked(best, keep, cfg, t, ref, pool_lm)
     return kept.select(F.lit(t).alias("iteration"), "snippet_id", "ckpt", "draw", "score", "v", "q", "s")
 
@@ -175,13 +223,14 @@ def _digest(cfg: Config, pool: DataFrame, premium: DataFrame, synth) -> tuple[st
     return json.dumps(told, sort_keys=True), rows[0]
 
 
-def run(pool: DataFrame, premium: DataFrame, cfg: Config = Config(), synth=None, path: str | None = None, leaks=None, proxy=None, ref: Reference | None = None) -> Result:
+def run(pool: DataFrame, premium: DataFrame, cfg: Config = Config(), synth=None, path: str | None = None, leaks=None, proxy=None, ref: Reference | None = None, ready: DataFrame | None = None, asked: list[DataFrame] | None = None, pool_lm: lm.NGram | None = None) -> Result:
     """pool: (snippet_id, text, n_chars), without the premium snippets; premium: (id, q, s) and, for the
     ledger, asked: characters of the snippet it was made from; leaks: (gram) of the benchmark.
 
     Round t is sampled from the synthesizer of round t - 1 (`synth`: that of round 0, none for hash-placed passages).  A
     round whose manifest exists is read, not made; a manifest of other settings or other data is refused.  proxy: a
     function of a round's kept rows to a number that should fall; with cfg.stall the loop stops when it no longer does.
+    ready: prepared() rows of all snippets that may be prompted; asked: prompts_of() a run of the same pool and schedule.
     """
     spark: SparkSession = pool.sparkSession
     path = path or scratch(spark)
@@ -191,9 +240,10 @@ def run(pool: DataFrame, premium: DataFrame, cfg: Config = Config(), synth=None,
     if have < need:
         raise ValueError(f"the schedule needs {need} snippets, the pool has {have}")
     ref = ref or Reference.make(pool, premium, cfg)
-    pool_lm = lm.fit(pool, "snippet_id", "text") if cfg.final in ("low_ppl", "high_ppl") else None
-    n, chars, asked = premium.agg(F.count(F.lit(1)), F.sum(F.length("q") + F.length("s")), F.sum("asked" if "asked" in premium.columns else F.lit(0))).first()
-    out = Result(ledger=[(0, "distill", "premium", n, n, int(asked or 0), int(chars or 0))], synths=[synth])
+    if pool_lm is None and cfg.final in ("low_ppl", "high_ppl"):
+        pool_lm = lm.fit(pool, "snippet_id", "text")
+    n, chars, before = premium.agg(F.count(F.lit(1)), F.sum(F.length("q") + F.length("s")), F.sum("asked" if "asked" in premium.columns else F.lit(0))).first()
+    out = Result(ledger=[(0, "distill", "premium", n, n, int(before or 0), int(chars or 0))], synths=[synth])
     used, start = None, synth
     for t, keep in enumerate(plan, 1):
         here = f"{path}/round={t}"
@@ -203,13 +253,15 @@ def run(pool: DataFrame, premium: DataFrame, cfg: Config = Config(), synth=None,
                 raise ValueError(f"{here} was made with other settings or data")
             kept, prompts = spark.read.parquet(f"{here}/samples"), spark.read.parquet(f"{here}/prompts")
         else:
-            fresh = pool if used is None or not cfg.disjoint else pool.join(used, "snippet_id", "left_anti")
-            prompts = land(prompted(fresh, keep * cfg.over, t).select("snippet_id", F.length("text").alias("chars")), f"{here}/prompts")
-            best = picked(sampled(pool.join(prompts.select("snippet_id"), "snippet_id", "left_semi"), cfg, synth), cfg, leaks)
-            calls, chars, asked = best.join(prompts, "snippet_id").agg(F.sum("calls"), F.sum(best.chars), F.sum(F.col("calls") * prompts.chars)).first()
+            prompts = land(_next(pool, used, keep, cfg, t) if asked is None else asked[t - 1], f"{here}/prompts")
+            if ready is None:
+                best = picked(sampled(pool.join(prompts.select("snippet_id"), "snippet_id", "left_semi"), cfg, synth), cfg, leaks)
+            else:
+                best = ready.join(prompts.select("snippet_id"), "snippet_id", "left_semi")
+            calls, chars, told_chars = best.join(prompts.withColumnRenamed("chars", "_asked"), "snippet_id").agg(F.sum("calls"), F.sum("chars"), F.sum(F.col("calls") * F.col("_asked"))).first()
             kept = ranked(best, keep, cfg, t, ref, pool_lm)
             kept = land(kept.select(F.lit(t).alias("iteration"), "snippet_id", "ckpt", "draw", "score", "v", "q", "s"), f"{here}/samples")
-            told = {"digest": digest, "kept": kept.count(), "calls": int(calls or 0), "prompt_chars": int(asked or 0), "output_chars": int(chars or 0)}
+            told = {"digest": digest, "kept": kept.count(), "calls": int(calls or 0), "prompt_chars": int(told_chars or 0), "output_chars": int(chars or 0)}
             spark.createDataFrame([(json.dumps(told),)], "value string").coalesce(1).write.mode("overwrite").text(f"{here}/manifest")
         out.ledger.append((t, "sample", "self", told["calls"], told["kept"], told["prompt_chars"], told["output_chars"]))
         ids = prompts.select("snippet_id")
@@ -229,6 +281,22 @@ def run(pool: DataFrame, premium: DataFrame, cfg: Config = Config(), synth=None,
     return out
 
 
+def _next(pool: DataFrame, used: DataFrame | None, keep: int, cfg: Config, t: int) -> DataFrame:
+    """(snippet_id, chars) of the snippets that round t prompts; used: those of the rounds before."""
+    ids = pool.select("snippet_id", F.length("text").alias("chars"))
+    fresh = ids if used is None or not cfg.disjoint else ids.join(used, "snippet_id", "left_anti")
+    return selection.random_n(fresh, keep * cfg.over, f"round{t}", "snippet_id")
+
+
+def prompts_of(pool: DataFrame, cfg: Config) -> list[DataFrame]:
+    """The prompts of each round of a run: they depend on the pool, the schedule and `over` alone."""
+    out: list[DataFrame] = []
+    for t, keep in enumerate(sizes(cfg), 1):
+        used = _all([p.select("snippet_id") for p in out]) if out else None
+        out.append(land(_next(pool, used, keep, cfg, t)))
+    return out
+
+
 def _all(frames: list[DataFrame]) -> DataFrame:
     out = frames[0]
     for f in frames[1:]:
@@ -236,15 +304,15 @@ def _all(frames: list[DataFrame]) -> DataFrame:
     return out
 
 
-def final_dataset(synth, snippets: DataFrame, n: int, cfg: Config, ref: Reference | None = None, leaks=None, filtered: bool = False) -> DataFrame:
+def final_dataset(synth, snippets: DataFrame, n: int, cfg: Config, ref: Reference | None = None, leaks=None, filtered: bool = False, asked: DataFrame | None = None) -> DataFrame:
     """(snippet_id, q, s): the training set of a target model, n samples of the last synthesizer.
 
     One draw of the last checkpoint for each of n snippets in hash order; filtered: as many are sampled, marked and
-    ranked as in a round.
+    ranked as in a round.  asked: the prompted snippets, where several synthesizers share them.
     """
     if filtered:
         return one_round(snippets, n, cfg, 99, ref, synth, leaks).select("snippet_id", "q", "s")
-    asked = prompted(snippets, n, 99)
+    asked = prompted(snippets, n, 99) if asked is None else asked
     made = candidates.passages(candidates.grid(asked, [cfg.ckpts - 1], 1)) if synth is None else synth.generate(asked, [cfg.ckpts - 1], 1)
     return made.select("snippet_id", "q", "s")
 
