@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from concurrent.futures import ThreadPoolExecutor
 from dataclasses import dataclass, replace
 
 from pyspark.sql import DataFrame, SparkSession
@@ -11,7 +12,7 @@ from pyspark.sql import functions as F
 from ..functions import hash_unit
 from ..operators import candidates, categories, evaluate, influence, lm, pool, reference, ridge, scoring, selection, synth
 from ..plans import bootstrap
-from ..sources import land, table
+from ..sources import join_sent, land, table
 from . import h, query, w
 from .methods import _HITS, _NOISE, _SECRET, _grads, _marked
 from .solve import elimination
@@ -60,8 +61,12 @@ def quota(unit: int) -> int:
 
 def learned_weights(whole: DataFrame, labels: DataFrame, leaks) -> tuple[float, ...]:
     """Ridge weights of the ten marks: an experiment is the candidates of one (lang, source), even sources only."""
-    docs = scoring.with_context(whole.filter(EVEN).join(labels.select(F.col("doc_id").alias("snippet_id"), "quality"), "snippet_id"))
-    marked = scoring.rule_marks(candidates.multi_checkpoint(docs), leaks)
+    docs = join_sent(whole.filter(EVEN), labels.select(F.col("doc_id").alias("snippet_id"), "quality"), "snippet_id", "inner")
+    leaks = scoring.sent_runs(leaks) if isinstance(leaks, DataFrame) else leaks
+    if isinstance(leaks, DataFrame):  # too many runs to be sent
+        marked = scoring.rule_marks(candidates.multi_checkpoint(scoring.with_context(docs)), leaks)
+    else:
+        marked = scoring.nested_marks(candidates.placed(docs, [(c, d) for c in range(3) for d in range(4)]), ["lang", "source", "quality"], leaks)
     exps = ridge.experiments(marked, ["lang", "source"], MARKS, "quality")
     return tuple(round(float(x), 6) for x in ridge.fit(land(exps), MARKS).weights)
 
@@ -73,15 +78,16 @@ def inputs(spark: SparkSession, d: str) -> Inputs:
     unit = bootstrap.unit_of(whole.count())
     leaks = scoring.sent_runs(land(pool.benchmark_grams(bench)))
     premium = land(distilled(drawn_seeds(whole, labels, bench, unit)))
-    docs = land(whole.join(premium.select(F.col("id").alias("snippet_id")), "snippet_id", "left_anti"))
+    docs = join_sent(whole, premium.select(F.col("id").alias("snippet_id")), "snippet_id", "left_anti")  # its texts aren't landed again
     odd = labels.join(raw.filter(f"not ({EVEN})").select("doc_id"), "doc_id", "left_semi")
     return Inputs(docs, premium, unit, leaks, learned_weights(whole, labels, leaks), odd, whole)
 
 
 def drawn_seeds(whole: DataFrame, labels: DataFrame, bench: DataFrame, unit: int) -> DataFrame:
-    good = whole.filter(EVEN).join(labels.filter("quality = 1").select(F.col("doc_id").alias("snippet_id")), "snippet_id", "left_semi")
+    good = join_sent(whole.filter(EVEN), labels.filter("quality = 1").select(F.col("doc_id").alias("snippet_id")), "snippet_id", "left_semi")
     cat = assigned(good, bench).select(F.col("id").alias("snippet_id"), "category_id")
-    return categories.stratified(good.join(cat, "snippet_id"), "category_id", quota(unit), "snippet_id")
+    seeds = land(categories.stratified(cat, "category_id", quota(unit), "snippet_id"))  # of ids: no text is sorted
+    return join_sent(whole, seeds, "snippet_id", "inner")
 
 
 # ---------------------------------------------------------------- the same in SQL
@@ -199,10 +205,16 @@ def _measured_sql(setting: str, rows: str) -> str:
 MEASURES = ["setting", "n_kept", "mean_score", "mean_influence", "n_labelled", "purity", "ln_ppl_small", "ln_ppl_large"]
 
 
+#: Runs of a grid that are under way at once.
+RUNS = 4
+
+
 def _grid(spark: SparkSession, d: str, runs: dict[str, Callable[[], DataFrame]], inp: Inputs) -> DataFrame:
     """The same of all runs at once: purity by labels of odd sources, and two targets' perplexities of the benchmark (proxies)."""
     bench = table(spark, d, "benchmark")
-    kept = land(_union([make().select(F.lit(name).alias("setting"), "snippet_id", "score", "v", "s") for name, make in runs.items()]))
+    with ThreadPoolExecutor(RUNS) as pool_:  # the small jobs of one run leave cores to others
+        made = list(pool_.map(lambda make: make(), runs.values()))
+    kept = land(_union([rows.select(F.lit(name).alias("setting"), "snippet_id", "score", "v", "s") for name, rows in zip(runs, made)]))
     n = kept.groupBy("setting").agg(F.count(F.lit(1)).alias("n_kept"), F.round(F.avg("score"), 4).alias("mean_score"), F.round(F.avg("v"), 6).alias("mean_influence"))
     own = kept.select("setting", F.col("snippet_id").alias("doc_id")).distinct().join(inp.labels, "doc_id")
     p = own.groupBy("setting").agg(F.count(F.lit(1)).alias("n_labelled"), F.round(F.avg(F.col("quality").cast("double")), 6).alias("purity"))
@@ -360,9 +372,9 @@ def ablation_grid(spark: SparkSession, d: str) -> DataFrame:
     ref = bootstrap.Reference.make(inp.docs, inp.premium, inp.config())
     cfgs = {n: inp.config(**c) for n, c in bootstrap.ABLATIONS.items()}
     asked = bootstrap.prompts_of(inp.docs, inp.config())  # the same for all
-    prompts = inp.docs.join(_union(asked).select("snippet_id"), "snippet_id", "left_semi")
-    ready = bootstrap.prepared(prompts, list(cfgs.values()), ref, inp.leaks)
-    return _grid(spark, d, {n: (lambda c=c: _union(_run(inp, c, ref, ready=ready[bootstrap.rule(c)], asked=asked).rounds)) for n, c in cfgs.items()}, inp)
+    prompts = join_sent(inp.docs, _union(asked).select("snippet_id"), "snippet_id", "left_semi")
+    ready, told = bootstrap.prepared(prompts, list(cfgs.values()), ref, inp.leaks), bootstrap.told_of(inp.docs, inp.premium)
+    return _grid(spark, d, {n: (lambda c=c: _union(_run(inp, c, ref, ready=ready[bootstrap.rule(c)], asked=asked, told=told).rounds)) for n, c in cfgs.items()}, inp)
 
 
 @query("ablation_trained")
@@ -372,8 +384,8 @@ def ablation_trained(spark: SparkSession, d: str) -> DataFrame:
     base = replace(inp.config(), reference="trained", vocabulary=64, rank=4, width=64, schedule="20-20")
     start, ref = _enhanced(inp)[1], bootstrap.Reference.make(inp.docs, inp.premium, base)
     names = ("full", "no_multi_ckpt", "no_scoring", "no_influence")
-    asked = bootstrap.prompts_of(inp.docs, base)  # the same for all
-    return _grid(spark, d, {n: (lambda n=n: _union(_run(inp, replace(base, **bootstrap.ABLATIONS[n]), ref, start, asked=asked).rounds)) for n in names}, inp)
+    asked, told = bootstrap.prompts_of(inp.docs, base), bootstrap.told_of(inp.docs, inp.premium)  # the same for all
+    return _grid(spark, d, {n: (lambda n=n: _union(_run(inp, replace(base, **bootstrap.ABLATIONS[n]), ref, start, asked=asked, told=told).rounds)) for n in names}, inp)
 
 
 _STRATEGIES = {name: (replace(FIXED, **change), [4]) for name, change in bootstrap.STRATEGIES.items()}

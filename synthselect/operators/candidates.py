@@ -28,6 +28,17 @@ def passages(cells: DataFrame, q_len: int = 80, s_len: int = 240) -> DataFrame:
     return cells.withColumns({"q": window("q", q_len), "s": window("s", s_len)})
 
 
+def placed(snippets: DataFrame, cells: list[tuple[int, int]], q_len: int = 80, s_len: int = 240) -> DataFrame:
+    """The same windows in the snippet's row: arrays q and s, one of each (ckpt, draw) in cells."""
+    at = F.array(*[F.struct(F.lit(c).alias("ckpt"), F.lit(d).alias("draw")) for c, d in cells])
+
+    def windows(kind: str, n: int) -> Column:
+        start = lambda x: hash_unit(kind, "snippet_id", x["ckpt"], x["draw"]) % F.greatest(F.lit(1), F.col("n_chars") - 80)
+        return F.transform(at, lambda x: F.substring(F.col("text"), (start(x) + 1).cast("int"), F.lit(n)))
+
+    return snippets.withColumns({"q": windows("q", q_len), "s": windows("s", s_len)})
+
+
 def multi_checkpoint(snippets: DataFrame, ckpts: int = 3, draws: int = 4) -> DataFrame:
     return passages(grid(snippets, list(range(ckpts)), draws))
 

@@ -104,6 +104,18 @@ def score(grads: DataFrame, target: list[int], how: str = "cosine") -> DataFrame
     return out.withColumn("v_fp", F.round(F.col("v") * UNIT).cast("long"))
 
 
+class Cosine:
+    """Influence by cosine in a worker, as score() gives it."""
+
+    def __init__(self, target: list[int]):
+        self.m, self.norm = np.array(target, np.float64), float(sum(int(x) * int(x) for x in target)) ** 0.5
+
+    def __call__(self, g: np.ndarray) -> float | None:
+        g = np.asarray(g, np.float64)
+        own = np.sqrt((g * g).sum()) if len(self.m) else 0
+        return float(np.round(g @ self.m / own / self.norm, 6)) if own and self.norm else None
+
+
 def score_without_self(grads: DataFrame, target: list[int], members: DataFrame) -> DataFrame:
     """(id, v, v_fp) where a member of the target is compared with the target without it; members: (id) of those."""
     m = np.array(target, np.float64)

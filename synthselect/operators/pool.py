@@ -2,14 +2,18 @@
 
 from __future__ import annotations
 
+import hashlib
+from collections.abc import Iterator
 from dataclasses import dataclass
 
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
-from ..functions import bound, hash_unit, normalise, shingles, words
-from ..sources import join_spread, land
-from .scoring import SECRET, punctuation, shared_runs
+from ..functions import bound, hash_unit, normalise, shingles, texts, words
+from ..sources import MOST_SENT, join_spread, land
+from .scoring import SECRET, punctuation, secrets_in, sent_runs, shared_runs, without_punctuation
 
 
 @dataclass(frozen=True)
@@ -94,20 +98,65 @@ def contaminated(df: DataFrame, bench: DataFrame, id_col: str = "doc_id", n: int
     return g.join(runs, "gram", "left_semi").groupBy("id").agg(F.count(F.lit(1)).alias("n_hits"))
 
 
+def _keyed(docs: DataFrame) -> DataFrame:
+    """(doc_id, _key): digest of the normalised text, null for null."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            rows = zip(b.column("text").to_pylist(), b.column("_low").to_pylist())
+            keys = [None if t is None else hashlib.md5(" ".join(texts.split(t, low)).encode()).hexdigest() for t, low in rows]
+            yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(keys, pa.string())], names=["doc_id", "_key"])
+
+    d = docs.select("doc_id", "text", texts.lowered("text").alias("_low"))
+    return d.mapInArrow(run, T.StructType([docs.schema["doc_id"], T.StructField("_key", T.StringType())]))
+
+
+def _told(docs: DataFrame, sent, n: int) -> DataFrame:
+    """docs with the columns of noise() and sensitive_hits(), `_key` and `_hit` (1 if the text shares a run with the
+    benchmark; null without sent runs), told in one pass over each text."""
+    names = ["punct_pct", "distinct_pct", "repeat_pct", "n_sensitive", "_hit"]
+    own = docs.columns
+    pct = lambda a, b: 100 * a // max(1, b)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        known = None if sent is None else texts.Runs(sent.value, n)
+        for b in batches:
+            told, keys = [], []
+            for t, low in zip(b.column("text").to_pylist(), b.column("_low").to_pylist()):
+                if t is None:
+                    told.append((None,) * 5)
+                    keys.append(None)
+                    continue
+                w, lines, raw = texts.split(t, low), t.split("\n"), t.encode()
+                hit = 1 if known is not None and known.found(w) else None
+                told.append((pct(len(raw) - len(without_punctuation(raw)), len(t)), pct(len(set(w)), len(w)), 100 - pct(len(set(lines)), len(lines)), secrets_in(t, raw), hit))
+                keys.append(hashlib.md5(" ".join(w).encode()).hexdigest())
+            cols = [pa.array(c, pa.int32()) for c in zip(*told)] or [pa.array([], pa.int32())] * 5
+            yield pa.RecordBatch.from_arrays([*(b.column(c) for c in own), *cols, pa.array(keys, pa.string())], names=[*own, *names, "_key"])
+
+    kinds = [T.StructField(c, T.IntegerType()) for c in names] + [T.StructField("_key", T.StringType())]
+    return docs.withColumn("_low", texts.lowered("text")).mapInArrow(run, T.StructType([*docs.schema.fields, *kinds]))
+
+
 def gates(docs: DataFrame, bench: DataFrame, cfg: PoolConfig = PoolConfig()) -> DataFrame:
-    """docs with `reason`: the first gate that drops the row, or null."""
-    runs = land(benchmark_grams(bench, cfg.gram))
-    hits = shared_runs("_t", runs, cfg.gram)
-    d = sensitive_hits(noise(docs)).withColumn("_t", words("text"))
-    if hits is None:
+    """docs with `reason`: the first gate that drops the row, or null.
+
+    Texts are read twice (for the digests of copies, then for the gates) and neither landed nor shuffled, unless more than
+    MOST_SENT texts have copies.
+    """
+    sent = sent_runs(land(benchmark_grams(bench, cfg.gram)))
+    low = _keyed(docs).groupBy("_key").agg(F.min("doc_id").alias("_low"), F.count(F.lit(1)).alias("_rows"))
+    many = land(low.filter("_rows > 1").select("_key", "_low", "_rows"))  # one row for each text that has copies
+    if isinstance(sent, DataFrame):
         hit = contaminated(docs, bench, n=cfg.gram).select(F.col("id").alias("doc_id"), F.lit(1).alias("_hit"))
-        d = d.join(hit, "doc_id", "left")
-    else:  # in place: no text is shuffled
-        d = d.withColumn("_hit", F.when(hits > 0, 1))
-    d = land(d.withColumn("_key", F.md5(F.array_join("_t", " ").cast("binary"))).drop("_t"))  # read several times, marked once
-    low = d.groupBy("_key").agg(F.min("doc_id").alias("_low"), F.count(F.lit(1)).alias("_rows"))
-    many = low.filter("_rows > 1").select("_key", "_low", "_rows")  # one row for each text that has copies
-    d = join_spread(d, many, ["_key"], "_rows", docs.count()).withColumn("_dup", F.when(F.col("_low") < F.col("doc_id"), 1))
+        d = _told(docs, None, cfg.gram).drop("_hit").join(hit, "doc_id", "left")
+    else:
+        d = _told(docs, sent, cfg.gram)
+    if many.count() <= MOST_SENT:
+        d = d.join(F.broadcast(many), "_key", "left")
+    else:
+        d = join_spread(land(d), many, ["_key"], "_rows", docs.count())
+    d = d.withColumn("_dup", F.when(F.col("_low") < F.col("doc_id"), 1))
     reason = F.when((F.col("n_chars") < cfg.least_chars) | (F.col("n_chars") > cfg.most_chars), "length").when(is_noisy(cfg), "noise").when(F.col("n_sensitive") > 0, "sensitive").when(F.col("_dup").isNotNull(), "duplicate").when(F.col("_hit").isNotNull(), "benchmark")
     return d.withColumn("reason", reason).drop("_dup", "_hit", "_key", "_low", "_rows")
 

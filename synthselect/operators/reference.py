@@ -7,10 +7,11 @@ from dataclasses import dataclass
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..functions import UNIT, bound, hash_unit, words
+from ..functions import UNIT, bound, hash_unit, texts, words
 
 
 def _softmax(z: np.ndarray) -> np.ndarray:
@@ -116,6 +117,36 @@ def pair_counts(pairs: DataFrame, v: int) -> np.ndarray:
     return out.reshape(v, v)
 
 
+def codes_of(ids: texts.Ids, s: str | None, low_s: str | None, q: str | None = "", low_q: str | None = None, loss_on: str = "solution") -> np.ndarray:
+    """pair_codes() of one text, in a worker."""
+    if s is None or q is None:
+        return np.zeros(0, np.int64)
+    before = [ids[w] for w in texts.split(q, low_q)]
+    t = np.array(before + [ids[w] for w in texts.split(s, low_s)], np.int64)
+    t = t[max(0, len(before) - 1) :] if loss_on == "solution" else t
+    return t[:-1] * ids.v + t[1:]
+
+
+def text_pair_counts(df: DataFrame, text: str, v: int) -> np.ndarray:
+    """pair_counts() of pair_codes() of whole texts: each task counts its own, v * v numbers at most."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        ids, total = texts.Ids(v), np.zeros(v * v, np.int64)
+        for b in batches:
+            for s, low in zip(b.column("s").to_pylist(), b.column("low").to_pylist()):
+                c = codes_of(ids, s, low)
+                if len(c):
+                    total += np.bincount(c, minlength=v * v)
+        held = np.flatnonzero(total)
+        yield pa.RecordBatch.from_arrays([pa.array(held, pa.int32()), pa.array(total[held], pa.int64())], names=["c", "n"])
+
+    out = np.zeros(v * v, np.int64)
+    told = df.select(F.col(text).alias("s"), texts.lowered(text).alias("low")).mapInArrow(run, "c int, n long")
+    for r in told.groupBy("c").agg(F.sum("n").alias("n")).collect():
+        out[r["c"]] = r["n"]
+    return out.reshape(v, v)
+
+
 @dataclass
 class LowRankBigram:
     """Row-softmax over hashed next words: logits W0[u] + scale (B A)[u]; W0 frozen, B (V x r) and A (r x V) trained.

@@ -12,7 +12,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions import hash_unit, normalise, words
+from ..functions import hash_unit, normalise, texts, words
 from ..sources import land
 from . import candidates
 
@@ -99,34 +99,43 @@ class NGramSynthesizer:
         A snippet's candidates are made in its own row, beside its `context_words` where it has them, so none is shuffled.
         """
         cells = [(c, d) for c in ckpts for d in range(draws)]
-        own = ["context_words"] if "context_words" in snippets.columns else []
-        d = snippets.select("snippet_id", words("text").alias("_w"), *own)
+        own = [c for c in ("context_words",) if c in snippets.columns]
         if not cells:
-            return d.select("snippet_id", F.lit(0).alias("ckpt"), F.lit(0).alias("draw"), F.lit("").alias("q"), F.lit("").alias("s"), *own).limit(0)
-        last = F.greatest(F.lit(1), F.size("_w") - (PASSAGE - 1))
-        at = lambda c, k: (hash_unit(f"passage{self.seed}", "snippet_id", F.lit(c), F.lit(k)) % last + 1).cast("int")
-        passages = F.array(*[F.coalesce(F.array_join(F.slice("_w", at(c, k), PASSAGE), " "), F.lit("")) for c, k in cells])
-        d = d.select("snippet_id", passages.alias("q"), *own)
+            return snippets.select("snippet_id", F.lit(0).alias("ckpt"), F.lit(0).alias("draw"), F.lit("").alias("q"), F.lit("").alias("s"), *own).limit(0)
+        out = self.nested(snippets, cells, own)
+        which = F.array(*[F.struct(F.lit(c).alias("ckpt"), F.lit(k).alias("draw")) for c, k in cells]).alias("at")
+        out = out.select("snippet_id", *own, F.explode(F.arrays_zip(which, "q", "s")).alias("_c"))
+        return out.select("snippet_id", "_c.at.ckpt", "_c.at.draw", "_c.q", "_c.s", *own)
+
+    def nested(self, snippets: DataFrame, cells: list[tuple[int, int]], own: list[str] = ["text"]) -> DataFrame:  # noqa: B006
+        """(snippet_id, own columns, q, s): arrays of a snippet's candidates, one of each (ckpt, draw) in cells."""
+        d = snippets.select("snippet_id", F.col("text").alias("_text"), texts.lowered("text").alias("_low"), *own)
         sent = snippets.sparkSession.sparkContext.broadcast([_Table.of(m, self.temperature) for m in self.models])
         seed, length = self.seed, self.length
 
+        def passages(i: int, text: str | None, low: str | None) -> list[str]:
+            w = [] if text is None else texts.split(text, low)
+            last = max(1, len(w) - (PASSAGE - 1))
+            starts = (texts.unit(f"passage{seed}", i, c, k) % last for c, k in cells)
+            return [" ".join(w[x : x + PASSAGE]) for x in starts]
+
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             tables = sent.value
             for batch in batches:
-                ids, asked = batch.column("snippet_id").to_pylist(), batch.column("q")
-                made = []
+                ids, kept = batch.column("snippet_id").to_pylist(), [batch.column(c) for c in own]
+                rows = list(zip(ids, batch.column("_text").to_pylist(), batch.column("_low").to_pylist()))
+                asked, made = [], []
                 for lo in range(0, len(ids), BLOCK):
-                    part = [q for row in asked.slice(lo, BLOCK).to_pylist() for q in row]
+                    part = [q for row in rows[lo : lo + BLOCK] for q in passages(*row)]
                     keys = [(i, c, k) for i in ids[lo : lo + BLOCK] for c, k in cells]
                     made += _written(tables, keys, part, seed, length)
-                s = pa.ListArray.from_arrays(pa.array(np.arange(0, len(made) + 1, len(cells)), pa.int32()), pa.array(made, pa.string()))
-                yield pa.RecordBatch.from_arrays([*batch.columns, s], names=[*batch.schema.names, "s"])
+                    asked += part
+                at = pa.array(np.arange(0, len(made) + 1, len(cells)), pa.int32())
+                q, s = (pa.ListArray.from_arrays(at, pa.array(x, pa.string())) for x in (asked, made))
+                yield pa.RecordBatch.from_arrays([batch.column("snippet_id"), *kept, q, s], names=["snippet_id", *own, "q", "s"])
 
-        kept = "".join(f", {c} array<string>" for c in own)
-        out = d.mapInArrow(run, f"snippet_id long, q array<string>{kept}, s array<string>")
-        which = F.array(*[F.struct(F.lit(c).alias("ckpt"), F.lit(k).alias("draw")) for c, k in cells]).alias("at")
-        out = out.select("snippet_id", *own, F.explode(F.arrays_zip(which, "q", "s")).alias("_c"))
-        return out.select("snippet_id", "_c.at.ckpt", "_c.at.draw", "_c.q", "_c.s", *own)
+        kinds = {f.name: f.dataType.simpleString() for f in snippets.schema.fields}
+        return d.mapInArrow(run, ", ".join(["snippet_id long", *(f"{c} {kinds[c]}" for c in own), "q array<string>", "s array<string>"]))
 
 
 #: Snippets whose candidates are written at once.

@@ -9,15 +9,17 @@ from __future__ import annotations
 
 import json
 import zlib
+from collections.abc import Callable, Iterator
 from dataclasses import asdict, dataclass, field
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..functions import hash_unit, words
+from ..functions import UNIT, hash_unit, texts, words
 from ..operators import candidates, influence, lm, reference, scoring, selection
-from ..sources import exists, land, scratch
+from ..sources import exists, join_sent, land, scratch
 
 #: Rounds as multiples of the premium size.
 SCHEDULES = {"20-40": (2, 4), "60": (6,), "40-20": (4, 2), "40-40": (4, 4), "20-20": (2, 2)}
@@ -89,7 +91,7 @@ class Reference:
             ref = cls(None, None, [], cfg)
         else:
             v = cfg.vocabulary
-            base = reference.pair_counts(reference.pair_codes(pool, "snippet_id", "text", v), v)
+            base = reference.text_pair_counts(pool, "text", v)
             if cfg.reference == "fixed":
                 model = reference.LowRankBigram.fixed(base, cfg.rank)
                 signs = influence.signs("proj", model.width, cfg.width)
@@ -108,9 +110,27 @@ class Reference:
         return self.model.per_sample(pairs, self.signs, per_word=self.cfg.reference == "trained")
 
 
+    def in_worker(self) -> Callable[[], Callable[[str | None, ...], float | None]]:
+        """A maker of functions from (q, s, low_q, low_s) to the influence of ref_scores(), for workers; the table is sent."""
+        sent = SparkSession.active().sparkContext.broadcast(self.model.table(self.signs))  # V * V * k numbers, sizes of the model
+        v, per_word, loss_on, target = len(self.model.b), self.cfg.reference == "trained", self.cfg.loss_on, self.target
+
+        def make() -> Callable[[str | None, ...], float | None]:
+            table, ids, cosine = sent.value, texts.Ids(v), influence.Cosine(target)
+
+            def told(q: str | None, s: str | None, low_q: str | None, low_s: str | None) -> float | None:
+                c = reference.codes_of(ids, s, low_s, q, low_q, loss_on)
+                g = table[c].sum(axis=0)
+                return cosine(np.rint(g / max(1, len(c))) if per_word else g)
+
+            return told
+
+        return make
+
+
 def prompted(snippets: DataFrame, n: int, t: int) -> DataFrame:
     """n snippets in the hash order of the round; only ids are ranked."""
-    return snippets.join(selection.random_n(snippets.select("snippet_id"), n, f"round{t}", "snippet_id"), "snippet_id", "left_semi")
+    return join_sent(snippets, land(selection.random_n(snippets.select("snippet_id"), n, f"round{t}", "snippet_id")), "snippet_id", "left_semi")
 
 
 def _cells(cfg: Config) -> list[tuple[int, int]]:
@@ -166,28 +186,103 @@ def rule(cfg: Config) -> tuple[str, str]:
     return cfg.sampling, cfg.aggregate
 
 
+def nested(prompts: DataFrame, cells: list[tuple[int, int]], synth=None) -> DataFrame | None:
+    """(snippet_id, text, q, s): each snippet's candidates in its own row, in the order of cells; None for providers whose
+    candidates are rows of their own."""
+    if synth is not None:
+        return synth.nested(prompts, cells) if hasattr(synth, "nested") else None
+    return candidates.placed(prompts, cells).select("snippet_id", "text", "q", "s")
+
+
+def _by_rule(marks: np.ndarray, cfg: Config, hashes: Callable[[], np.ndarray]) -> np.ndarray:
+    """What candidates are picked by, as _folded() has it; marks: (candidates, marks); hashes: of the candidates."""
+    if cfg.aggregate == "none":
+        return hashes()
+    if cfg.aggregate == "composite":
+        return 1 + np.minimum(4, (marks - 1).sum(axis=1) // marks.shape[1])
+    if cfg.aggregate == "average":
+        total = marks.sum(axis=1) / float(marks.shape[1])
+    else:
+        total = np.zeros(len(marks))
+        for k, w in enumerate(cfg.weights):
+            total = total + float(w) * marks[:, k]
+    x = total * float(UNIT)
+    whole = np.floor(np.abs(x))
+    return (np.sign(x) * (whole + (np.abs(x) - whole >= 0.5))).astype(np.int64)
+
+
+def winners(cand: DataFrame, cells: list[tuple[int, int]], cfgs: list[Config], leaks=None, ref: Reference | None = None) -> DataFrame:
+    """(snippet_id, b0, b1, ...): the winner of each cfg's rule among the candidates of nested(), picked as picked() does,
+    and with a reference model its influence v.  A snippet is marked, picked and ranked in its own row: nothing is shuffled.
+
+    cells: in ascending order; leaks: a broadcast of sent_runs(), or None.
+    """
+    own = [sorted(cells.index(x) for x in _cells(c)) for c in cfgs]
+    make = ref.in_worker() if ref is not None and ref.model is not None else None
+    kind = pa.struct([("ckpt", pa.int32()), ("draw", pa.int32()), ("score", pa.int64()), ("q", pa.string()), ("s", pa.string()), ("calls", pa.int64()), ("chars", pa.int64()), ("v", pa.float64())])
+    marked = any(c.aggregate != "none" for c in cfgs)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        known, influence_of = texts.Runs(leaks.value) if leaks is not None else None, make() if make else None
+        for b in batches:
+            out: list[list[dict]] = [[] for _ in cfgs]
+            for i, text, low, qs, ss, lqs, lss in scoring.read_cells(b, "snippet_id"):
+                context = set(texts.split(text, low)) if text is not None and marked else None
+                m = np.array([scoring.marks_of(*x, context, known) for x in zip(qs, ss, lqs, lss)], np.int64) if marked else None
+                hashes = lambda i=i: np.array([texts.unit("none", i, c, d) for c, d in cells])
+                seen: dict[int, float | None] = {}
+                for k, (c, mine) in enumerate(zip(cfgs, own)):
+                    score = _by_rule(m, c, hashes)[mine]
+                    n = mine[int(score.argmax())]
+                    if influence_of and n not in seen:
+                        seen[n] = influence_of(qs[n], ss[n], lqs[n], lss[n])
+                    chars = [len(qs[x]) + len(ss[x]) for x in mine if qs[x] is not None and ss[x] is not None]
+                    out[k].append({"ckpt": cells[n][0], "draw": cells[n][1], "score": int(score.max()), "q": qs[n], "s": ss[n], "calls": len(mine), "chars": sum(chars) if chars else None, "v": seen.get(n)})
+            yield pa.RecordBatch.from_arrays([b.column("snippet_id"), *(pa.array(x, kind) for x in out)], names=["snippet_id", *(f"b{k}" for k in range(len(cfgs)))])
+
+    struct = "struct<ckpt int, draw int, score long, q string, s string, calls long, chars long, v double>"
+    return scoring.with_lowered(cand, "snippet_id").mapInArrow(run, ", ".join(["snippet_id long", *(f"b{k} {struct}" for k in range(len(cfgs)))]))
+
+
+def _flat(best: DataFrame, k: int, ref: Reference | None) -> DataFrame:
+    """picked() of the k-th rule from landed winners(), with v and v_fp where a reference is given."""
+    won = best.select("snippet_id", *[f"b{k}.{c}" for c in ("ckpt", "draw", "score", "q", "s", "calls", "chars")], *([F.col(f"b{k}.v").alias("v")] if ref is not None and ref.model is not None else []))
+    if ref is None:
+        return won
+    if ref.model is None:
+        return land(won.join(ref_scores(won, ref), "snippet_id"))
+    return won.withColumn("v_fp", F.round(F.col("v") * UNIT).cast("long"))
+
+
+def _sent(leaks):
+    """(whether leaks can be told in workers, their broadcast)."""
+    if isinstance(leaks, DataFrame):
+        leaks = scoring.sent_runs(leaks)
+    return not isinstance(leaks, DataFrame), leaks
+
+
+def best_of(prompts: DataFrame, cfg: Config, synth=None, leaks=None, ref: Reference | None = None) -> DataFrame:
+    """picked() of sampled(), and with a reference the influence too; in the snippets' rows wherever the provider allows."""
+    cells = sorted(_cells(cfg))
+    told, sent = _sent(leaks)
+    cand = nested(prompts, cells, synth) if told and cells else None
+    if cand is None:
+        return picked(sampled(prompts, cfg, synth), cfg, sent)
+    return _flat(land(winners(cand, cells, [cfg], sent, ref)), 0, ref)
+
+
 def prepared(prompts: DataFrame, cfgs: list[Config], ref: Reference, leaks=None) -> dict[tuple[str, str], DataFrame]:
     """picked() of hash-placed candidates with their influence, by every rule among cfgs, which else are alike.
 
     A hash-placed candidate depends on its snippet alone, not on the round or the run, so each is made and marked once.
     """
     rules = {rule(c): c for c in cfgs}
+    told, sent = _sent(leaks)
+    if not told:
+        return {name: (lambda won: land(won.join(ref_scores(won, ref), "snippet_id")))(picked(sampled(prompts, c), c, sent)) for name, c in rules.items()}
     cells = sorted({x for c in rules.values() for x in _cells(c)})
-    at = F.array(*[F.struct(F.lit(c).alias("ckpt"), F.lit(d).alias("draw")) for c, d in cells])
-    cand = scoring.with_context(prompts).withColumn("_c", F.explode(at)).withColumns({"ckpt": F.col("_c.ckpt"), "draw": F.col("_c.draw")}).drop("_c")
-    marked = scoring.rule_marks(candidates.passages(cand), leaks)
-    aggs = []
-    for k, c in enumerate(rules.values()):
-        scored, by = _folded(marked, c)
-        marked = scored.withColumnRenamed(by, f"_by{k}").drop("score", "score_fp")
-        mine = (F.col("ckpt") * F.lit(1 << 20) + F.col("draw")).isin([x * (1 << 20) + y for x, y in _cells(c)])
-        aggs += [F.max(F.when(mine, _rank(f"_by{k}"))).alias(f"b{k}"), F.count(F.when(mine, 1)).alias(f"calls{k}"), F.sum(F.when(mine, _chars())).cast("long").alias(f"chars{k}")]
-    best = land(marked.groupBy("snippet_id").agg(*aggs))
-    out = {}
-    for k, name in enumerate(rules):
-        won = best.select("snippet_id", *_winner(f"b{k}"), F.col(f"calls{k}").alias("calls"), F.col(f"chars{k}").alias("chars"))
-        out[name] = land(won.join(ref_scores(won, ref), "snippet_id"))
-    return out
+    best = land(winners(nested(prompts, cells), cells, list(rules.values()), sent, ref))
+    return {name: _flat(best, k, ref) for k, name in enumerate(rules)}
 
 
 def ranked(best: DataFrame, keep: int, cfg: Config, t: int, ref: Reference, pool_lm: lm.NGram | None = None) -> DataFrame:
@@ -204,39 +299,46 @@ def ranked(best: DataFrame, keep: int, cfg: Config, t: int, ref: Reference, pool
 
 
 def ref_scores(best: DataFrame, ref: Reference) -> DataFrame:
+    """(snippet_id, v, v_fp) of rows with q and s."""
     return influence.score(ref.gradients(best, "snippet_id"), ref.target).withColumnRenamed("id", "snippet_id")
 
 
 def one_round(snippets: DataFrame, keep: int, cfg: Config, t: int, ref: Reference, synth=None, leaks=None, pool_lm: lm.NGram | None = None, ready: DataFrame | None = None) -> DataFrame:
     """(iteration, snippet_id, ckpt, draw, score, v, q, s): the kept samples of one round; leaks: (gram) of the benchmark;
     ready: prepared() rows of the round's prompts, and of no other snippet."""
-    best = picked(sampled(prompted(snippets, keep * cfg.over, t), cfg, synth), cfg, leaks) if ready is None else ready
+    best = best_of(prompted(snippets, keep * cfg.over, t), cfg, synth, leaks, ref) if ready is None else ready
     kept = ranked(best, keep, cfg, t, ref, pool_lm)
     return kept.select(F.lit(t).alias("iteration"), "snippet_id", "ckpt", "draw", "score", "v", "q", "s")
 
 
-def _digest(cfg: Config, pool: DataFrame, premium: DataFrame, synth) -> tuple[str, int]:
-    """Of the settings and of the ids and texts that a run works on; and the rows of the pool."""
-    one = lambda df, k: df.agg(F.count(F.lit(1)), F.sum(F.xxhash64(k, "text" if "text" in df.columns else "s").cast("decimal(38,0)"))).first()
-    rows = one(pool, "snippet_id")
-    told = {"cfg": asdict(cfg), "pool": [str(x) for x in rows], "premium": [str(x) for x in one(premium, "id")], "synth": type(synth).__name__}
-    return json.dumps(told, sort_keys=True), rows[0]
+def told_of(pool: DataFrame, premium: DataFrame) -> tuple[list, list]:
+    """Number and digest of the ids and texts of a pool and its premium set: read once for all runs that share them."""
+    one = lambda df, k: list(df.agg(F.count(F.lit(1)), F.sum(F.xxhash64(k, "text" if "text" in df.columns else "s").cast("decimal(38,0)"))).first())
+    return one(pool, "snippet_id"), one(premium, "id")
+
+
+def _digest(cfg: Config, rows: list, premium: list, synth) -> str:
+    """Of the settings and of the ids and texts that a run works on."""
+    told = {"cfg": asdict(cfg), "pool": [str(x) for x in rows], "premium": [str(x) for x in premium], "synth": type(synth).__name__}
+    return json.dumps(told, sort_keys=True)
 
 
-def run(pool: DataFrame, premium: DataFrame, cfg: Config = Config(), synth=None, path: str | None = None, leaks=None, proxy=None, ref: Reference | None = None, ready: DataFrame | None = None, asked: list[DataFrame] | None = None, pool_lm: lm.NGram | None = None) -> Result:
+def run(pool: DataFrame, premium: DataFrame, cfg: Config = Config(), synth=None, path: str | None = None, leaks=None, proxy=None, ref: Reference | None = None, ready: DataFrame | None = None, asked: list[DataFrame] | None = None, pool_lm: lm.NGram | None = None, told: tuple[list, list] | None = None) -> Result:
     """pool: (snippet_id, text, n_chars), without the premium snippets; premium: (id, q, s) and, for the
     ledger, asked: characters of the snippet it was made from; leaks: (gram) of the benchmark.
 
     Round t is sampled from the synthesizer of round t - 1 (`synth`: that of round 0, none for hash-placed passages).  A
     round whose manifest exists is read, not made; a manifest of other settings or other data is refused.  proxy: a
     function of a round's kept rows to a number that should fall; with cfg.stall the loop stops when it no longer does.
-    ready: prepared() rows of all snippets that may be prompted; asked: prompts_of() a run of the same pool and schedule.
+    ready: prepared() rows of all snippets that may be prompted; asked: prompts_of() a run of the same pool and schedule;
+    told: told_of() the pool and the premium set.
     """
     spark: SparkSession = pool.sparkSession
     path = path or scratch(spark)
     plan = sizes(cfg)
     need = sum(k * cfg.over for k in plan) if cfg.disjoint else max(k * cfg.over for k in plan)
-    digest, have = _digest(cfg, pool, premium, synth)
+    rows = told or told_of(pool, premium)
+    digest, have = _digest(cfg, *rows, synth), rows[0][0]
     if have < need:
         raise ValueError(f"the schedule needs {need} snippets, the pool has {have}")
     ref = ref or Reference.make(pool, premium, cfg)
@@ -248,22 +350,22 @@ def run(pool: DataFrame, premium: DataFrame, cfg: Config = Config(), synth=None,
     for t, keep in enumerate(plan, 1):
         here = f"{path}/round={t}"
         if exists(spark, f"{here}/manifest"):
-            told = json.loads(spark.read.text(f"{here}/manifest").first()[0])
-            if told["digest"] != digest:
+            done = json.loads(spark.read.text(f"{here}/manifest").first()[0])
+            if done["digest"] != digest:
                 raise ValueError(f"{here} was made with other settings or data")
             kept, prompts = spark.read.parquet(f"{here}/samples"), spark.read.parquet(f"{here}/prompts")
         else:
             prompts = land(_next(pool, used, keep, cfg, t) if asked is None else asked[t - 1], f"{here}/prompts")
             if ready is None:
-                best = picked(sampled(pool.join(prompts.select("snippet_id"), "snippet_id", "left_semi"), cfg, synth), cfg, leaks)
+                best = best_of(join_sent(pool, prompts.select("snippet_id"), "snippet_id", "left_semi"), cfg, synth, leaks, ref)
             else:
-                best = ready.join(prompts.select("snippet_id"), "snippet_id", "left_semi")
-            calls, chars, told_chars = best.join(prompts.withColumnRenamed("chars", "_asked"), "snippet_id").agg(F.sum("calls"), F.sum("chars"), F.sum(F.col("calls") * F.col("_asked"))).first()
+                best = join_sent(ready, prompts.select("snippet_id"), "snippet_id", "left_semi")
+            calls, chars, told_chars = join_sent(best, prompts.withColumnRenamed("chars", "_asked"), "snippet_id", "inner").agg(F.sum("calls"), F.sum("chars"), F.sum(F.col("calls") * F.col("_asked"))).first()
             kept = ranked(best, keep, cfg, t, ref, pool_lm)
             kept = land(kept.select(F.lit(t).alias("iteration"), "snippet_id", "ckpt", "draw", "score", "v", "q", "s"), f"{here}/samples")
-            told = {"digest": digest, "kept": kept.count(), "calls": int(calls or 0), "prompt_chars": int(told_chars or 0), "output_chars": int(chars or 0)}
-            spark.createDataFrame([(json.dumps(told),)], "value string").coalesce(1).write.mode("overwrite").text(f"{here}/manifest")
-        out.ledger.append((t, "sample", "self", told["calls"], told["kept"], told["prompt_chars"], told["output_chars"]))
+            done = {"digest": digest, "kept": kept.count(), "calls": int(calls or 0), "prompt_chars": int(told_chars or 0), "output_chars": int(chars or 0)}
+            spark.createDataFrame([(json.dumps(done),)], "value string").coalesce(1).write.mode("overwrite").text(f"{here}/manifest")
+        out.ledger.append((t, "sample", "self", done["calls"], done["kept"], done["prompt_chars"], done["output_chars"]))
         ids = prompts.select("snippet_id")
         used = ids if used is None else used.union(ids)
         out.rounds.append(kept)
@@ -284,7 +386,7 @@ def run(pool: DataFrame, premium: DataFrame, cfg: Config = Config(), synth=None,
 def _next(pool: DataFrame, used: DataFrame | None, keep: int, cfg: Config, t: int) -> DataFrame:
     """(snippet_id, chars) of the snippets that round t prompts; used: those of the rounds before."""
     ids = pool.select("snippet_id", F.length("text").alias("chars"))
-    fresh = ids if used is None or not cfg.disjoint else ids.join(used, "snippet_id", "left_anti")
+    fresh = ids if used is None or not cfg.disjoint else join_sent(ids, used, "snippet_id", "left_anti")
     return selection.random_n(fresh, keep * cfg.over, f"round{t}", "snippet_id")
 
 
