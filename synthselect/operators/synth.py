@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import time
+from collections import Counter
 from collections.abc import Callable, Iterator
 from dataclasses import dataclass, field
 
@@ -13,7 +14,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions import hash_unit, normalise, texts, words
-from ..sources import land
+from ..sources import MOST_SENT, join_sent, land
 from . import candidates
 
 #: Words of the passage that an n-gram synthesizer is prompted with.
@@ -199,13 +200,61 @@ def _written(tables: list[_Table], keys: list[tuple[int, int, int]], passages: l
 
 def pair_totals(samples: DataFrame, n_ckpt: int, text: str = "text", id_col: str = "id", prior: DataFrame | None = None) -> DataFrame:
     """(u, w, c0, c1, ...): counts of words after one another in the first of n_ckpt parts of the samples, the first two, ...;
-    prior: (u, w, c) that all of them hold besides."""
-    t = samples.select((F.floor(hash_unit("ckpt", id_col) * n_ckpt / (1 << 32))).cast("int").alias("part"), words(text).alias("_w"))
-    pairs = F.filter(F.transform("_w", lambda w, i: F.struct(F.when(i == 0, F.lit("<s>")).otherwise(F.get(F.col("_w"), i - 1)).alias("u"), w.alias("w"))), lambda x: x["w"].isNotNull())
-    t = t.select("part", F.explode(pairs).alias("p")).select("part", "p.u", "p.w", F.lit(1).cast("long").alias("c"))
-    if prior is not None:
-        t = t.union(prior.select(F.lit(0).alias("part"), "u", "w", "c"))
-    return t.groupBy("u", "w").agg(*[F.sum(F.when(F.col("part") <= m, F.col("c")).otherwise(0)).alias(f"c{m}") for m in range(n_ckpt)])
+    prior: landed (u, w, c) that all of them hold besides.
+
+    Each task counts its own texts; a prior's pairs are not shuffled if the samples have few enough to be sent to them.
+    """
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        counts: list[Counter] = [Counter() for _ in range(n_ckpt)]
+
+        def told() -> pa.RecordBatch:
+            part = [m for m, c in enumerate(counts) for _ in range(len(c))]
+            both = [p.split(" ") for c in counts for p in c]
+            n = [k for c in counts for k in c.values()]
+            for c in counts:
+                c.clear()
+            return pa.RecordBatch.from_arrays([pa.array(part, pa.int32()), pa.array([x[0] for x in both], pa.string()), pa.array([x[1] for x in both], pa.string()), pa.array(n, pa.int64())], names=["part", "u", "w", "c"])
+
+        for b in batches:
+            for m, t, low in zip(*(b.column(c).to_pylist() for c in ("part", "text", "low"))):
+                w = [] if t is None else texts.split(t, low)
+                counts[m].update(map(" ".join, zip(["<s>", *w], w)))  # words hold no blank
+                if sum(map(len, counts)) > texts.MOST_KNOWN:
+                    yield told()
+        yield told()
+
+    part = (F.floor(hash_unit("ckpt", id_col) * n_ckpt / (1 << 32))).cast("int").alias("part")
+    t = samples.select(part, F.col(text).alias("text"), texts.lowered(text).alias("low")).mapInArrow(run, "part int, u string, w string, c long")
+    names = [f"c{m}" for m in range(n_ckpt)]
+    own = t.groupBy("u", "w").agg(*[F.sum(F.when(F.col("part") <= m, F.col("c")).otherwise(0)).alias(c) for m, c in enumerate(names)])
+    if prior is None:
+        return own
+    own = land(own)
+    if own.count() > MOST_SENT:
+        both = own.union(prior.select("u", "w", *[F.col("c").alias(c) for c in names]))
+        return both.groupBy("u", "w").agg(*[F.sum(c).alias(c) for c in names])
+    known = land(prior.join(F.broadcast(own.select("u", "w")), ["u", "w"], "left_semi").select("u", "w"))
+    more = prior.join(F.broadcast(own), ["u", "w"], "left").select("u", "w", *[(F.col("c") + F.coalesce(c, F.lit(0))).alias(c) for c in names])
+    return more.union(own.join(F.broadcast(known), ["u", "w"], "left_anti"))
+
+
+def _contexts(c: DataFrame, n_ckpt: int, sizes: list[NGramSynthesizer]) -> DataFrame:
+    """Landed (m, u): the contexts that may be among a model's `vocab` first ones at checkpoint m, and few others.
+
+    A context's weight is the sum of its `fanout` largest counts: at most its whole count, and no less than its largest
+    count and one for each further successor.  So a context whose whole count is below the vocab-th largest of those lower
+    bounds is in no model, and its pairs needn't be ranked.
+    """
+    each = [F.struct(F.lit(m).alias("m"), F.sum(f"c{m}").alias("n"), F.max(f"c{m}").alias("top"), F.count(F.when(F.col(f"c{m}") > 0, 1)).alias("next")) for m in range(n_ckpt)]
+    told = land(c.groupBy("u").agg(*[x.alias(f"_{m}") for m, x in enumerate(each)]).select("u", F.explode(F.array(*[f"_{m}" for m in range(n_ckpt)])).alias("x")).select("u", "x.*").filter("n > 0"))
+    may = F.lit(False)
+    for m in range(n_ckpt):
+        for s in sizes:
+            low = told.filter(F.col("m") == m).select((F.col("top") + F.least(F.lit(s.fanout), "next") - 1).alias("low"))
+            first = low.orderBy(F.desc("low")).limit(s.vocab).agg(F.count(F.lit(1)), F.min("low")).first()
+            may = may | ((F.col("m") == m) & (F.col("n") >= (first[1] if first[0] == s.vocab and s.vocab else 0)))
+    return land(told.filter(may).select("m", "u"))
 
 
 def trained(sizes: list[NGramSynthesizer], samples: DataFrame, n_ckpt: int = 3, text: str = "text", id_col: str = "id", prior: DataFrame | None = None, more: bool = True) -> list[NGramSynthesizer]:
@@ -217,6 +266,7 @@ def trained(sizes: list[NGramSynthesizer], samples: DataFrame, n_ckpt: int = 3,
     c = pair_totals(samples, n_ckpt, text, id_col, prior)
     c = land(c) if more else c
     upto = c.select("u", "w", F.posexplode(F.array(*[f"c{m}" for m in range(n_ckpt)])).alias("m", "c")).filter("c > 0")
+    upto = join_sent(upto, _contexts(c, n_ckpt, sizes), ["m", "u"], "left_semi")
     k = F.row_number().over(Window.partitionBy("m", "u").orderBy(F.desc("c"), "w"))
     best = upto.withColumn("k", k).filter(F.col("k") <= max(s.fanout for s in sizes))
     n = [F.sum(F.when(F.col("k") <= s.fanout, F.col("c"))).alias(f"n{j}") for j, s in enumerate(sizes)]

@@ -71,3 +71,18 @@ def test_pair_counts_by_task(snippets):
     v = 16
     want = reference.pair_counts(reference.pair_codes(snippets, "snippet_id", "text", v), v)
     assert (reference.text_pair_counts(snippets.repartition(3), "text", v) == want).all() and want.sum() > 100
+
+
+def test_contexts_that_no_model_holds_are_not_ranked(spark, snippets, monkeypatch):
+    """Models, prior counts among them, equal those of ranking every pair; pairs of rare words aren't ranked."""
+    docs = snippets.select(F.col("snippet_id").alias("id"), "text")
+    more = spark.createDataFrame([(k, f"one rare{k} two rare{k} one new") for k in range(40)], "id long, text string")
+    sizes = [synth.NGramSynthesizer(3, 2), synth.NGramSynthesizer(6, 4)]
+    few = synth._contexts(synth.pair_totals(docs.union(more), 2), 2, sizes)
+    assert 0 < few.count() < 40 and not few.filter("u like 'rare%'").count()
+    got = [synth.trained(synth.trained(sizes, docs, 2), more, 2, prior=synth.trained(sizes, docs, 2)[0].counts, more=False)]
+    monkeypatch.setattr(synth, "_contexts", lambda c, n, s: c.selectExpr("explode(sequence(0, 1)) m", "u").distinct())
+    for most in (synth.MOST_SENT, 0):
+        monkeypatch.setattr(synth, "MOST_SENT", most)
+        got.append(synth.trained(synth.trained(sizes, docs, 2), more, 2, prior=synth.trained(sizes, docs, 2)[0].counts, more=False))
+    assert [[x.models for x in g] for g in got] == [[x.models for x in got[0]]] * 3 and got[0][1].models[1]
